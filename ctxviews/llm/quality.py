@@ -27,6 +27,7 @@ BUCKETS = 1 << 14
 SHAPES = 512
 DIM = 24
 WINDOW = 2
+POOLED = 4 * DIM + 4
 
 
 def index_vectors() -> np.ndarray:
@@ -76,8 +77,9 @@ def context_sums(texts: list[str | None]) -> np.ndarray:
 
 
 def pool(texts: list[str | None], vectors: np.ndarray) -> np.ndarray:
-    """Mean and spread of word and of shape vectors, and the log number of words, of whole texts."""
-    out = np.zeros((len(texts), 4 * DIM + 1), np.float32)
+    """Of whole texts: mean and spread of word and of shape vectors, agreement of neighbouring
+    word vectors, share of words equal to the one before or two before, log number of words."""
+    out = np.zeros((len(texts), POOLED), np.float32)
     for first, raw in steps(texts):
         doc, word, shape = units(raw)
         if not len(doc):
@@ -91,6 +93,11 @@ def pool(texts: list[str | None], vectors: np.ndarray) -> np.ndarray:
             out[row, 2 * j * DIM : (2 * j + 1) * DIM] = mean
             out[row, (2 * j + 1) * DIM : (2 * j + 2) * DIM] = np.sqrt(np.maximum(square - mean * mean, 0))
         out[row, -1] = np.log1p(n) / 5
+        for j, k in enumerate((1, 2)):
+            same = (doc[k:] == doc[:-k]) & (word[k:] == word[:-k])
+            out[row, 4 * DIM + j] = np.bincount(doc[k:][same], minlength=len(raw))[here] / n
+        dot = (vectors[word[1:]] * vectors[word[:-1]]).sum(1) * (doc[1:] == doc[:-1])
+        out[row, 4 * DIM + 2] = np.bincount(doc[1:], dot, minlength=len(raw))[here] / n
     return out
 
 
@@ -188,7 +195,7 @@ def fit(docs: DataFrame, labels: DataFrame, spark: SparkSession, id_col: str = "
             yield pd.DataFrame({"i": pdf["i"].values, "y": pdf["y"].values, "x": [r.tobytes() for r in x]})
 
     got = sorted(train.mapInPandas(pooled, "i long, y int, x binary").collect(), key=lambda r: (r.i, r.y))
-    x = np.array([np.frombuffer(r.x, np.float32) for r in got], np.float64).reshape(len(got), 4 * DIM + 1)
+    x = np.array([np.frombuffer(r.x, np.float32) for r in got], np.float64).reshape(len(got), POOLED)
     return QualityModel(vectors, Network.fit(x, np.array([r.y for r in got])))
 
 

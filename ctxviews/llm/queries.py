@@ -8,14 +8,22 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe_codec, language_id, packing, quality, token_counts
-from .common import table
+from . import bpe_codec, cap_neardup, chroma, language_id, packing, quality, token_counts, url_filter
+from .common import keep, table
 
 
 def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"), spark, public_tokenizers.path("piece_bpe_32k.model"))
 
 
+def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filter.judge(table(spark, sf_dir, "pages").select("page_id", "url"), spark)
+
+
+def op5_cap_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cap_neardup.near_duplicates(table(spark, sf_dir, "embeddings"), spark)
+
+
 def op6_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_codec.encode(table(spark, sf_dir, "documents"), spark, public_tokenizers.path("word_bpe_49k.json"))
 
@@ -40,12 +48,20 @@ def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(docs.withColumn("held_out", _held(5, 0)), spark, model, ["doc_id", "held_out"]).withColumn("predicted", (F.col("score") >= 0.3).cast("int"))
 
 
+def op10_chroma(spark: SparkSession, sf_dir: str) -> DataFrame:
+    media = chroma.sonify(table(spark, sf_dir, "embeddings"), spark)
+    return chroma.search(keep(chroma.fingerprints(media, spark), spark), spark)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_token_counts": op2_token_counts,
+    "op3_url_filter": op3_url_filter,
+    "op5_cap_neardup": op5_cap_neardup,
     "op6_bpe_codec": op6_bpe_codec,
     "op7_packing": op7_packing,
     "op8_language_id": op8_language_id,
     "op9_quality": op9_quality,
+    "op10_chroma": op10_chroma,
 }
 
 ORACLE_SQL: dict[str, str] = {}
