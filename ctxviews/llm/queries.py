@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe_codec, cap_neardup, chroma, language_id, packing, quality, token_counts, url_filter
+from . import bpe_codec, cap_neardup, chroma, jaccard_join, language_id, packing, quality, token_counts, url_filter
 from .common import keep, table
 
 
@@ -20,6 +20,10 @@ def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge(table(spark, sf_dir, "pages").select("page_id", "url"), spark)
 
 
+def op4_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.join(table(spark, sf_dir, "documents"), spark)
+
+
 def op5_cap_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cap_neardup.near_duplicates(table(spark, sf_dir, "embeddings"), spark)
 
@@ -56,6 +60,7 @@ def op10_chroma(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_token_counts": op2_token_counts,
     "op3_url_filter": op3_url_filter,
+    "op4_jaccard_join": op4_jaccard_join,
     "op5_cap_neardup": op5_cap_neardup,
     "op6_bpe_codec": op6_bpe_codec,
     "op7_packing": op7_packing,
