@@ -8,10 +8,14 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe_codec, cap_neardup, chroma, jaccard_join, language_id, packing, quality, token_counts, url_filter
+from . import bpe_codec, cap_neardup, chroma, jaccard_join, language_id, packing, quality, suffix_dedup, token_counts, url_filter
 from .common import keep, table
 
 
+def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.dedup(table(spark, sf_dir, "documents"), spark, ["doc_id"])
+
+
 def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"), spark, public_tokenizers.path("piece_bpe_32k.model"))
 
@@ -58,6 +62,7 @@ def op10_chroma(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_suffix_dedup": op1_suffix_dedup,
     "op2_token_counts": op2_token_counts,
     "op3_url_filter": op3_url_filter,
     "op4_jaccard_join": op4_jaccard_join,
