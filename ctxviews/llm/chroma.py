@@ -13,6 +13,7 @@ Recordings with the same fingerprint form a class that is compared once.
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Callable
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -153,43 +154,36 @@ class QueryBlock:
                 yield self.ids[k], o, int(votes[best]), errors
 
 
-def sonify(vectors: DataFrame, spark: SparkSession, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
-    """A media column for tables without one: each component of a vector becomes a note.
+_notes: list[np.ndarray] = []
 
-    Null vectors give null audio; null and non-finite components are silent.
-    """
-    ship(spark)
 
-    def run(batches):
-        import pandas as pd
+def sonify(vector) -> bytes | None:
+    """16-bit samples for tables without a media column: each component of a vector becomes a note.
 
+    A null vector gives null audio; null and non-finite components are silent.
+    """
+    if vector is None:
+        return None
+    if not _notes:
         step = 2 * HOP
         t = np.arange(step) / RATE
-        notes = [(np.sin(2 * np.pi * 130.8128 * 2 ** (k / 12) * t) * np.hanning(step) * 16000).astype("<i2") for k in range(37)] + [np.zeros(step, "<i2")]
-        notes = np.stack(notes)
-        for pdf in batches:
-            audio = []
-            for v in pdf["v"]:
-                if v is None:
-                    audio.append(None)
-                    continue
-                x = np.array([np.nan if c is None else c for c in v], float)
-                k = np.floor((np.clip(np.where(np.isfinite(x), x, 0) * 4, -1, 1) + 1) * 18).astype(int)
-                audio.append(notes[np.where(np.isfinite(x), k, 37)].tobytes())
-            yield pd.DataFrame({id_col: pdf["i"].values, "audio": audio})
+        _notes.append(np.stack([*((np.sin(2 * np.pi * 130.8128 * 2 ** (k / 12) * t) * np.hanning(step) * 16000).astype("<i2") for k in range(37)), np.zeros(step, "<i2")]))
+    x = np.array([np.nan if c is None else c for c in vector], float)
+    k = np.floor((np.clip(np.where(np.isfinite(x), x, 0) * 4, -1, 1) + 1) * 18).astype(int)
+    return _notes[0][np.where(np.isfinite(x), k, 37)].tobytes()
 
-    return vectors.select(vectors[id_col].alias("i"), vectors[vector_col].alias("v")).mapInPandas(run, f"`{id_col}` {dict(vectors.dtypes)[id_col]}, audio binary")
 
+def fingerprints(media: DataFrame, spark: SparkSession, id_col: str = "media_id", audio_col: str = "audio", render: Callable | None = None) -> DataFrame:
+    """id_col, n_items, fp_sha256, fp (little-endian 32-bit integers) for every row.
 
-def fingerprints(media: DataFrame, spark: SparkSession, id_col: str = "vec_id", audio_col: str = "audio") -> DataFrame:
-    """id_col, n_items, fp_sha256, fp (little-endian 32-bit integers) for every row."""
+    audio_col holds samples, or what `render` makes samples of, one row at a time."""
     ship(spark)
 
     def run(batches):
         import pandas as pd
 
         for pdf in batches:
-            fp = [fingerprint(a).astype("<u4").tobytes() for a in pdf["a"]]
+            fp = [fingerprint(render(a) if render else a).astype("<u4").tobytes() for a in pdf["a"]]
             yield pd.DataFrame({id_col: pdf["i"].values, "n_items": [len(x) // 4 for x in fp], "fp_sha256": [hashlib.sha256(x).hexdigest() for x in fp], "fp": fp})
 
     return media.select(media[id_col].alias("i"), media[audio_col].alias("a")).mapInPandas(run, f"`{id_col}` {dict(media.dtypes)[id_col]}, n_items long, fp_sha256 string, fp binary")

@@ -57,8 +57,8 @@ def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_chroma(spark: SparkSession, sf_dir: str) -> DataFrame:
-    media = chroma.sonify(table(spark, sf_dir, "embeddings"), spark)
-    return chroma.search(keep(chroma.fingerprints(media, spark), spark), spark)
+    prints = chroma.fingerprints(table(spark, sf_dir, "embeddings"), spark, "vec_id", "embedding", chroma.sonify)
+    return chroma.search(keep(prints, spark), spark)
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
