@@ -10,9 +10,10 @@ must share a shingle of.
 Rows (prefix shingle, set, size, position) meet by shingle.  Instead of all pairs
 of a group, two passes find the same components:
 
-1. every set is verified against its group's least set;
+1. every set is verified against one lead: the least set of most of its groups;
 2. sets that share a prefix shingle but lie in different components so far are
-   paired, filtered by length and position, and each pair is verified once.
+   paired, filtered by length, position and the number of prefix shingles that
+   similar sets of their sizes must share, and each pair is verified once.
 
 Pairs inside one component can add no link between components, so no component
 is missed and a group of copies costs its size, not its square.  Verification
@@ -130,7 +131,8 @@ def join(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100, si
     w = W.partitionBy("k")
     groups = keep(listed.withColumn("lead", F.min("id").over(w)).withColumn("last", F.max("id").over(w)).filter("lead <> last"), spark)
     n_of = lambda c: F.shiftright(F.col(c), 32)
-    first = keep(groups.filter("id <> lead").select(F.col("lead").alias("a"), F.col("id").alias("b")).distinct(), spark)
+    led = groups.filter("id <> lead").groupBy("id", "lead").agg(F.count("*").alias("c"))
+    first = keep(led.groupBy("id").agg(F.max_by("lead", F.struct("c", -F.col("lead"))).alias("a")).select("a", F.col("id").alias("b")), spark)
 
     def verified(pairs: DataFrame) -> DataFrame:
         """(src, dst) of the pairs (a, b) that are similar."""
@@ -172,10 +174,13 @@ def join(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100, si
     y = rest.select("k", *(F.col(c).alias(c + "2") for c in ("id", "np", "component")))
     n1, n2 = n_of("np1"), n_of("np2")
     p1, p2 = F.col("np1").bitwiseAND(0xFFFFFFFF), F.col("np2").bitwiseAND(0xFFFFFFFF)
-    most = 1 + F.least(n1 - p1, n2 - p2) - 1  # intersection if this is the first shared shingle
-    cross = (F.col("component1") < F.col("component2")) & (num * n1 <= den * n2) & (num * n2 <= den * n1) & ((num + den) * most >= num * (n1 + n2))
-    tested = first.select("a", "b")
-    pairs = x.join(y, "k").filter(cross).select(F.least("id1", "id2").alias("a"), F.greatest("id1", "id2").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
+    cross = (F.col("component1") < F.col("component2")) & (num * n1 <= den * n2) & (num * n2 <= den * n1)
+    met = x.join(y, "k").filter(cross).groupBy("id1", "id2", n1.alias("n1"), n2.alias("n2")).agg(F.count("*").alias("c"), F.min(p1).alias("p1"), F.min(p2).alias("p2"))
+    need = F.expr(f"ceil({num} * (n1 + n2) / {num + den}.0)")
+    prefix = lambda n: F.expr(f"{n} - ceil({num} * {n} / {den}.0) + 1")
+    fewest = F.least(prefix("n1") - F.col("n1") + need, prefix("n2") - F.col("n2") + need)
+    met = met.filter((F.least(F.col("n1") - F.col("p1"), F.col("n2") - F.col("p2")) >= need) & (F.col("c") >= fewest))
+    pairs = met.select(F.least("id1", "id2").alias("a"), F.greatest("id1", "id2").alias("b")).join(first.select("a", "b"), ["a", "b"], "left_anti")
     pairs = keep(pairs, spark)
     release(spark, groups, rest)
     more = verified(pairs)
