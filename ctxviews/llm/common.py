@@ -114,22 +114,22 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     if not _powers or len(_powers["up"]) < n:
-        n = max(n, 1 << 16)
+        size = max(n, 1 << 16)
         inverse = pow(int(_BASE), -1, 1 << 64)
         with np.errstate(over="ignore"):
             for name, b in (("up", int(_BASE)), ("down", inverse)):
-                a = np.full(n, b, np.uint64)
+                a = np.full(size, b, np.uint64)
                 a[0] = 1
                 _powers[name] = np.multiply.accumulate(a)
     return _powers["up"][:n], _powers["down"][:n]
 
 
 def prefix_hash(data: np.ndarray) -> np.ndarray:
-    """P with P[i] the polynomial hash of data[:i] modulo 2**64."""
+    """P with P[i] the polynomial hash of data[:i] modulo 2**64, for bytes or other integers."""
     up, _ = powers(len(data) + 1)
     out = np.zeros(len(data) + 1, np.uint64)
     with np.errstate(over="ignore"):
-        np.cumsum(_BYTE[data] * up[:-1], out=out[1:])
+        np.cumsum((_BYTE[data] if data.dtype == np.uint8 else mix(data.astype(np.uint64) + np.uint64(1))) * up[:-1], out=out[1:])
     return out
 
 

@@ -10,13 +10,15 @@ run's bytes are its context.  Equal windows have equal anchors, so
 
 1. anchors that occur once need no more work;
 2. contexts that occur twice or more repeat as a whole;
-3. the other contexts of an anchor meet in one task, which sorts the suffixes of
-   their concatenation (linear grouping); a window repeats if a neighbour in the
-   suffix array shares its first `length` bytes.
+3. the other contexts of shared anchors are cut into slots by the windows' distance
+   to the anchor.  All windows of a slot hold its core, so only slots with equal
+   cores meet: in one task, which writes each slot as its bytes around one symbol
+   for the core and sorts the suffixes of their concatenation (linear grouping).  A
+   window repeats if a neighbour in the suffix array shares its whole length.
 
-Copies of a passage are thus counted, not gathered, and only distinct contexts of
-shared anchors are sorted.  Anchors with more than HOT_CONTEXTS distinct contexts
-are not gathered: their windows are counted by hash, in as many tasks as needed.
+Copies of a passage are thus counted, not gathered, and only distinct slots around
+shared cores are sorted.  Cores with more than HOT_SLOTS slots are not gathered:
+their windows are counted by hash, in as many tasks as needed.
 
 Null and empty texts have no bytes and no spans.  Texts shorter than `length` are
 kept whole.  Repeated rows count as further occurrences.
@@ -33,10 +35,12 @@ from pyspark.sql import functions as F
 from .common import keep, prefix_hash, release, ship, small, span_hash, steps
 from .suffix_array import suffix_array
 
-HOT_CONTEXTS = 2000
-#: Bytes of contexts that one suffix array takes, and that one group of tasks' input has on average.
-SORT_BYTES = 300_000
-GROUP_BYTES = 1_500_000
+HOT_SLOTS = 10_000
+#: Symbols that one suffix array takes, and slots that one group has on average.
+SORT_SYMBOLS = 300_000
+GROUP_SLOTS = 8_000
+#: Slots of a context at most.
+SLOTS = 5
 #: Windows of one document that are anchored together.
 SEGMENT = 1 << 22
 
@@ -56,7 +60,7 @@ def anchors(buf: np.ndarray, prefix: np.ndarray, length: int, k: int) -> np.ndar
 
 
 def runs(encoded: list[bytes], length: int, k: int):
-    """(document, first window, last window, anchor hash, context hash) of every run, as arrays."""
+    """(document, first window, last window, anchor, anchor hash, context hash) of every run, as arrays."""
     size = np.fromiter(map(len, encoded), np.int64, len(encoded))
     buf = np.frombuffer(b"".join(encoded), np.uint8)
     if len(buf) < length:
@@ -79,31 +83,34 @@ def runs(encoded: list[bytes], length: int, k: int):
         new = np.flatnonzero(np.concatenate([[True], (pos[1:] != pos[:-1]) | (doc[1:] != doc[:-1]) | (start[1:] != start[:-1] + 1)]))
         last = np.append(new[1:] - 1, len(start) - 1)
         p = pos[new]
-        out.append((doc[new], start[new], start[last], span_hash(prefix, p, p + k), span_hash(prefix, start[new], start[last] + length)))
+        out.append((doc[new], start[new], start[last], p, span_hash(prefix, p, p + k), span_hash(prefix, start[new], start[last] + length)))
     if not out:
         return None
-    doc, i0, i1, anchor, context = (np.concatenate(x) for x in zip(*out, strict=True))
+    doc, i0, i1, p, anchor, context = (np.concatenate(x) for x in zip(*out, strict=True))
     begin = (end - size)[doc]
-    return doc, i0 - begin, i1 - begin, anchor.view(np.int64), context.view(np.int64)
+    return doc, i0 - begin, i1 - begin, p - begin, anchor.view(np.int64), context.view(np.int64)
 
 
-def repeated_windows(contexts: list[bytes], length: int) -> list[tuple[int, int, int]]:
-    """(number of the context, first, last) of runs of windows that also start elsewhere in the contexts."""
-    size = np.array([len(c) for c in contexts])
+def repeated_windows(pieces: list[np.ndarray], length: int) -> list[tuple[int, int, int]]:
+    """(number of the piece, first, last) of runs of windows of `length` symbols that also start elsewhere in the pieces.
+
+    Pieces are sequences of integers from 0 on.
+    """
+    size = np.array([len(c) for c in pieces])
     at = np.concatenate([[0], np.cumsum(size + 1)])
-    m = len(contexts)
-    text = np.empty(at[-1] + 1, np.int64)
-    body = np.frombuffer(b"\0".join(contexts) + b"\0", np.uint8)
-    text[:-1] = body.astype(np.int64) + m + 1
-    text[at[1:] - 1] = np.arange(1, m + 1)[::-1]  # separators: each once, lower than all bytes
-    text[-1] = 0
+    m = len(pieces)
+    body = np.zeros(at[-1], np.int64)
+    inside = np.ones(at[-1], bool)
+    inside[at[1:] - 1] = False
+    body[inside] = np.concatenate(pieces)
+    text = np.append(body + m + 1, 0)
+    text[at[1:] - 1] = np.arange(m, 0, -1)  # separators: each once, lower than all symbols
     order = suffix_array(text)
-    prefix = prefix_hash(body)
     doc = np.searchsorted(at, np.arange(at[-1]), "right") - 1
     wide = at[doc + 1] - 1 - np.arange(at[-1]) >= length
     order = order[order < at[-1]]
-    order = order[wide[order]]  # a suffix between two that share `length` bytes has as many
-    h = span_hash(prefix, order, order + length)
+    order = order[wide[order]]  # a suffix between two that share `length` symbols has as many
+    h = span_hash(prefix_hash(body), order, order + length)
     same = h[1:] == h[:-1]
     hit = np.zeros(at[-1] + 1, bool)
     hit[order[:-1][same]] = True
@@ -126,76 +133,103 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
             k1, k2 = pdf["k1"].to_numpy(), pdf["k2"].to_numpy()
             for first, raw in steps(pdf["t"].tolist()):
                 if (r := runs(raw, length, k)) is not None:
-                    yield pd.DataFrame({"k1": k1[first + r[0]], "k2": k2[first + r[0]], "i0": r[1], "i1": r[2], "anchor": r[3], "ctx": r[4]})
+                    yield pd.DataFrame({"k1": k1[first + r[0]], "k2": k2[first + r[0]], "i0": r[1], "i1": r[2], "p": r[3], "anchor": r[4], "ctx": r[5]})
 
-    occ = keep(source.mapInPandas(find, "k1 long, k2 int, i0 long, i1 long, anchor long, ctx long"), spark)
+    occ = keep(source.mapInPandas(find, "k1 long, k2 int, i0 long, i1 long, p long, anchor long, ctx long"), spark)
     one = F.xxhash64("k1", "k2", "i0")
-    ctxs = occ.groupBy("anchor", "ctx").agg(F.count("*").alias("n"), F.min(one).alias("pick"), F.max(F.col("i1") - F.col("i0")).alias("more"))
+    ctxs = occ.groupBy("anchor", "ctx").agg(F.count("*").alias("n"), F.min(one).alias("pick"))
     ctxs = keep(ctxs, spark)
-    totals = ctxs.groupBy("anchor").agg(F.sum("n").alias("total"), F.count("*").alias("m"), F.sum((F.col("n") == 1).cast("long")).alias("lone"), F.sum(F.col("more") + length).alias("bytes")).filter("total > 1")
-    known = keep(ctxs.join(totals, "anchor").select("anchor", "ctx", "n", "pick", "m", "lone", "bytes"), spark)
+    totals = ctxs.groupBy("anchor").agg(F.sum("n").alias("total"), F.count("*").alias("m"), F.sum((F.col("n") == 1).cast("long")).alias("lone")).filter("total > 1")
+    known = keep(ctxs.join(totals, "anchor").select("anchor", "ctx", "n", "pick", "m", "lone"), spark)
     release(spark, ctxs)
     hit = keep(occ.join(known, ["anchor", "ctx"]).withColumn("one", one), spark)
     release(spark, occ)
     whole = hit.filter("n > 1").select("k1", "k2", F.col("i0").alias("a"), (F.col("i1") + length).alias("b"))
 
     sort = hit.filter("lone > 0 and m > 1 and (n = 1 or one = pick)")
-    wanted = sort.groupBy("k1", "k2").agg(F.collect_list(F.struct("i0", "i1", "anchor", "m", "n")).alias("want"))
-    total = known.filter("lone > 0 and m > 1").dropDuplicates(["anchor"]).agg(F.sum("bytes")).first()[0] or 0
-    groups = max(1, total // GROUP_BYTES)
-    fetch = source.join(small(keep(wanted, spark), spark, 200_000), ["k1", "k2"])
+    wanted = keep(sort.groupBy("k1", "k2").agg(F.collect_list(F.struct("i0", "i1", "p", "anchor", "n")).alias("want")), spark)
+    fetch = source.join(small(wanted, spark, 200_000), ["k1", "k2"])
+    step = max(1, (length - k) // SLOTS)
 
     def cut(batches):
         import pandas as pd
 
         for pdf in batches:
-            rows = []
-            for k1, k2, t, want in zip(pdf["k1"], pdf["k2"], pdf["t"], pdf["want"], strict=True):
-                b = t.encode("utf-8", "surrogatepass")
-                rows += [(k1, k2, w["i0"], w["n"], w["anchor"], w["m"], b[w["i0"] : w["i1"] + length]) for w in want]
-            yield pd.DataFrame(rows, columns=["k1", "k2", "i0", "n", "anchor", "m", "c"])
-
-    pieces = keep(fetch.select("k1", "k2", "t", "want").mapInPandas(cut, "k1 long, k2 int, i0 long, n long, anchor long, m long, c binary"), spark)
+            for a in range(0, len(pdf), 500):
+                rows = []
+                part = pdf.iloc[a : a + 500]
+                for k1, k2, t, want in zip(part["k1"], part["k2"], part["t"], part["want"], strict=True):
+                    raw = t.encode("utf-8", "surrogatepass")
+                    prefix = prefix_hash(np.frombuffer(raw, np.uint8))
+                    own = []
+                    for w in want:
+                        for j in range((w["p"] - w["i1"]) // step, (w["p"] - w["i0"]) // step + 1):
+                            core = w["p"] - step * j
+                            own.append((max(w["i0"], core - step + 1), min(w["i1"], core), core, w["anchor"], j, w["n"]))
+                    core = np.array([o[2] for o in own])
+                    h = span_hash(prefix, core, core + length - step).view(np.int64).tolist()
+                    for (x, y, c, anchor, j, n), g in zip(own, h, strict=True):
+                        rows.append((k1, k2, x, n, anchor, j, g, raw[x:c], raw[c + length - step : y + length]))
+                yield pd.DataFrame(rows, columns=["k1", "k2", "at", "n", "anchor", "j", "core", "before", "after"])
+
+    slots = keep(fetch.select("k1", "k2", "t", "want").mapInPandas(cut, "k1 long, k2 int, at long, n long, anchor long, j int, core long, before binary, after binary"), spark)
+    numbered = slots.withColumn("c", F.xxhash64("anchor", "j", "core"))
+    cores = keep(numbered.groupBy("c").agg(F.count("*").alias("s"), F.min("n").alias("n1")).filter("s > 1 and n1 = 1"), spark)
+    groups = max(1, (cores.agg(F.sum("s")).first()[0] or 0) // GROUP_SLOTS)
+    met = numbered.select("k1", "k2", "at", "n", "c", "before", "after").join(small(cores.select("c", "s"), spark), "c")
 
     def sort_group(pdf):
         import pandas as pd
 
-        out = []
-        pdf = pdf.sort_values(["anchor", "k1", "k2", "i0"], kind="stable").drop_duplicates(["k1", "k2", "i0"])
-        rows = list(zip(pdf["k1"], pdf["k2"], pdf["i0"], pdf["n"], pdf["anchor"], pdf["c"], strict=True))
-        a = 0
-        while a < len(rows):
-            b, size = a, 0
-            while b < len(rows) and (size < SORT_BYTES or rows[b][4] == rows[b - 1][4]):
-                size += len(rows[b][5])
-                b += 1
-            for i, x, y in repeated_windows([r[5] for r in rows[a:b]], length):
-                k1, k2, i0, n, _, _ = rows[a + i]
+        out, batch, owners, symbols = [], [], [], 0
+
+        def solve():
+            for i, x, y in repeated_windows(batch, step + 1):
+                k1, k2, at, n = owners[i]
                 if n == 1:
-                    out.append((k1, k2, i0 + x, i0 + y + length))
-            a = b
+                    out.append((k1, k2, at + x, at + y + length))
+
+        for number, (_, part) in enumerate(pdf.groupby("c", sort=False)):
+            seen: dict[tuple[bytes, bytes], list] = {}
+            for row in zip(part["k1"], part["k2"], part["at"], part["n"], part["before"], part["after"], strict=True):
+                seen.setdefault(row[4:], []).append(row[:4])
+            for (before, after), who in seen.items():
+                if len(who) > 1:  # the whole slot repeats
+                    out += [(k1, k2, at, at + len(before) + len(after) + length - step) for k1, k2, at, n in who if n == 1]
+            if len(seen) > 1:
+                for (before, after), who in seen.items():
+                    s = np.frombuffer(before + b"\0" + after, np.uint8).astype(np.int64)
+                    s[len(before)] = 256 + number
+                    batch.append(s)
+                    owners.append(who[0])
+                    symbols += len(s)
+            if symbols > SORT_SYMBOLS:
+                solve()
+                batch, owners, symbols = [], [], 0
+        if batch:
+            solve()
         return pd.DataFrame(out, columns=["k1", "k2", "a", "b"])
 
-    usual = pieces.filter(F.col("m") <= HOT_CONTEXTS).withColumn("g", F.pmod(F.xxhash64("anchor"), F.lit(groups)))
+    usual = met.filter(F.col("s") <= HOT_SLOTS).withColumn("g", F.pmod(F.xxhash64("c"), F.lit(groups)))
     sorted_ = usual.groupBy("g").applyInPandas(sort_group, "k1 long, k2 int, a long, b long")
 
     def window_hashes(batches):
         import pandas as pd
 
         for pdf in batches:
-            for k1, k2, i0, n, c in zip(pdf["k1"], pdf["k2"], pdf["i0"], pdf["n"], pdf["c"], strict=True):
-                buf = np.frombuffer(c, np.uint8)
-                at = np.arange(len(buf) - length + 1)
-                yield pd.DataFrame({"k1": k1, "k2": k2, "at": i0 + at, "n": n, "h": span_hash(prefix_hash(buf), at, at + length).view(np.int64)})
-
-    hot = pieces.filter(F.col("m") > HOT_CONTEXTS).mapInPandas(window_hashes, "k1 long, k2 int, at long, n long, h long")
-    twice = hot.groupBy("h").agg(F.count("*").alias("c")).filter("c > 1").select("h")
-    counted = hot.join(twice, "h", "left_semi").filter("n = 1").select("k1", "k2", F.col("at").alias("a"), (F.col("at") + length).alias("b"))
+            for k1, k2, at, n, c, before, after in zip(pdf["k1"], pdf["k2"], pdf["at"], pdf["n"], pdf["c"], pdf["before"], pdf["after"], strict=True):
+                s = np.frombuffer(before + b"\0" + after, np.uint8).astype(np.int64)
+                s[len(before)] = 256
+                x = np.arange(len(s) - step)
+                yield pd.DataFrame({"k1": k1, "k2": k2, "at": at + x, "n": n, "c": c, "h": span_hash(prefix_hash(s), x, x + step + 1).view(np.int64)})
+
     ranges = whole.union(sorted_)
-    if known.filter(F.col("m") > HOT_CONTEXTS).limit(1).count():
-        ranges = ranges.union(counted)
+    if cores.filter(F.col("s") > HOT_SLOTS).limit(1).count():
+        hot = met.filter(F.col("s") > HOT_SLOTS).mapInPandas(window_hashes, "k1 long, k2 int, at long, n long, c long, h long")
+        twice = hot.groupBy("c", "h").agg(F.count("*").alias("times")).filter("times > 1").select("c", "h")
+        ranges = ranges.union(hot.join(twice, ["c", "h"], "left_semi").filter("n = 1").select("k1", "k2", F.col("at").alias("a"), (F.col("at") + length).alias("b")))
     spans = keep(ranges.groupBy("k1", "k2").agg(F.collect_list(F.struct("a", "b")).alias("spans")), spark)
-    release(spark, hit, known, pieces)
+    release(spark, hit, known, wanted, slots, cores)
     return keyed, spans
 
 
