@@ -10,7 +10,8 @@ must share a shingle of.
 Rows (prefix shingle, set, size, position) meet by shingle.  Instead of all pairs
 of a group, two passes find the same components:
 
-1. every set is verified against one lead: the least set of most of its groups;
+1. every set is verified against one lead, the least set of most of its groups, if
+   they share half of the prefix shingles that similar sets of their sizes share;
 2. sets that share a prefix shingle but lie in different components so far are
    paired, filtered by length, position and the number of prefix shingles that
    similar sets of their sizes must share, and each pair is verified once.
@@ -101,6 +102,8 @@ def join(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100, si
 
     seen = keep(source.mapInPandas(survey, "id long, n long, h1 long, h2 long, doc boolean"), spark)
     sets = seen.filter("doc").select("id", "n", "h1", "h2")
+    if sets.groupBy("id").count().filter("count > 1").limit(1).count():
+        source = source.dropDuplicates(["id"])  # repeated rows
     often = seen.filter("not doc").groupBy("h1").agg(F.sum("n").alias("c")).orderBy(F.desc("c"), "h1").limit(FREQUENT).collect()
     keys = np.array([r.h1 for r in often], np.int64).view(np.uint64)
     by = np.argsort(keys)
@@ -129,9 +132,14 @@ def join(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100, si
 
     listed = alone.mapInPandas(prefixes, "k long, id long, np long")
     w = W.partitionBy("k")
-    groups = keep(listed.withColumn("lead", F.min("id").over(w)).withColumn("last", F.max("id").over(w)).filter("lead <> last"), spark)
     n_of = lambda c: F.shiftright(F.col(c), 32)
-    led = groups.filter("id <> lead").groupBy("id", "lead").agg(F.count("*").alias("c"))
+    least = F.min(F.struct("id", n_of("np").alias("n"))).over(w)
+    groups = keep(listed.withColumn("lead", least).withColumn("last", F.max("id").over(w)).filter("lead.id <> last"), spark)
+    need = F.expr(f"ceil({num} * (n1 + n2) / {num + den}.0)")
+    prefix = lambda n: F.expr(f"{n} - ceil({num} * {n} / {den}.0) + 1")
+    fewest = F.least(prefix("n1") - F.col("n1") + need, prefix("n2") - F.col("n2") + need)
+    led = groups.filter("id <> lead.id").groupBy("id", n_of("np").alias("n2"), F.col("lead.id").alias("lead"), F.col("lead.n").alias("n1")).agg(F.count("*").alias("c"))
+    led = led.filter((num * F.col("n1") <= den * F.col("n2")) & (num * F.col("n2") <= den * F.col("n1")) & (2 * F.col("c") >= fewest))
     first = keep(led.groupBy("id").agg(F.max_by("lead", F.struct("c", -F.col("lead"))).alias("a")).select("a", F.col("id").alias("b")), spark)
 
     def verified(pairs: DataFrame) -> DataFrame:
@@ -146,8 +154,7 @@ def join(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100, si
                 for at, raw in steps(pdf["t"].tolist()):
                     yield pd.DataFrame({"id": ids[at : at + len(raw)], "s": [s.tobytes() for s in shingles(raw, size)]})
 
-        # A set goes once to each lead it is compared with; the lead's own set goes along.
-        full = keep(_join_ids(source, keep(need, spark), spark, "left_semi").dropDuplicates(["id"]).mapInPandas(whole, "id long, s binary"), spark)
+        full = keep(_join_ids(source, keep(need, spark), spark, "left_semi").mapInPandas(whole, "id long, s binary"), spark)
 
         def check(batches):
             import pandas as pd
@@ -176,9 +183,6 @@ def join(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100, si
     p1, p2 = F.col("np1").bitwiseAND(0xFFFFFFFF), F.col("np2").bitwiseAND(0xFFFFFFFF)
     cross = (F.col("component1") < F.col("component2")) & (num * n1 <= den * n2) & (num * n2 <= den * n1)
     met = x.join(y, "k").filter(cross).groupBy("id1", "id2", n1.alias("n1"), n2.alias("n2")).agg(F.count("*").alias("c"), F.min(p1).alias("p1"), F.min(p2).alias("p2"))
-    need = F.expr(f"ceil({num} * (n1 + n2) / {num + den}.0)")
-    prefix = lambda n: F.expr(f"{n} - ceil({num} * {n} / {den}.0) + 1")
-    fewest = F.least(prefix("n1") - F.col("n1") + need, prefix("n2") - F.col("n2") + need)
     met = met.filter((F.least(F.col("n1") - F.col("p1"), F.col("n2") - F.col("p2")) >= need) & (F.col("c") >= fewest))
     pairs = met.select(F.least("id1", "id2").alias("a"), F.greatest("id1", "id2").alias("b")).join(first.select("a", "b"), ["a", "b"], "left_anti")
     pairs = keep(pairs, spark)
