@@ -35,7 +35,9 @@ from pyspark.sql import Window as W
 from .common import components, keep, mix, release, shingles, ship, small, steps
 
 #: Shingles that are ordered by their counts; all others count as equally rare.
-FREQUENT = 20_000
+FREQUENT = 200_000
+#: Shingles whose repeats are counted together.
+COUNTED = 4_000_000
 SUFFIX_DEPTH = 3
 
 
@@ -87,7 +89,7 @@ def join(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100, si
         import pandas as pd
 
         for pdf in batches:
-            ids = pdf["id"].to_numpy()
+            ids, held = pdf["id"].to_numpy(), []
             for first, raw in steps(pdf["t"].tolist()):
                 sets = shingles(raw, size)
                 n = np.array([len(s) for s in sets])
@@ -95,10 +97,12 @@ def join(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100, si
                     h1 = np.array([s.sum(dtype=np.uint64) for s in sets], np.uint64)
                     h2 = np.array([np.bitwise_xor.reduce(mix(s)) if len(s) else 0 for s in sets], np.uint64)
                 yield pd.DataFrame({"id": ids[first : first + len(raw)], "n": n, "h1": h1.view(np.int64), "h2": h2.view(np.int64), "doc": True})
-                v, c = np.unique(np.concatenate(sets), return_counts=True)
-                some = c >= 3
-                if some.any():
-                    yield pd.DataFrame({"id": 0, "n": c[some], "h1": v[some].view(np.int64), "h2": 0, "doc": False})
+                held += sets
+                if sum(map(len, held)) > COUNTED or first + len(raw) == len(ids):
+                    v, c = np.unique(np.concatenate(held), return_counts=True)
+                    held, some = [], c >= 3
+                    if some.any():
+                        yield pd.DataFrame({"id": 0, "n": c[some], "h1": v[some].view(np.int64), "h2": 0, "doc": False})
 
     seen = keep(source.mapInPandas(survey, "id long, n long, h1 long, h2 long, doc boolean"), spark)
     sets = seen.filter("doc").select("id", "n", "h1", "h2")
