@@ -21,8 +21,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .common import LOWER, sample_rows, ship, steps
 
-TRAIN_ROWS = 4000
-BUCKETS = 1 << 13
+TRAIN_ROWS = 3000
+BUCKETS = 1 << 12
 LETTER = regex.compile(r"\p{L}")
 
 
@@ -33,11 +33,11 @@ def features(texts: list[str | None]) -> np.ndarray:
         for i, b in enumerate(raw):
             x = LOWER[np.frombuffer(b"  " + b + b" ", np.uint8)].astype(np.uint32)
             h = x * np.uint32(2654435761)
-            total = np.bincount(h >> np.uint32(19), minlength=BUCKETS)
+            total = np.bincount(h >> np.uint32(20), minlength=BUCKETS)
             for _ in range(2):
                 h = (h[:-1] ^ x[len(x) - len(h) + 1 :]) * np.uint32(2246822519)
                 h ^= h >> np.uint32(15)
-                total = total + np.bincount((h * np.uint32(2654435761)) >> np.uint32(19), minlength=BUCKETS)
+                total = total + np.bincount((h * np.uint32(2654435761)) >> np.uint32(20), minlength=BUCKETS)
             out[first + i] = total
     np.sqrt(out, out=out)
     return out / np.maximum(np.linalg.norm(out, axis=1, keepdims=True), 1e-9)
