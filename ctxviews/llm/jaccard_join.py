@@ -36,6 +36,8 @@ from .common import components, keep, mix, release, shingles, ship, small, steps
 
 #: Shingles that are ordered by their counts; all others count as equally rare.
 FREQUENT = 200_000
+#: Sets that share a shingle from which the group counts as hot.
+HOT_GROUP = 64
 #: Shingles whose repeats are counted together.
 COUNTED = 4_000_000
 SUFFIX_DEPTH = 3
@@ -179,18 +181,28 @@ def join(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100, si
     # Pass 2: only pairs between components.
     node = comp.select(F.col("node").alias("id"), "component")
     placed = groups.drop("lead", "last").join(small(node, spark), "id", "left").withColumn("component", F.coalesce("component", "id"))
-    mixed = placed.groupBy("k").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("k")
-    rest = keep(placed.join(mixed, "k", "left_semi"), spark)
-    x = rest.select("k", *(F.col(c).alias(c + "1") for c in ("id", "np", "component")))
-    y = rest.select("k", *(F.col(c).alias(c + "2") for c in ("id", "np", "component")))
-    n1, n2 = n_of("np1"), n_of("np2")
-    p1, p2 = F.col("np1").bitwiseAND(0xFFFFFFFF), F.col("np2").bitwiseAND(0xFFFFFFFF)
-    cross = (F.col("component1") < F.col("component2")) & (num * n1 <= den * n2) & (num * n2 <= den * n1)
-    met = x.join(y, "k").filter(cross).groupBy("id1", "id2", n1.alias("n1"), n2.alias("n2")).agg(F.count("*").alias("c"), F.min(p1).alias("p1"), F.min(p2).alias("p2"))
-    met = met.filter((F.least(F.col("n1") - F.col("p1"), F.col("n2") - F.col("p2")) >= need) & (F.col("c") >= fewest))
+    mixed = placed.groupBy("k").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("m")).filter("lo < hi").select("k", (F.col("m") > HOT_GROUP).alias("hot"))
+    rest = keep(placed.join(mixed, "k"), spark)
+    hot = rest.filter("hot").groupBy("id").agg(F.count("*").alias("h"))
+    rest = rest.join(small(keep(hot, spark), spark), "id", "left").withColumn("h", F.coalesce("h", F.lit(0)))
+    row = [c for c in rest.columns if c not in ("k", "hot")]
+    side = lambda i, which: rest.filter(which).select("k", *(F.col(c).alias(f"{c}{i}") for c in row)).withColumn(f"n{i}", n_of(f"np{i}")).withColumn(f"p{i}", F.col(f"np{i}").bitwiseAND(0xFFFFFFFF)).drop(f"np{i}")
+    n1, n2, p1, p2 = map(F.col, ("n1", "n2", "p1", "p2"))
+    length = (num * n1 <= den * n2) & (num * n2 <= den * n1)
+    usual = side(1, "not hot").join(side(2, "not hot"), "k").filter((F.col("component1") < F.col("component2")) & length)
+    # In a frequent shingle's group the smaller set must have it early: its first shared shingle leaves room for what it needs.
+    early = side(1, "hot").filter(n1 - p1 >= F.expr(f"ceil({num} * 2 * n1 / {num + den}.0)"))
+    order = (n1 < n2) | ((n1 == n2) & (F.col("id1") < F.col("id2")))
+    often_ = early.join(side(2, "hot"), "k").filter(order & (F.col("component1") != F.col("component2")) & length & (F.least(n1 - p1, n2 - p2) >= need))
+    met = usual.withColumn("c", F.lit(1)).unionByName(often_.withColumn("c", F.lit(0)))
+    first_is = F.col("id1") < F.col("id2")
+    pick = lambda c, d: F.when(first_is, F.col(c)).otherwise(F.col(d))
+    met = met.select(*(pick(f"{c}{i}", f"{c}{3 - i}").alias(f"{c}{i}") for c in ("id", "n", "p", "h") for i in (1, 2)), "c")
+    met = met.groupBy("id1", "id2", "n1", "n2", "h1", "h2").agg(F.sum("c").alias("c"), F.min("p1").alias("p1"), F.min("p2").alias("p2"))
+    met = met.filter((F.least(n1 - p1, n2 - p2) >= need) & (F.col("c") + F.least("h1", "h2") >= fewest))
     pairs = met.select(F.least("id1", "id2").alias("a"), F.greatest("id1", "id2").alias("b")).join(first.select("a", "b"), ["a", "b"], "left_anti")
     pairs = keep(pairs, spark)
-    release(spark, groups, rest)
+    release(spark, groups)
     more = verified(pairs)
     release(spark, pairs, first)
     if more.limit(1).count():
