@@ -18,6 +18,8 @@ from pyspark.sql import functions as F
 STEP_BYTES = 1 << 21
 #: Rows up to which an id list may be broadcast (16 bytes a row).
 BROADCAST_ROWS = 500_000
+#: Rows of an Arrow batch at most.
+ARROW_ROWS = 2000
 
 _scratch: list[tuple[SparkSession, str]] = []
 
@@ -27,7 +29,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def ship(spark: SparkSession) -> None:
-    """Give executors this package once per application, however the driver found it."""
+    """Give executors this package once per application, however the driver found it, and keep
+    Arrow batches small: their rows hold whole texts."""
+    rows = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(rows, "10000")) <= ARROW_ROWS:
+        spark.conf.set(rows, str(ARROW_ROWS))
     sc = spark.sparkContext
     if getattr(sc, "_ctxviews_shipped", False):
         return

@@ -126,17 +126,22 @@ def identify(docs: DataFrame, spark: SparkSession, model: OutputCodes, carry: li
     ship(spark)
     shared = spark.sparkContext.broadcast(model)
 
+    held = text_col if text_col in carry else "ctxviews_text"
+
     def run(batches):
         m = shared.value
         for pdf in batches:
-            texts = pdf.pop("ctxviews_text").tolist()
-            lang, score, unsure = ["und"] * len(texts), [0.0] * len(texts), [False] * len(texts)
-            ok = [i for i, t in enumerate(texts) if isinstance(t, str) and m.languages and LETTER.search(t)]
-            for a in range(0, len(ok), 256):
-                who, p, flag = m.predict(features([texts[i] for i in ok[a : a + 256]]))
-                for i, k, s, f in zip(ok[a : a + 256], who, p, flag, strict=True):
-                    lang[i], score[i], unsure[i] = m.languages[k], float(s), bool(f)
-            yield pdf.assign(lang_pred=lang, score=score, ambiguous=unsure)
+            for first in range(0, len(pdf), 1000):
+                part = pdf.iloc[first : first + 1000]
+                texts = part[held].tolist()
+                lang, score, unsure = ["und"] * len(texts), [0.0] * len(texts), [False] * len(texts)
+                ok = [i for i, t in enumerate(texts) if isinstance(t, str) and m.languages and LETTER.search(t)]
+                for a in range(0, len(ok), 256):
+                    who, p, flag = m.predict(features([texts[i] for i in ok[a : a + 256]]))
+                    for i, k, s, f in zip(ok[a : a + 256], who, p, flag, strict=True):
+                        lang[i], score[i], unsure[i] = m.languages[k], float(s), bool(f)
+                yield part[carry].assign(lang_pred=lang, score=score, ambiguous=unsure)
 
     schema = "".join(f"`{c}` {k}, " for c, k in docs.select(*carry).dtypes)
-    return docs.select(*carry, docs[text_col].alias("ctxviews_text")).mapInPandas(run, schema + "lang_pred string, score double, ambiguous boolean")
+    own = docs.select(*carry) if held == text_col else docs.select(*carry, docs[text_col].alias(held))
+    return own.mapInPandas(run, schema + "lang_pred string, score double, ambiguous boolean")

@@ -204,12 +204,15 @@ def score(docs: DataFrame, spark: SparkSession, model: QualityModel, carry: list
     ship(spark)
     shared = spark.sparkContext.broadcast(model)
 
+    held = text_col if text_col in carry else "ctxviews_text"
+
     def run(batches):
         m = shared.value
         for pdf in batches:
-            texts = pdf.pop("ctxviews_text").tolist()
-            p = [m.net.score(pool(texts[a : a + 512], m.vectors)) for a in range(0, len(texts), 512)]
-            yield pdf.assign(score=np.concatenate(p) if p else np.zeros(0))
+            for a in range(0, len(pdf), 500):
+                part = pdf.iloc[a : a + 500]
+                yield part[carry].assign(score=m.net.score(pool(part[held].tolist(), m.vectors)))
 
     schema = "".join(f"`{c}` {k}, " for c, k in docs.select(*carry).dtypes)
-    return docs.select(*carry, docs[text_col].alias("ctxviews_text")).mapInPandas(run, schema + "score double")
+    own = docs.select(*carry) if held == text_col else docs.select(*carry, docs[text_col].alias(held))
+    return own.mapInPandas(run, schema + "score double")
