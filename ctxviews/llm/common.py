@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of text that one vectorised step works on (a longer text is one step).
-STEP_BYTES = 1 << 21
+STEP_BYTES = 1 << 19
 #: Rows up to which an id list may be broadcast (16 bytes a row).
 BROADCAST_ROWS = 500_000
 #: Rows of an Arrow batch at most.
