@@ -60,13 +60,18 @@ def char_cosine(a: Column, b: Column) -> Column:
     return F.size(F.array_intersect(x, y)) / F.sqrt(F.size(x) * F.size(y))
 
 
+def _span(x: Column, n: int):
+    return lambda i: F.concat(F.lit(" "), F.concat_ws(" ", F.slice(x, i, n)), F.lit(" "))
+
+
 def longest_run(a: Column, b: Column) -> Column:
     """Tokens of the longest run of a that b holds, up to eight."""
     x = tokens(a)
     text = F.concat(F.lit(" "), F.concat_ws(" ", tokens(b)), F.lit(" "))
     best = F.lit(0)
     for n in range(1, 9):
-        has = F.exists(F.sequence(F.lit(1), F.greatest(F.size(x) - n + 1, F.lit(1))), lambda i, n=n: F.contains(text, F.concat(F.lit(" "), F.concat_ws(" ", F.slice(x, i, n)), F.lit(" "))))
+        spans = F.transform(F.sequence(F.lit(1), F.greatest(F.size(x) - n + 1, F.lit(1))), _span(x, n))
+        has = F.exists(spans, lambda s: F.contains(text, s))
         best = F.when((F.size(x) >= n) & has, n).otherwise(best)
     return best
 
