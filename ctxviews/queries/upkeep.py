@@ -126,7 +126,7 @@ def _occ_sql(src: str, p: str) -> str:
 REBUILT = CHANGED + _occ_sql("vn", "n") + f", dg as (select repo, lang, count(*) as n, sum({num('path||chr(31)||line||chr(31)||col||chr(31)||symbol||chr(31)||def_path||chr(31)||def_line')})::bigint as digest from nr group by all)"
 
 
-@query("q4_symbol_classes", f"""with {HUNKS}{_occ_sql('vo', 'o')}{_occ_sql('vn', 'm')}, os as (select o.repo, o.lang, o.path, o.symbol, row_number() over (partition by o.repo, o.lang, o.path, o.symbol order by o.line)::int as ordinal, o.line as old_line from od o join ch using (repo, lang, path)), ns as (select o.repo, o.lang, o.path, o.symbol, row_number() over (partition by o.repo, o.lang, o.path, o.symbol order by o.line)::int as ordinal, o.line as new_line from md o join ch using (repo, lang, path)),
+@query("q4_symbol_classes", f"""with {HUNKS}{_occ_sql('vo', 'w')}{_occ_sql('vn', 'm')}, os as (select o.repo, o.lang, o.path, o.symbol, row_number() over (partition by o.repo, o.lang, o.path, o.symbol order by o.line)::int as ordinal, o.line as old_line from wd o join ch using (repo, lang, path)), ns as (select o.repo, o.lang, o.path, o.symbol, row_number() over (partition by o.repo, o.lang, o.path, o.symbol order by o.line)::int as ordinal, o.line as new_line from md o join ch using (repo, lang, path)),
  mp as (select os.*, case when h.path is null then old_line when old_line >= h.old_start and old_line < h.old_start + h.old_len then null when old_line >= h.old_start + h.old_len then old_line + h.new_len - h.old_len else old_line end as mapped from os left join hk h using (repo, lang, path)),
  jn as (select coalesce(a.repo, b.repo) as repo, coalesce(a.lang, b.lang) as lang, coalesce(a.path, b.path) as path, coalesce(a.symbol, b.symbol) as symbol, coalesce(a.ordinal, b.ordinal) as ordinal, a.old_line, a.mapped, b.new_line from mp a full join ns b on a.repo = b.repo and a.lang = b.lang and a.path = b.path and a.symbol = b.symbol and a.ordinal = b.ordinal)
  select j.repo, j.lang, j.path, j.symbol, j.ordinal, case when new_line is null then 'deleted' when old_line is null then 'added' when coalesce(new_line >= h.new_start and new_line < h.new_start + h.new_len, false) or mapped is null or mapped <> new_line then 'affected' when old_line <> new_line then 'shifted' else 'unchanged' end as class, old_line, new_line from jn j left join hk h on h.repo = j.repo and h.lang = j.lang and h.path = j.path""")
