@@ -113,7 +113,7 @@ class Network:
     constant: float | None = None
 
     @classmethod
-    def fit(cls, x: np.ndarray, y: np.ndarray, hidden: int = 32, epochs: int = 60) -> Network:
+    def fit(cls, x: np.ndarray, y: np.ndarray, hidden: int = 32, epochs: int = 100) -> Network:
         d = x.shape[1]
         if len(set(y.tolist())) < 2:
             return cls(np.zeros(d), np.ones(d), np.zeros((d, 1)), np.zeros(1), np.zeros(1), 0.0, 1.0, float(y.mean()) if len(y) else 0.5)
@@ -131,7 +131,7 @@ class Network:
                 h = np.maximum(xb @ p[0] + p[1], 0)
                 e = (1 / (1 + np.exp(-np.clip(h @ p[2] + p[3][0], -30, 30))) - yb) / len(xb)
                 dh = e[:, None] * p[2] * (h > 0)
-                grads = [xb.T @ dh + 1e-4 * p[0], dh.sum(0), h.T @ e, e.sum(keepdims=True)]
+                grads = [xb.T @ dh + 5e-3 * p[0], dh.sum(0), h.T @ e + 5e-3 * p[2], e.sum(keepdims=True)]
                 t += 1
                 for k, g in enumerate(grads):
                     m[k] = 0.9 * m[k] + 0.1 * g
