@@ -54,7 +54,7 @@ def encode(u: DataFrame, e: Encoder, idf: DataFrame, key: str = "unit_id") -> Da
     sign = F.when(F.shiftright(h, 16) % 2 == 0, 1.0).otherwise(-1.0)
     w = tf.join(idf, "f").groupBy(key, (h % e.dim).alias("bucket")).agg(F.sum(sign * F.col("tf") * F.col("idf")).alias("w"))
     norm = F.sqrt(F.sum(F.col("w") * F.col("w")).over(W.partitionBy(key)))
-    return w.withColumn("norm", norm).filter("norm > 0 and w <> 0").select(key, "bucket", (F.col("w") / F.col("norm")).alias("w"))
+    return w.withColumn("norm", norm).filter("norm > 0 and abs(w) > 1e-9").select(key, "bucket", (F.col("w") / F.col("norm")).alias("w"))
 
 
 def search_sparse(q: DataFrame, vectors: DataFrame, k: int, key: str = "unit_id") -> DataFrame:

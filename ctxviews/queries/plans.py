@@ -53,7 +53,7 @@ def _(spark, d):
 
 
 def dense_sql(k: int, dim: int = 256) -> str:
-    return f"""{encode_sql(dim, 'un', 'v', 'un')}, qq as (select query_id as key, text from q), qh_w as (select key, ('0x'||substr(md5(f),1,8))::bigint % {dim} as bucket, sum(case when (('0x'||substr(md5(f),1,8))::bigint >> 16) % 2 = 0 then 1.0::double else -1.0::double end * tf * idf) as w from (select key, f, count(*) as tf from (select key, unnest(regexp_extract_all(lower(text), {TOKEN})) as f from qq) group by all) join v_df using (f) group by all), qh as (select key, bucket, w / sqrt(sum(w * w) over (partition by key)) as w from qh_w where w <> 0),
+    return f"""{encode_sql(dim, 'un', 'v', 'un')}, qq as (select query_id as key, text from q), qh_w as (select key, ('0x'||substr(md5(f),1,8))::bigint % {dim} as bucket, sum(case when (('0x'||substr(md5(f),1,8))::bigint >> 16) % 2 = 0 then 1.0::double else -1.0::double end * tf * idf) as w from (select key, f, count(*) as tf from (select key, unnest(regexp_extract_all(lower(text), {TOKEN})) as f from qq) group by all) join v_df using (f) group by all), qh as (select key, bucket, w / sqrt(sum(w * w) over (partition by key)) as w from qh_w where abs(w) > 1e-9),
  ds as (select qh.key as query_id, v.key as unit_id, round(sum(v.w * qh.w), 6) as score from v join qh using (bucket) group by all), dn as (select *, row_number() over (partition by query_id order by score desc, unit_id)::int as rank from ds qualify rank <= {k})"""
 
 

@@ -183,7 +183,7 @@ def encode_sql(dim: int, src: str, name: str, idf_from: str) -> str:
     h = num("f")
     return f""", {name}_df as (select f, ln(1 + (select count(*) from {idf_from}) / count(*)) as idf from (select distinct key, unnest(regexp_extract_all(lower(text), {TOKEN})) as f from {idf_from}) group by f),
  {name}_w as (select key, {h} % {dim} as bucket, sum(case when ({h} >> 16) % 2 = 0 then 1.0::double else -1.0::double end * tf * idf) as w from (select key, f, count(*) as tf from (select key, unnest(regexp_extract_all(lower(text), {TOKEN})) as f from {src}) group by all) join {name}_df using (f) group by all),
- {name} as (select key, bucket, w / sqrt(sum(w * w) over (partition by key)) as w from {name}_w where w <> 0)"""
+ {name} as (select key, bucket, w / sqrt(sum(w * w) over (partition by key)) as w from {name}_w where abs(w) > 1e-9)"""
 
 
 UNITS_SQL = L2 + f", un as (select {unit_id('path', 2, 'line', 'line')} as key, path, line, text from l2)"
