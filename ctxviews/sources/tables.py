@@ -14,9 +14,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """Deal a table of few partitions over all cores; larger ones stay as they are read."""
+    n = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(n) if 2 * df.rdd.getNumPartitions() <= n else df
+
+
 def files(spark: SparkSession, sf_dir: str) -> DataFrame:
     """repo, lang, version, path, doc_id, text of every document (null text is empty)."""
-    return table(spark, sf_dir, "documents").select(
+    return spread(table(spark, sf_dir, "documents").select("source", "lang", "doc_id", "text")).select(
         F.col("source").alias("repo"), "lang", F.lit(0).alias("version"),
         F.concat_ws("/", "source", "lang", F.col("doc_id").cast("string")).alias("path"), "doc_id", F.coalesce("text", F.lit("")).alias("text"),
     )
