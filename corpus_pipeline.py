@@ -47,13 +47,23 @@ def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component stays: the one with the least id, once."""
-    found = keep(jaccard_join.join(docs, spark), spark)
-    gone = found.filter("component_id is not null and component_id <> doc_id").select(F.col("doc_id").alias("ctxviews_gone")).distinct()
-    kept = docs.join(small(gone, spark), docs["doc_id"].cast("long") == F.col("ctxviews_gone"), "left_anti")
-    if found.groupBy("doc_id").count().filter("count > 1").limit(1).count():
-        kept = kept.dropDuplicates(["doc_id"])
-    return kept
+    """One document of each component stays, once: the one with the least id (null comes last), then node.
+
+    Documents are told apart by id and text; those without words and id are never the same.
+    """
+    own = _apart(docs)
+    number, text = (own.columns[docs.columns.index(c)] for c in ("doc_id", "text"))
+    found = keep(jaccard_join.linked(own, spark, id_col=number, text_col=text), spark)
+    nodes = found.filter("n_shingles > 0 or id is not null")
+    first = nodes.groupBy("component").agg(F.min(F.struct(F.col("id").isNull(), "id", "node"))["node"].alias("stays"), F.min("node").alias("lo"), F.max("node").alias("hi"))
+    first = keep(first.filter("lo < hi").select("component", "stays"), spark)
+    gone = keep(nodes.join(small(first, spark), "component").filter("node <> stays").select("node").distinct(), spark)
+    again = keep(nodes.groupBy("node").count().filter("count > 1").select("node"), spark)
+    kept = own.withColumn("node", jaccard_join.node_key(own, number, text)).join(small(gone, spark), "node", "left_anti")
+    if again.limit(1).count():
+        once = kept.join(small(again, spark), "node", "left_semi").dropDuplicates(["node"])
+        kept = kept.join(small(again, spark), "node", "left_anti").union(once)
+    return kept.select(own.columns).toDF(*docs.columns)
 
 
 def repeat_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

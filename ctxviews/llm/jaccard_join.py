@@ -22,13 +22,14 @@ runs the suffix filter before it intersects the sets.
 
 A document without words has an empty set, links with nothing and is its own
 component; fewer than `size` words make one shingle.  Null text is empty text.
-Rows with the same id count as one node.
+A node is a 64-bit hash of id and text: repeated rows are one node, while rows that
+share an id, or have none, but differ in text are nodes of their own.
 """
 
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
@@ -81,35 +82,47 @@ def _join_ids(df: DataFrame, ids: DataFrame, spark: SparkSession, how: str) -> D
     return df.join(small(ids, spark), "id", how)
 
 
+def node_key(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Column:
+    return F.xxhash64(docs[id_col], docs[text_col])
+
+
 def join(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100, size: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id_col, n_shingles, component_id for every row (ids as long)."""
+    """id_col, n_shingles, component_id (least id of the component, null if no row of it has one) for
+    every row (ids as long), and component_key, which tells components apart whose ids do not."""
+    out = linked(docs, spark, num, den, size, id_col, text_col)
+    return out.select(F.col("id").alias(id_col), "n_shingles", "component_id", F.col("component").alias("component_key"))
+
+
+def linked(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100, size: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """node, id, n_shingles, component (least node), component_id (least id) for every row."""
     ship(spark)
-    source = docs.select(docs[id_col].cast("long").alias("id"), docs[text_col].alias("t"))
+    # In what follows the node is called id; ids travel as strings, since pandas has no null integers.
+    source = docs.select(node_key(docs, id_col, text_col).alias("id"), docs[id_col].cast("long").cast("string").alias("own"), docs[text_col].alias("t"))
 
     # One pass: size and 128-bit fingerprint of every set, and counts of repeated shingles.
     def survey(batches):
         import pandas as pd
 
         for pdf in batches:
-            ids, held = pdf["id"].to_numpy(), []
+            ids, own, held = pdf["id"].to_numpy(), pdf["own"].to_numpy(), []
             for first, raw in steps(pdf["t"].tolist()):
                 sets = shingles(raw, size)
                 n = np.array([len(s) for s in sets])
                 with np.errstate(over="ignore"):
                     h1 = np.array([s.sum(dtype=np.uint64) for s in sets], np.uint64)
                     h2 = np.array([np.bitwise_xor.reduce(mix(s)) if len(s) else 0 for s in sets], np.uint64)
-                yield pd.DataFrame({"id": ids[first : first + len(raw)], "n": n, "h1": h1.view(np.int64), "h2": h2.view(np.int64), "doc": True})
+                yield pd.DataFrame({"id": ids[first : first + len(raw)], "own": own[first : first + len(raw)], "n": n, "h1": h1.view(np.int64), "h2": h2.view(np.int64), "doc": True})
                 held += sets
                 if sum(map(len, held)) > COUNTED or first + len(raw) == len(ids):
                     v, c = np.unique(np.concatenate(held), return_counts=True)
                     held, some = [], c >= 3
                     if some.any():
-                        yield pd.DataFrame({"id": 0, "n": c[some], "h1": v[some].view(np.int64), "h2": 0, "doc": False})
+                        yield pd.DataFrame({"id": 0, "own": None, "n": c[some], "h1": v[some].view(np.int64), "h2": 0, "doc": False})
 
-    seen = keep(source.mapInPandas(survey, "id long, n long, h1 long, h2 long, doc boolean"), spark)
-    sets = seen.filter("doc").select("id", "n", "h1", "h2")
+    seen = keep(source.mapInPandas(survey, "id long, own string, n long, h1 long, h2 long, doc boolean"), spark)
+    sets = seen.filter("doc").select("id", F.col("own").cast("long").alias("own"), "n", "h1", "h2")
     if sets.groupBy("id").count().filter("count > 1").limit(1).count():
-        source = source.dropDuplicates(["id"])  # repeated rows
+        source = source.dropDuplicates(["id"])  # repeated rows, with equal texts
     often = seen.filter("not doc").groupBy("h1").agg(F.sum("n").alias("c")).orderBy(F.desc("c"), "h1").limit(FREQUENT).collect()
     keys = np.array([r.h1 for r in often], np.int64).view(np.uint64)
     by = np.argsort(keys)
@@ -208,6 +221,8 @@ def join(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100, si
     if more.limit(1).count():
         comp = keep(components(links.union(more), spark), spark)
 
-    reps = sets.select("id", "n").join(copies.groupBy("id").agg(F.min("rep").alias("rep")), "id", "left").withColumn("node", F.coalesce("rep", "id"))
-    out = reps.join(small(comp, spark), "node", "left")
-    return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component", "node").alias("component_id"))
+    reps = sets.select("id", "own", "n").join(copies.groupBy("id").agg(F.min("rep").alias("rep")), "id", "left").withColumn("node", F.coalesce("rep", "id"))
+    out = keep(reps.join(small(comp, spark), "node", "left").select("id", "own", "n", F.coalesce("component", "node").alias("component")), spark)
+    named = keep(out.groupBy("component").agg(F.min("own").alias("component_id"), F.count("*").alias("m")).filter("m > 1").drop("m"), spark)
+    out = out.join(small(named, spark), "component", "left")
+    return out.select(F.col("id").alias("node"), F.col("own").alias("id"), F.col("n").alias("n_shingles"), "component", F.coalesce("component_id", "own").alias("component_id"))
