@@ -19,8 +19,8 @@ from ctxviews.llm.common import keep, small, table
 LEAST_QUALITY = 0.3
 #: An ambiguous language is accepted from this score on.
 LEAST_LANGUAGE = 0.4
-#: About fifty short words: shorter repeats are left alone.
-PASSAGE_BYTES = 250
+#: Passages of over 50 words: shorter repeats are left alone.
+PASSAGE_WORDS = 51
 
 
 def _apart(docs: DataFrame) -> DataFrame:
@@ -67,11 +67,11 @@ def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def repeat_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Repeated passages go; a document of nothing else goes whole."""
+    """Repeated passages go; a document of nothing else (but white space) goes whole."""
     own = _apart(docs)
     text, number = (own.columns[docs.columns.index(c)] for c in ("text", "doc_id"))
-    out = suffix_dedup.dedup(own, spark, [c for c in own.columns if c != text], PASSAGE_BYTES, with_text=True, text_col=text, id_col=number)
-    out = out.filter("n_removed = 0 or n_removed < n_bytes").withColumn(text, F.col("kept_text"))
+    out = suffix_dedup.dedup(own, spark, [c for c in own.columns if c != text], with_text=True, text_col=text, id_col=number, n_words=PASSAGE_WORDS)
+    out = out.filter("n_removed = 0 or kept_text rlike '[^ \\\\t-\\\\r]'").withColumn(text, F.col("kept_text"))
     if "n_chars" in docs.columns:
         n = own.columns[docs.columns.index("n_chars")]
         out = out.withColumn(n, F.when(F.col("n_removed") > 0, F.length(text).cast(dict(own.dtypes)[n])).otherwise(F.col(n)))

@@ -20,6 +20,10 @@ Copies of a passage are thus counted, not gathered, and only distinct slots arou
 shared cores are sorted.  Cores with more than HOT_SLOTS slots are not gathered:
 their windows are counted by hash, in as many tasks as needed.
 
+A length can also be given in words.  A string of w words has 2 w - 1 bytes or more, so
+every repeated one lies inside a run of repeated windows of that many bytes; the windows
+of w words in such runs are then counted by hash, and only repeated ones go.
+
 Null and empty texts have no bytes and no spans.  Texts shorter than `length` are
 kept whole.  Repeated rows count as further occurrences.
 """
@@ -32,7 +36,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import keep, prefix_hash, release, ship, small, span_hash, steps
+from .common import SPACE, keep, prefix_hash, release, ship, small, span_hash, steps
 from .suffix_array import suffix_array
 
 HOT_SLOTS = 10_000
@@ -244,10 +248,48 @@ def merge(spans) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
-def dedup(docs: DataFrame, spark: SparkSession, carry: list[str], length: int = 400, k: int | None = None, with_text: bool = False, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
-    """The columns `carry`, then n_bytes, n_removed, n_spans, kept_sha256 and, if with_text,
+def word_windows(raw: bytes, cuts: list[tuple[int, int]], n: int) -> tuple[np.ndarray, ...]:
+    """(start, end, two hashes) of every string of n whole words inside the byte ranges `cuts`."""
+    buf = np.frombuffer(raw, np.uint8)
+    inside = np.concatenate([[False], ~SPACE[buf], [False]])
+    edge = np.flatnonzero(inside[1:] != inside[:-1])
+    start, end = edge[::2], edge[1::2]
+    a, b = start[: max(0, len(start) - n + 1)], end[n - 1 :]
+    cut = np.searchsorted([x for x, _ in cuts], a, "right") - 1
+    ok = (cut >= 0) & (b <= np.array([y for _, y in cuts])[cut])
+    a, b = a[ok], b[ok]
+    h = span_hash(prefix_hash(buf), a, b)
+    g = span_hash(prefix_hash(buf.astype(np.int64) + 256), a, b)
+    return a, b, h.view(np.int64), g.view(np.int64)
+
+
+def removed_words(docs: DataFrame, spark: SparkSession, n: int, text_col: str = "text", id_col: str = "doc_id") -> tuple[DataFrame, DataFrame]:
+    """Like removed(), for strings of n words, from the start of the first to the end of the last."""
+    keyed, spans = removed(docs, spark, 2 * n - 1, None, text_col, id_col)
+    source = keyed.select(F.col("ctxviews_k1").alias("k1"), F.col("ctxviews_k2").alias("k2"), docs[text_col].alias("t"))
+    fetch = source.join(small(spans, spark, 300_000), ["k1", "k2"])
+
+    def find(batches):
+        import pandas as pd
+
+        for pdf in batches:
+            for k1, k2, t, s in zip(pdf["k1"], pdf["k2"], pdf["t"], pdf["spans"], strict=True):
+                a, b, h, g = word_windows(t.encode("utf-8", "surrogatepass"), merge(s), n)
+                if len(a):
+                    yield pd.DataFrame({"k1": k1, "k2": k2, "a": a, "b": b, "h": h, "g": g})
+
+    seen = keep(fetch.select("k1", "k2", "t", "spans").mapInPandas(find, "k1 long, k2 int, a long, b long, h long, g long"), spark)
+    twice = keep(seen.groupBy("h", "g").agg(F.count("*").alias("times")).filter("times > 1").select("h", "g"), spark)
+    ranges = seen.join(small(twice, spark), ["h", "g"], "left_semi")
+    out = keep(ranges.groupBy("k1", "k2").agg(F.collect_list(F.struct("a", "b")).alias("spans")), spark)
+    release(spark, spans, seen, twice)
+    return keyed, out
+
+
+def dedup(docs: DataFrame, spark: SparkSession, carry: list[str], length: int = 400, k: int | None = None, with_text: bool = False, text_col: str = "text", id_col: str = "doc_id", n_words: int | None = None) -> DataFrame:
+    """Strings of `length` bytes go, or of `n_words` words.  The columns `carry`, then n_bytes, n_removed, n_spans, kept_sha256 and, if with_text,
     kept_text: the remaining bytes as text, without characters that a cut has split (null stays null)."""
-    keyed, spans = removed(docs, spark, length, k, text_col, id_col)
+    keyed, spans = removed_words(docs, spark, n_words, text_col, id_col) if n_words else removed(docs, spark, length, k, text_col, id_col)
     kinds = dict(docs.dtypes)
     joined = keyed.select(*(keyed[c].alias(f"c_{c}") for c in carry), keyed[text_col].alias("t"), F.col("ctxviews_k1").alias("k1"), F.col("ctxviews_k2").alias("k2")).join(small(spans, spark, 300_000), ["k1", "k2"], "left")
 
