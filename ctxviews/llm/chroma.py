@@ -3,8 +3,9 @@
 Frames of a recording become pitch-class energies.  Filters - differences of
 rectangle sums, taken from one integral image - are compared at three levels and
 packed as two Gray-coded bits each into one 32-bit integer per frame.  Recordings
-align where a histogram over offsets of equal integers peaks; the share of bit
-errors at that offset decides.
+align at offsets that enough equal integers vote for; of those whose share of bit
+errors is small, the one with the least errors decides.  Votes alone do not: silent
+or held passages vote for every offset between them.
 
 Null, empty and too short recordings have no integers and align with nothing.
 Recordings with the same fingerprint form a class that is compared once.
@@ -135,7 +136,8 @@ class QueryBlock:
         self.value, self.who, self.at = value[order], self.who[order], self.at[order]
 
     def align(self, p: np.ndarray):
-        """(query, offset, votes, bit errors) of every query that p aligns with: best peak, least offset on ties."""
+        """(query, offset, votes, bit errors) of every query that p aligns with: least bit errors of all
+        offsets with enough votes, then longest overlap, most votes, least offset."""
         lo, hi = np.searchsorted(self.value, p, "left"), np.searchsorted(self.value, p, "right")
         n = hi - lo
         if not n.sum():
@@ -147,11 +149,14 @@ class QueryBlock:
         who = key >> 24
         for k in np.unique(who):
             mine = np.flatnonzero(who == k)
-            best = mine[votes[mine].argmax()]
-            o = int(key[best] & ((1 << 24) - 1)) - (1 << 23)
-            errors, overlap = bit_errors(self.prints[k], p, o)
-            if errors <= MOST_ERRORS and overlap >= min(LEAST_OVERLAP, len(p), len(self.prints[k])):
-                yield self.ids[k], o, int(votes[best]), errors
+            best = None
+            for o, v in zip(((key[mine] & ((1 << 24) - 1)) - (1 << 23)).tolist(), votes[mine].tolist(), strict=True):
+                errors, overlap = bit_errors(self.prints[k], p, o)
+                if errors <= MOST_ERRORS and overlap >= min(LEAST_OVERLAP, len(p), len(self.prints[k])):
+                    found = errors, -overlap, -v, o
+                    best = found if best is None else min(best, found)
+            if best is not None:
+                yield self.ids[k], best[3], -best[2], best[0]
 
 
 _notes: list[np.ndarray] = []
