@@ -12,12 +12,16 @@ from pathlib import Path
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Bytes of text that one vectorised step works on (a longer text is one step).
 STEP_BYTES = 1 << 19
-#: Rows up to which an id list may be broadcast (16 bytes a row).
-BROADCAST_ROWS = 500_000
+#: Bytes up to which a table may be broadcast.
+BROADCAST_BYTES = 48 << 20
+#: Edges that one task joins by itself (16 bytes each).
+FINISH_EDGES = 1_000_000
 #: Rows of an Arrow batch at most.
 ARROW_ROWS = 2000
 
@@ -52,6 +56,8 @@ def scratch_dir(spark: SparkSession) -> str:
     if not d:
         d = spark.sparkContext.getCheckpointDir()
     if not d:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         d = tempfile.mkdtemp(prefix="ctxviews-")
         spark.sparkContext.setCheckpointDir(d)
     return d.rstrip("/")
@@ -93,9 +99,26 @@ def clear() -> None:
     _scratch.clear()
 
 
-def small(df: DataFrame, spark: SparkSession, limit: int = BROADCAST_ROWS) -> DataFrame:
-    """df with a broadcast hint if it is proven small, else as it is."""
-    return F.broadcast(df) if df.limit(limit + 1).count() <= limit else df
+def _width(kind: T.DataType, c) -> object:
+    """Bytes of a value as an expression, never less than it takes in a row."""
+    if isinstance(kind, T.StringType):
+        return 16 + F.coalesce(F.octet_length(c), F.lit(0))
+    if isinstance(kind, T.BinaryType):
+        return 16 + F.coalesce(F.octet_length(c), F.lit(0))
+    if isinstance(kind, T.ArrayType):
+        inner = kind.elementType
+        if isinstance(inner, T.StructType) and not any(isinstance(f.dataType, (T.StringType, T.BinaryType, T.ArrayType, T.MapType, T.StructType)) for f in inner.fields):
+            return 24 + F.greatest(F.size(c), F.lit(0)) * (16 + 8 * len(inner.fields))
+        return 24 + F.coalesce(F.aggregate(c, F.lit(0).cast("long"), lambda s, x: s + _width(inner, x)), F.lit(0).cast("long"))
+    if isinstance(kind, T.StructType):
+        return sum((_width(f.dataType, c[f.name]) for f in kind.fields), F.lit(24))
+    return F.lit(8)
+
+
+def small(df: DataFrame, spark: SparkSession, limit: int = BROADCAST_BYTES) -> DataFrame:
+    """df with a broadcast hint if its rows are counted to take at most `limit` bytes, else as it is."""
+    row = sum((_width(f.dataType, F.col(f.name)) for f in df.schema.fields), F.lit(24)).cast("long")
+    return F.broadcast(df) if (df.agg(F.sum(row)).first()[0] or 0) <= limit else df
 
 
 # --- text kernels --------------------------------------------------------------------------
@@ -215,27 +238,53 @@ def sample_rows(df: DataFrame, key: str, rows: int) -> DataFrame:
 # --- connected components --------------------------------------------------------------------
 
 
-def components(edges: DataFrame, spark: SparkSession, rounds: int = 40) -> DataFrame:
+def components(edges: DataFrame, spark: SparkSession, finish: int = FINISH_EDGES) -> DataFrame:
     """(node, component) for every node of edges (src, dst): the least node reachable.
 
     Alternating star contraction: each round hooks larger neighbours, then smaller
     ones, to the least known node, so long chains end after a logarithmic number of
-    rounds.  Rounds are tables in the shared folder.
+    rounds; it goes on until no edge changes.  A round deals the edges twice and
+    writes one table to the shared folder.  `finish` edges at most, here or after a
+    round, are joined in one task.
     """
-    e = keep(edges.select(F.greatest("src", "dst").alias("u"), F.least("src", "dst").alias("v")).filter("u > v").distinct(), spark)
-    mark = None
-    for _ in range(rounds):
-        both = e.union(e.select("v", "u"))
-        low = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-        large = both.join(low, "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        joined = large.join(least, "u")
-        star = joined.filter("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(joined.select("u", F.col("m").alias("v")))
+    e = edges.select(F.greatest("src", "dst").alias("u"), F.least("src", "dst").alias("v")).filter("u > v")
+    w = W.partitionBy("u").orderBy("v")
+    state = lambda x: x.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
+    old, now = None, state(e)
+    while now != old:
+        if now[0] <= finish:
+            return e.coalesce(1).mapInPandas(_joined, "node long, component long")
+        # Equal edges stand side by side, so the windows leave them out; the first neighbour is the least.
+        once = lambda x: x.withColumn("m", F.first("v").over(w)).withColumn("last", F.lag("v").over(w)).filter("last is null or last <> v")
+        both = once(e.union(e.select("v", "u")))
+        large = both.withColumn("m", F.least("u", "m")).filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        less = once(large)
+        star = less.select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.u", "e.v")
         new = keep(star.filter("u > v").distinct(), spark)
-        release(spark, e)
-        e = new
-        now = e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        if now == mark:
-            break
-        mark = now
+        if old is not None:
+            release(spark, e)
+        e, old, now = new, now, state(new)
     return e.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("component")).union(e.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())
+
+
+def _joined(batches):
+    """Components of all edges of a task: roots are hooked to the least root they meet, paths halved."""
+    import pandas as pd
+
+    parts = [(b["u"].to_numpy(), b["v"].to_numpy()) for b in batches]
+    if not parts:
+        return
+    u, v = (np.concatenate(x) for x in zip(*parts, strict=True))
+    nodes, at = np.unique(np.concatenate([u, v]), return_inverse=True)
+    a, b, up = at[: len(u)], at[len(u) :], np.arange(len(nodes))
+    while True:
+        x, y = up[a], up[b]
+        apart = x != y
+        if not apart.any():
+            break
+        np.minimum.at(up, np.maximum(x, y)[apart], np.minimum(x, y)[apart])
+        while (up[up] != up).any():
+            up = up[up]
+        a, b = a[apart], b[apart]
+    for k in range(0, len(nodes), 100_000):
+        yield pd.DataFrame({"node": nodes[k : k + 100_000], "component": nodes[up[k : k + 100_000]]})
