@@ -58,7 +58,7 @@ def replay_tokens(conversations: DataFrame, candidates: DataFrame | None = None)
     s = seed(m).select("traj", usage(F.col("seed")).alias("seed_tokens"))
     m = m.join(s, "traj", "left")
     c = candidates.select("traj", F.col("tokens").alias("block")) if candidates is not None else None
-    m = m.join(F.broadcast(c), "traj", "left") if c is not None else m.withColumn("block", F.lit(0))
+    m = m.join(c, "traj", "left") if c is not None else m.withColumn("block", F.lit(0))
     w = W.partitionBy("traj").orderBy("turn").rowsBetween(W.unboundedPreceding, -1)
     fixed = F.sum(F.when(F.col("role").isin("system", "query"), F.col("tokens")).otherwise(0)).over(w)
     grown = F.sum(F.when(F.col("role").isin("system", "query"), 0).otherwise(F.col("tokens"))).over(w)

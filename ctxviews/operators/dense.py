@@ -16,6 +16,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ctxviews.functions.text import digest, md5_number, tokens
+from ctxviews.operators import lists
 from ctxviews.operators.lexical import top
 
 
@@ -58,10 +59,10 @@ def encode(u: DataFrame, e: Encoder, idf: DataFrame, key: str = "unit_id") -> Da
 
 
 def search_sparse(q: DataFrame, vectors: DataFrame, k: int, key: str = "unit_id") -> DataFrame:
-    """query_id, key, score, rank: exact inner products of sparse vectors; the query side is broadcast
-    (a batch of queries; larger batches go in slices)."""
-    dot = vectors.join(F.broadcast(q.select("query_id", "bucket", F.col("w").alias("wq"))), "bucket").groupBy("query_id", key).agg(F.round(F.sum(F.col("w") * F.col("wq")), 6).alias("score"))
-    return top(dot, k, key)
+    """query_id, key, score, rank: exact inner products of sparse vectors, rows (key, bucket, w) or
+    stored lists (key, f, w)."""
+    stored = vectors if "f" in vectors.columns else lists.grouped(vectors, key)
+    return lists.search(stored, q.select("query_id", F.col("bucket").alias("f"), "w"), k, key)
 
 
 # --- dense arrays ----------------------------------------------------------------------------
@@ -76,10 +77,16 @@ def dot(a: str, b: str) -> Column:
 
 
 def search_flat(q: DataFrame, vectors: DataFrame, k: int, group: str | None = None) -> DataFrame:
-    """query_id, vec_id, score, rank by exact inner product, itself left out; with `group` only inside it."""
-    on = (F.col("q.vec_id") != F.col("v.vec_id")) if group is None else (F.col(f"q.{group}") == F.col(f"v.{group}")) & (F.col("q.vec_id") != F.col("v.vec_id"))
-    pairs = vectors.alias("v").join(F.broadcast(q.alias("q")), on).select(F.col("q.vec_id").alias("query_id"), F.col("v.vec_id").alias("vec_id"), F.col("q.embedding").alias("a"), F.col("v.embedding").alias("b"))
-    return top(pairs.select("query_id", "vec_id", F.round(dot("a", "b"), 6).alias("score")), k, "vec_id")
+    """query_id, vec_id, score, rank by exact inner product, itself left out; with `group` only inside it.
+
+    A group has features of its own, so rows of other groups share none.
+    """
+    place = F.sequence(F.lit(0), F.size("embedding") - 1)
+    f = place if group is None else F.transform(place, lambda i: F.concat_ws("|", F.col(group).cast("string"), i.cast("string")))
+    rows = vectors.filter("size(embedding) > 0").select("vec_id", f.alias("f"), _double("embedding").alias("w"))
+    asked = q.filter("size(embedding) > 0").select(F.col("vec_id").cast("string").alias("query_id"), F.explode(F.arrays_zip(f.alias("f"), _double("embedding").alias("w"))).alias("x")).select("query_id", "x.f", "x.w")
+    found = lists.search(rows, asked, k + 1, "vec_id").withColumn("query_id", F.col("query_id").cast("long"))
+    return top(found.filter("query_id <> vec_id").drop("rank"), k, "vec_id")
 
 
 def search_blocks(spark: SparkSession, queries: np.ndarray, ids: np.ndarray, vectors: DataFrame, k: int, block: int = 1024) -> DataFrame:
@@ -140,28 +147,44 @@ def build_ivf(spark: SparkSession, vectors: DataFrame, lists: int, rounds: int =
     return c, assign(c)
 
 
-def search_ivf(spark: SparkSession, q: DataFrame, centroids: np.ndarray, listed: DataFrame, k: int, fractions: tuple[float, ...] = PROBES) -> DataFrame:
+def search_ivf(spark: SparkSession, q: DataFrame, centroids: np.ndarray, listed: DataFrame, k: int, fractions: tuple[float, ...] = PROBES, block: int = 1024) -> DataFrame:
     """fraction, query_id, vec_id, score, rank: the lists nearest to a query, max(1, ceil(fraction x lists)) of them.
 
-    Probes are a join key of the list table, so stored lists are pruned to the probed ones.
+    Queries go in blocks; what is shared are their vectors and the places of the lists in
+    their orders.  A batch of listed vectors keeps its own k best for each fraction.
     """
-    shared = spark.sparkContext.broadcast(centroids)
-    n = len(centroids)
+    n, out = len(centroids), None
+    widths = [(f, max(1, int(np.ceil(f * n)))) for f in fractions]
+    asked = q.select("vec_id", "embedding").orderBy("vec_id").collect()  # a batch of queries
+    for a in range(0, max(1, len(asked)), block):
+        own = np.array([r.vec_id for r in asked[a : a + block]], np.int64)
+        x = np.array([r.embedding for r in asked[a : a + block]], np.float64).reshape(len(own), -1)
+        place = np.argsort(np.argsort(-(x @ centroids.T), axis=1, kind="stable"), axis=1).astype(np.int32) if len(own) else np.zeros((0, n), np.int32)
+        shared = spark.sparkContext.broadcast((own, x, place))
 
-    def probes(batches):
-        import pandas as pd
-
-        for pdf in batches:
-            x = np.stack(pdf["embedding"]).astype(np.float64)
-            order = np.argsort(-(x @ shared.value.T), axis=1, kind="stable")
-            yield pd.DataFrame({"query_id": np.repeat(pdf["vec_id"].to_numpy(), n), "list_id": order.ravel(), "place": np.tile(np.arange(n), len(pdf)), "a": [v for v in pdf["embedding"] for _ in range(n)]})
+        def run(batches, shared=shared):
+            import pandas as pd
 
-    p = q.mapInPandas(probes, "query_id long, list_id int, place int, a array<float>")
-    steps = spark.createDataFrame([(f, max(1, int(np.ceil(f * n)))) for f in fractions], "fraction double, width int")
-    near = listed.join(F.broadcast(p), "list_id").filter("query_id <> vec_id").select("query_id", "vec_id", "place", F.round(dot("a", "embedding"), 6).alias("score"))
-    each = near.join(F.broadcast(steps), F.col("place") < F.col("width"))
+            own, x, place = shared.value
+            for pdf in batches:
+                if not len(pdf) or not len(own):
+                    continue
+                v = pdf["vec_id"].to_numpy()
+                s = np.floor(x @ np.stack(pdf["embedding"]).astype(np.float64).T * 1e6 + 0.5) / 1e6
+                s[own[:, None] == v[None]] = -np.inf
+                near = place[:, pdf["list_id"].to_numpy()]
+                for f, width in widths:
+                    t = np.where(near < width, s, -np.inf)
+                    m = min(k, len(v))
+                    order = np.lexsort((np.broadcast_to(v, t.shape), -t), axis=1)[:, :m]
+                    score = np.take_along_axis(t, order, 1).ravel()
+                    ok = score > -np.inf
+                    yield pd.DataFrame({"fraction": f, "query_id": np.repeat(own, m)[ok], "vec_id": v[order].ravel()[ok], "score": score[ok]})
+
+        part = listed.select("vec_id", "embedding", "list_id").mapInPandas(run, "fraction double, query_id long, vec_id long, score double")
+        out = part if out is None else out.unionByName(part)
     w = W.partitionBy("fraction", "query_id").orderBy(F.desc("score"), "vec_id")
-    return each.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).select("fraction", "query_id", "vec_id", "score", "rank")
+    return out.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
 
 
 # --- layered graphs ------------------------------------------------------------------------------
@@ -243,21 +266,34 @@ class Layered:
         return [(int(self.ids[v]), s) for s, v in self._near(q, at, max(ef, k), 0)[:k]]
 
 
-def search_hnsw(q: DataFrame, vectors: DataFrame, k: int, efs: tuple[int, ...] = (16, 32, 64, 128), shards: int = 1, m: int = 32, construction: int = 200) -> DataFrame:
-    """ef, query_id, vec_id, score, rank: a graph for each shard, searched where it is built, merged by rank."""
-    spark = vectors.sparkSession
-    wanted = [(int(r.vec_id), list(r.embedding)) for r in q.select("vec_id", "embedding").collect()]  # a batch of queries
-    shared = spark.sparkContext.broadcast(wanted)
+def _bound(f, shared):
+    return lambda pdf: f(shared, pdf)
 
-    def run(pdf):
-        import pandas as pd
 
-        g = Layered(pdf["vec_id"].to_numpy(), np.stack(pdf["embedding"]).astype(np.float64), m, construction)
-        rows = [(ef, i, v, round(s, 6)) for i, x in shared.value for ef in efs for v, s in g.search(np.array(x, np.float64), k + 1, ef) if v != i]
-        return pd.DataFrame(rows, columns=["ef", "query_id", "vec_id", "score"])
+#: Vectors of a graph at most, on average; queries that one search task holds.
+SHARD, ASKED = 50_000, 4096
 
+
+def search_hnsw(q: DataFrame, vectors: DataFrame, k: int, efs: tuple[int, ...] = (16, 32, 64, 128), shards: int | None = None, m: int = 32, construction: int = 200) -> DataFrame:
+    """ef, query_id, vec_id, score, rank: a graph for each shard of about SHARD vectors, searched where it is
+    built, merged by rank.  Queries are a batch; more than ASKED go in several passes."""
+    spark = vectors.sparkSession
+    shards = shards or max(1, -(-vectors.count() // SHARD))
+    asked = q.select("vec_id", "embedding").orderBy("vec_id").collect()
     shard = F.pmod(md5_number(F.col("vec_id").cast("string")), F.lit(shards))
-    found = vectors.select("vec_id", "embedding", shard.alias("shard")).groupBy("shard").applyInPandas(run, "ef int, query_id long, vec_id long, score double")
+    dealt, found = vectors.select("vec_id", "embedding", shard.alias("shard")), None
+    for a in range(0, max(1, len(asked)), ASKED):
+        shared = spark.sparkContext.broadcast([(int(r.vec_id), list(r.embedding)) for r in asked[a : a + ASKED]])
+
+        def run(shared, pdf):
+            import pandas as pd
+
+            g = Layered(pdf["vec_id"].to_numpy(), np.stack(pdf["embedding"]).astype(np.float64), m, construction)
+            rows = [(ef, i, v, round(s, 6)) for i, x in shared.value for ef in efs for v, s in g.search(np.array(x, np.float64), k + 1, ef) if v != i]
+            return pd.DataFrame(rows, columns=["ef", "query_id", "vec_id", "score"])
+
+        part = dealt.groupBy("shard").applyInPandas(_bound(run, shared), "ef int, query_id long, vec_id long, score double")
+        found = part if found is None else found.unionByName(part)
     w = W.partitionBy("ef", "query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
 

@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from dataclasses import dataclass
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ctxviews.functions.text import tokens
+from ctxviews.operators import lists
 
 K1, B = 1.2, 0.75
 
@@ -25,22 +29,37 @@ def stats(u: DataFrame) -> DataFrame:
     return u.agg(F.count("*").alias("n"), F.avg(F.size(tokens(F.col("text")))).alias("avgdl"))
 
 
-def bm25(queries: DataFrame, u: DataFrame, k: int, key: str = "unit_id") -> DataFrame:
-    """query_id, key, score, rank of the k best units for each query (scores rounded, ties by key).
+@dataclass
+class Index:
+    """A stored lexical view: lists (key, f terms, w weights without idf), terms (term, df), one row (n, avgdl)."""
+
+    lists: DataFrame
+    terms: DataFrame
+    stats: DataFrame
+    key: str = "unit_id"
+
+
+def index(u: DataFrame, key: str = "unit_id", put: Callable[[str, Callable[[], DataFrame]], DataFrame] | None = None) -> Index:
+    """The index of units; put(name, build) stores its tables (without it they stay plans).
 
-    Only postings of query terms are scored: the units are joined with the queries'
-    distinct terms before anything is grouped.
+    A unit's counts come from one shuffle of its tokens by unit, whatever its length.
     """
+    put = put or (lambda name, build: build())
+    token = u.select(key, F.explode_outer(tokens(F.col("text"))).alias("f")).repartition(key).groupBy(key, "f").agg(F.count("f").alias("w"))
+    made = lambda: token.groupBy(key).agg(F.sum("w").alias("dl"), F.array_sort(F.collect_list(F.when(F.col("f").isNotNull(), F.struct("f", "w")))).alias("x")).select(key, "dl", F.col("x.f").alias("f"), F.col("x.w").alias("tf"))
+    counts = put("counts", made)
+    one = put("stats", lambda: counts.agg(F.count("*").alias("n"), F.avg("dl").alias("avgdl")))
+    terms = put("terms", lambda: counts.select(F.explode("f").alias("term")).groupBy("term").agg(F.count("*").alias("df")))
+    part = lambda tf: tf * (K1 + 1) / (tf + K1 * (1 - B + B * F.col("dl") / F.col("avgdl")))
+    return Index(counts.crossJoin(F.broadcast(one)).select(key, "f", F.transform("tf", part).alias("w")), terms, one, key)
+
+
+def bm25(queries: DataFrame, u: DataFrame | Index, k: int, key: str = "unit_id") -> DataFrame:
+    """query_id, key, score, rank of the k best units for each query (scores rounded, ties by key)."""
+    x = u if isinstance(u, Index) else index(u, key)
     terms = queries.select("query_id", F.explode(F.array_distinct(tokens(F.col("text")))).alias("term"))
-    lists = u.select(key, tokens(F.col("text")).alias("ts")).withColumn("dl", F.size("ts"))
-    wanted = terms.select("term").distinct()
-    hits = lists.select(key, "dl", F.explode("ts").alias("term")).join(F.broadcast(wanted), "term").groupBy("term", key, "dl").agg(F.count("*").alias("tf"))
-    df = hits.groupBy("term").agg(F.count("*").alias("df"))
-    one = stats(u)
     idf = F.log(1 + (F.col("n") - F.col("df") + 0.5) / (F.col("df") + 0.5))
-    weight = idf * F.col("tf") * (K1 + 1) / (F.col("tf") + K1 * (1 - B + B * F.col("dl") / F.col("avgdl")))
-    scored = hits.join(F.broadcast(df), "term").crossJoin(F.broadcast(one)).join(F.broadcast(terms), "term")
-    return top(scored.groupBy("query_id", key).agg(F.round(F.sum(weight), 6).alias("score")), k, key)
+    return lists.search(x.lists, terms.join(x.terms, "term").crossJoin(F.broadcast(x.stats)).select("query_id", F.col("term").alias("f"), idf.alias("w")), k, x.key)
 
 
 def top(scored: DataFrame, k: int, key: str = "unit_id", by: str = "query_id", score: str = "score") -> DataFrame:
@@ -65,11 +84,29 @@ def substring(patterns: DataFrame, f: DataFrame, index: DataFrame) -> DataFrame:
     """pattern_id, path of files that hold a pattern: files with all its grams, verified on the text."""
     g = patterns.select("pattern_id", "pattern", F.explode(grams(F.col("pattern"))).alias("gram")).filter(~F.contains("gram", F.lit("\n")))
     need = g.groupBy("pattern_id", "pattern").agg(F.count("*").alias("need"))
-    hits = index.join(F.broadcast(g), "gram").groupBy("pattern_id", "path").agg(F.count("*").alias("have"))
-    cand = hits.join(F.broadcast(need), "pattern_id").filter("have = need")
+    hits = index.join(g, "gram").groupBy("pattern_id", "path").agg(F.count("*").alias("have"))
+    cand = hits.join(need, "pattern_id").filter("have = need")
     return cand.join(f.select("path", "text"), "path").filter(F.contains("text", "pattern")).select("pattern_id", "path")
 
 
+def holding(passages: DataFrame, u: DataFrame, x: Index) -> DataFrame:
+    """query_id, key: units whose text holds a passage (query_id, text) as it stands.
+
+    A passage's inner tokens are whole tokens of any text that holds it, so only units
+    with its rarest inner token are looked at, and one that no unit has rules it out.
+    Passages of fewer than three tokens have no inner ones: they alone meet all units.
+    """
+    p = passages.select("query_id", F.col("text").alias("passage"), tokens(F.col("text")).alias("ts")).filter("passage is not null")
+    inner = p.filter("size(ts) > 2").select("query_id", F.explode(F.array_distinct(F.slice("ts", 2, F.size("ts") - 2))).alias("term"))
+    seen = inner.join(x.terms, "term", "left").groupBy("query_id").agg(F.count_if(F.col("df").isNull()).alias("none"), F.min(F.struct("df", "term")).alias("rare"))
+    rare = seen.filter("none = 0").select("query_id", F.col("rare.term").alias("term"))
+    cand = x.lists.select(x.key, F.explode("f").alias("term")).join(rare, "term").select("query_id", x.key)
+    text = u.select(x.key, "text")
+    out = cand.join(text, x.key).join(p.select("query_id", "passage"), "query_id").filter(F.contains("text", "passage"))
+    short = text.join(p.filter("size(ts) <= 2").select("query_id", "passage"), F.contains("text", "passage"))
+    return out.select("query_id", x.key).unionByName(short.select("query_id", x.key))
+
+
 def regex(f: DataFrame, pattern: str, literal: str | None = None) -> DataFrame:
     """Lines that match; a literal of the pattern filters files before they are cut."""
     from ctxviews.operators.units import lines

@@ -65,6 +65,6 @@ def live(reqs: DataFrame, l2: DataFrame) -> DataFrame:
     written = l2.select(*SNAP, "path", F.col("start").alias("line"), F.posexplode(F.regexp_extract_all("text", F.lit(TOKEN), F.lit(0))).alias("col", "written"))
     asked = reqs.join(written.select("path", "line", "col", "written"), ["path", "line", "col"])
     snaps = asked.select(*SNAP, "written").distinct()
-    hits = written.join(F.broadcast(snaps), [*SNAP, "written"], "left_semi")
+    hits = written.join(snaps, [*SNAP, "written"], "left_semi")
     found = _answers(asked, hits.filter("col = 0"), hits, "written")
     return normalize(found, reqs).withColumn("provider", F.lit("live")).withColumn("granularity", F.lit("text"))

@@ -29,7 +29,7 @@ def graph_list(dense: DataFrame, edges: DataFrame, seeds: int, vid: str = "vid")
     s = dense.filter(F.col("rank") <= seeds).select("query_id", F.col(vid).alias("seed"), "rank")
     ref = edges.filter("etype = 'reference'").filter("src <> dst")
     step = ref.select(F.col("src").alias("seed"), F.col("dst").alias(vid)).unionByName(ref.select(F.col("dst").alias("seed"), F.col("src").alias(vid)))
-    hit = step.join(F.broadcast(s), "seed").groupBy("query_id", vid).agg(F.min("rank").alias("best"), F.count("*").alias("support"))
+    hit = step.join(s, "seed").groupBy("query_id", vid).agg(F.min("rank").alias("best"), F.count("*").alias("support"))
     w = W.partitionBy("query_id").orderBy("best", F.desc("support"), vid)
     return hit.withColumn("rank", F.row_number().over(w)).select("query_id", vid, "rank")
 

@@ -13,7 +13,7 @@ def cluster_sums(df: DataFrame, cluster: str, value: str, by: list[str]) -> Data
     from pyspark.sql import Window as W
 
     number = df.select(cluster).distinct().withColumn("c", F.row_number().over(W.orderBy(cluster)) - 1)
-    return df.groupBy(*by, cluster).agg(F.sum(value).alias("s"), F.count("*").alias("n")).join(F.broadcast(number), cluster).drop(cluster)
+    return df.groupBy(*by, cluster).agg(F.sum(value).alias("s"), F.count("*").alias("n")).join(number, cluster).drop(cluster)
 
 
 def replicates(spark: SparkSession, sums: DataFrame, by: list[str], b: int) -> DataFrame:
@@ -21,7 +21,7 @@ def replicates(spark: SparkSession, sums: DataFrame, by: list[str], b: int) -> D
     clusters = sums.select("c").distinct().agg(F.count("*").alias("n_c"))
     draws = spark.range(b).select(F.col("id").alias("b")).crossJoin(F.broadcast(clusters)).select("b", "n_c", F.explode(F.sequence(F.lit(0), F.col("n_c").cast("int") - 1)).alias("j"))
     draws = draws.withColumn("c", md5_number(F.concat(F.col("b").cast("string"), F.lit("#"), F.col("j").cast("string"))) % F.col("n_c"))
-    return draws.join(F.broadcast(sums), "c").groupBy(*by, "b").agg((F.sum("s") / F.sum("n")).alias("theta"))
+    return draws.join(sums, "c").groupBy(*by, "b").agg((F.sum("s") / F.sum("n")).alias("theta"))
 
 
 def bootstrap(spark: SparkSession, df: DataFrame, cluster: str, value: str, by: list[str], b: int = 10_000, level: float = 0.95) -> DataFrame:

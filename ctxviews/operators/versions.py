@@ -34,7 +34,7 @@ def evolve(f: DataFrame, steps: int = STEPS) -> DataFrame:
     """
     from pyspark.sql import Window as W
 
-    base = f.join(F.broadcast(chosen_repos(f)), ["repo", "lang"]).select("repo", "lang", "doc_id", "path", F.split("text", "\n", -1).alias("l0"))
+    base = f.join(chosen_repos(f), ["repo", "lang"]).select("repo", "lang", "doc_id", "path", F.split("text", "\n", -1).alias("l0"))
     w = W.partitionBy("repo", "lang").orderBy("doc_id")
     head = F.col("l0")[0]
     cur = base.withColumn("donor", F.coalesce(F.lead(head).over(w), F.first(head).over(w.rowsBetween(W.unboundedPreceding, W.unboundedFollowing))))
@@ -124,7 +124,7 @@ def hunks(old: DataFrame, new: DataFrame, changed: DataFrame) -> DataFrame:
     """repo, lang, path, old_start, old_len, new_start, new_len of modified files (only those reach Python)."""
     mod = changed.filter("kind = 'modified'").select("repo", "lang", "path")
     keys = ["repo", "lang", "path"]
-    pairs = old.join(F.broadcast(mod), keys, "left_semi").withColumnRenamed("lines", "a").join(new.join(F.broadcast(mod), keys, "left_semi").withColumnRenamed("lines", "b"), keys)
+    pairs = old.join(mod, keys, "left_semi").withColumnRenamed("lines", "a").join(new.join(mod, keys, "left_semi").withColumnRenamed("lines", "b"), keys)
 
     def run(batches):
         import pandas as pd

@@ -71,10 +71,11 @@ class Views:
     encoder: dense.Encoder | None = None
     idf: DataFrame | None = None
     edges: DataFrame | None = None
+    lexical: lexical.Index | None = None
 
 
 def lexical_list(v: Views, q: DataFrame, k: int) -> DataFrame:
-    return lexical.bm25(q, v.units, k)
+    return lexical.bm25(q, v.lexical or v.units, k)
 
 
 def dense_list(v: Views, q: DataFrame, k: int) -> DataFrame:
@@ -85,7 +86,7 @@ def dense_list(v: Views, q: DataFrame, k: int) -> DataFrame:
 def graph_seeded(v: Views, q: DataFrame, seeds: int, k: int) -> DataFrame:
     """Route D: sparse seeds, one hop over reference edges; no fusion."""
     at = v.units.select("unit_id", F.concat("path", F.lit("#"), F.col("start").cast("string")).alias("vid"))
-    s = lexical.bm25(q, v.units, seeds).join(at, "unit_id")
+    s = lexical_list(v, q, seeds).join(at, "unit_id")
     g = rank.graph_list(s, v.edges, seeds)
     return g.filter(F.col("rank") <= k)
 
@@ -106,7 +107,7 @@ def run(plan: RankedPlan, v: Views, q: DataFrame, k_out: int) -> DataFrame:
     if plan.reranker:
         text = q.select("query_id", F.col("text").alias("query_text"))
         few = out.filter(F.col("rank") <= plan.k_pre)
-        return rank.pointwise(few.join(v.units.select("unit_id", "text"), "unit_id").join(F.broadcast(text), "query_id"), plan.reranker, plan.k_pre, k_out)
+        return rank.pointwise(few.join(v.units.select("unit_id", "text"), "unit_id").join(text, "query_id"), plan.reranker, plan.k_pre, k_out)
     return out.filter(F.col("rank") <= k_out)
 
 

@@ -6,7 +6,9 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ctxviews.functions.text import digest, md5_number, tokens, usage
-from ctxviews.operators import costs, delivery, dense, lexical, metrics, stats
+from ctxviews.operators import costs, delivery, lexical, metrics, stats
+from ctxviews.plans import plan
+from ctxviews.plans.corpus import Corpus
 from ctxviews.queries import L2, TOKEN, num, query
 from ctxviews.queries.views import UNITS_SQL, bm25_sql, hnsw_recall, ivf_recall, l2_units
 from ctxviews.sources.tables import files, snapshots, table
@@ -32,8 +34,8 @@ CONVQ = f"select traj::varchar as query_id, text from (with {MSG} select * from
 
 
 def candidates(spark, d, k=10):
-    u = l2_units(spark, d)
-    return lexical.bm25(first_queries(spark, d), u, k).join(u.select("unit_id", "text"), "unit_id")
+    c = Corpus(spark, d)
+    return lexical.bm25(first_queries(spark, d), c.lexical(), k).join(c.units().select("unit_id", "text"), "unit_id")
 
 
 @query("q5_candidates", bm25_sql(CONVQ, L2, 10) + " select query_id, unit_id, rank from bm")
@@ -61,7 +63,7 @@ def synth_queries(spark, d):
     f = files(spark, d)
     name = F.md5(F.concat_ws("/", "repo", "lang"))
     sn = f.select("repo", "lang").distinct().orderBy(name).limit(25)
-    l2 = l2_units(spark, d).join(F.broadcast(sn), ["repo", "lang"], "left_semi")
+    l2 = l2_units(spark, d).join(sn, ["repo", "lang"], "left_semi")
     n = F.row_number().over(W.partitionBy("repo", "lang").orderBy(F.md5(F.concat("path", F.lit("#"), F.col("start").cast("string")))))
     c = l2.withColumn("n", n).filter("n <= 20").withColumn("ts", tokens(F.col("text"))).filter("size(ts) >= 3")
     kind = F.when(F.col("n") % 3 == 0, "exact").when(F.col("n") % 3 == 1, "dropped").otherwise("shuffled")
@@ -76,14 +78,12 @@ def _(spark, d):
 
 def trajectories(spark, d, ks=(10,), budgets=(1, 2, 3, 4, 5)):
     q = synth_queries(spark, d)
-    u = l2_units(spark, d).select("unit_id", "path", "start", "text")
-    grep = lexical.bm25(q.select("query_id", "text"), u, 10).withColumn("list", F.lit("grep"))
-    e = dense.ENCODERS[2]
-    idf = dense.document_frequency(u, e)
-    qv = dense.encode(q.select(F.col("query_id").alias("unit_id"), "text"), e, idf).withColumnRenamed("unit_id", "query_id")
-    cand = dense.search_sparse(qv, dense.encode(u, e, idf), 10).withColumn("list", F.lit("candidates"))
+    v = Corpus(spark, d).views()
+    u = v.units.select("unit_id", "path", "start", "text")
+    grep = plan.lexical_list(v, q.select("query_id", "text"), 10).withColumn("list", F.lit("grep"))
+    cand = plan.dense_list(v, q.select("query_id", "text"), 10).withColumn("list", F.lit("candidates"))
     r = grep.select("query_id", "unit_id", "rank", "list").unionByName(cand.select("query_id", "unit_id", "rank", "list")).join(u, "unit_id")
-    r = r.join(F.broadcast(q.select("query_id", F.col("path").alias("tp"), F.col("line").alias("tl"))), "query_id")
+    r = r.join(q.select("query_id", F.col("path").alias("tp"), F.col("line").alias("tl")), "query_id")
     r = r.select("query_id", "list", "rank", usage(F.col("text")).alias("tokens"), ((F.col("path") == F.col("tp")) & (F.col("start") == F.col("tl"))).alias("hit"))
     agents = spark.createDataFrame([(f"agent{b}", b, k) for b in budgets for k in ks], "agent string, budget int, k int")
     return delivery.scripted(r, q.select("query_id", "repo", (usage(F.col("text")) + 40).alias("tokens")), agents)

@@ -25,7 +25,7 @@ def _(spark, d):
 @query("op_join_broadcast", "select s_nationkey, p_brand, count(*) as n, round(sum(l_quantity), 2) as qty from lineitem join part on p_partkey = l_partkey join supplier on s_suppkey = l_suppkey group by all")
 def _(spark, d):
     li = table(spark, d, "lineitem").select("l_partkey", "l_suppkey", "l_quantity")
-    s = F.broadcast(table(spark, d, "supplier").select("s_suppkey", "s_nationkey"))  # smallest of the three; the part side is Spark's choice
+    s = table(spark, d, "supplier").select("s_suppkey", "s_nationkey")  # below the threshold Spark broadcasts it, by its size
     return li.join(s, F.col("l_suppkey") == F.col("s_suppkey")).join(table(spark, d, "part").select("p_partkey", "p_brand"), F.col("l_partkey") == F.col("p_partkey")).groupBy("s_nationkey", "p_brand").agg(F.count("*").alias("n"), F.round(F.sum("l_quantity"), 2).alias("qty"))
 
 
@@ -36,10 +36,10 @@ def _(spark, d):
     return o.hint("merge").join(li, F.col("o_orderkey") == F.col("l_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.round(F.sum("l_extendedprice"), 2).alias("total"))
 
 
-@query("op_join_outer", "select c_custkey, o_orderkey from (select * from customer where c_custkey % 3 = 0) full join (select * from orders where o_orderkey % 5 = 0) on c_custkey = o_custkey")
+@query("op_join_outer", "select c_custkey, o_orderkey from customer full join orders on c_custkey = o_custkey")
 def _(spark, d):
-    c = table(spark, d, "customer").filter("c_custkey % 3 = 0").select("c_custkey")
-    o = table(spark, d, "orders").filter("o_orderkey % 5 = 0").select("o_orderkey", "o_custkey")
+    c = table(spark, d, "customer").select("c_custkey")
+    o = table(spark, d, "orders").select("o_orderkey", "o_custkey")
     return c.join(o, F.col("c_custkey") == F.col("o_custkey"), "full").select("c_custkey", "o_orderkey")
 
 
@@ -192,8 +192,11 @@ def _(spark, d):
 
 @query("op_exists", "select item_id from benchmark b where exists (select 1 from documents d where contains(d.text, b.text))")
 def _(spark, d):
-    b = table(spark, d, "benchmark")  # a bounded query table
-    hit = table(spark, d, "documents").join(F.broadcast(b.select("item_id", F.col("text").alias("passage"))), F.contains("text", "passage")).select("item_id").distinct()
+    from ctxviews.operators import lexical
+    from ctxviews.plans.corpus import Corpus
+
+    c, b = Corpus(spark, d), table(spark, d, "benchmark")
+    hit = lexical.holding(b.select(F.col("item_id").alias("query_id"), "text"), c.units(0), c.lexical(0)).select(F.col("query_id").alias("item_id"))
     return b.select("item_id").join(hit, "item_id", "left_semi")
 
 
@@ -211,11 +214,11 @@ def _(spark, d):
 @query("op_roundtrip", f"with {FILES} select lang, count(*) as n, count(distinct path) as paths from files group by lang")
 def _(spark, d):
     """A partitioned write, read back with a pruned scan of what was written."""
-    import tempfile
     import uuid
 
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-    path = f"{base.rstrip('/')}/roundtrip-{uuid.uuid4().hex}"
+    from ctxviews.plans.store import shared_dir
+
+    path = f"{shared_dir(spark)}/roundtrip-{uuid.uuid4().hex}"
     files(spark, d).select("path", "lang").write.partitionBy("lang").parquet(path)
     return spark.read.parquet(path).groupBy("lang").agg(F.count("*").alias("n"), F.countDistinct("path").alias("paths"))
 

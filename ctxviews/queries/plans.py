@@ -6,17 +6,19 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ctxviews.functions.text import tokens
-from ctxviews.operators import dense, metrics, rank, structure, units
+from ctxviews.operators import dense, lexical, metrics, rank, structure, units
 from ctxviews.plans import plan
+from ctxviews.plans.corpus import Corpus
 from ctxviews.queries import DECL, EDGES, FILES, L2, TOKEN, query
 from ctxviews.queries.views import FULL, THIN, UNITS_SQL, bm25_sql, encode_sql, full_queries, l2_units, thin_queries
 from ctxviews.sources.tables import files, table
 
 
 def targets(spark, d):
-    """Files that hold a benchmark passage (a bounded query table, broadcast) and the queries that have any."""
-    b = full_queries(spark, d)
-    return files(spark, d).join(F.broadcast(b.withColumnRenamed("text", "passage")), F.contains("text", "passage")).select("query_id", "repo", "lang", "path")
+    """Files that hold a benchmark passage, and the queries that have any."""
+    c = Corpus(spark, d)
+    u = c.units(0)
+    return lexical.holding(full_queries(spark, d), u, c.lexical(0)).join(u.select("unit_id", "repo", "lang", "path"), "unit_id").drop("unit_id")
 
 
 TARGETS = f"targets as (select b.query_id, f.repo, f.lang, f.path from files f join ({FULL}) b on contains(f.text, b.text))"
@@ -29,27 +31,25 @@ def _(spark, d):
 
 @query("w_targets_block", f"with {L2} select b.query_id, l2.path, l2.line from l2 join ({FULL}) b on contains(l2.text, b.text)")
 def _(spark, d):
-    b = full_queries(spark, d).withColumnRenamed("text", "passage")
-    return units.level2(files(spark, d)).join(F.broadcast(b), F.contains("text", "passage")).select("query_id", "path", F.col("start").alias("line"))
+    c = Corpus(spark, d)
+    u = c.units()
+    return lexical.holding(full_queries(spark, d), u, c.lexical()).join(u.select("unit_id", "path", F.col("start").alias("line")), "unit_id").drop("unit_id")
 
 
 def views(spark, d, encoder=dense.ENCODERS[2], edges=False):
-    u = l2_units(spark, d)
-    idf = dense.document_frequency(u, encoder)
-    return plan.Views(u, dense.encode(u, encoder, idf), encoder, idf, plan.reference_edges(units.level2(files(spark, d))) if edges else None)
+    return Corpus(spark, d).views(encoder, edges)
 
 
-@query("p_select", f"with {DECL}, q as ({THIN}), qt as (select distinct query_id, unnest(regexp_extract_all(lower(text), {TOKEN})) as term from q), tf as (select line, path, unnest(list_distinct(regexp_extract_all(lower(text), {TOKEN}))) as term from l2), df1 as (select term from tf group by term having count(*) = 1), s as (select query_id, text, (regexp_matches(text, '[\"*+?\\[\\]()|\\\\]') or query_id in (select query_id from qt join df1 using (term))) as lexical, len(regexp_extract_all(lower(text), {TOKEN})) >= 6 as semantic, query_id in (select query_id from qt where term in ('uses','defines','calls') or (length(term) >= 4 and term in (select symbol from decl))) as structural from q) select query_id, case when structural then 'D' when lexical and semantic then 'C' when lexical then 'A' else 'B' end as route, 100 as k_ret, 30 as k_pre, 'small' as reranker, structural as expand from s")
+@query("p_select", f"with {DECL}, q as ({FULL}), qt as (select distinct query_id, unnest(regexp_extract_all(lower(text), {TOKEN})) as term from q), tf as (select line, path, unnest(list_distinct(regexp_extract_all(lower(text), {TOKEN}))) as term from l2), df1 as (select term from tf group by term having count(*) = 1), s as (select query_id, text, (regexp_matches(text, '[\"*+?\\[\\]()|\\\\]') or query_id in (select query_id from qt join df1 using (term))) as lexical, len(regexp_extract_all(lower(text), {TOKEN})) >= 6 as semantic, query_id in (select query_id from qt where term in ('uses','defines','calls') or (length(term) >= 4 and term in (select symbol from decl))) as structural from q) select query_id, case when structural then 'D' when lexical and semantic then 'C' when lexical then 'A' else 'B' end as route, 100 as k_ret, 30 as k_pre, 'small' as reranker, structural as expand from s")
 def _(spark, d):
-    u = l2_units(spark, d)
-    df = u.select(F.explode(F.array_distinct(tokens(F.col("text")))).alias("term")).groupBy("term").agg(F.count("*").alias("df"))
+    df = Corpus(spark, d).lexical().terms
     sym = structure.declarations(units.level2(files(spark, d))).select("symbol").distinct()
-    return plan.choose(plan.signals(thin_queries(spark, d), df, sym), "medium", {"text_search", "semantic_search", "references"})
+    return plan.choose(plan.signals(full_queries(spark, d), df, sym), "medium", {"text_search", "semantic_search", "references"})
 
 
-@query("p_route_a", bm25_sql(THIN, L2, 10) + " select query_id, unit_id, score, rank from bm")
+@query("p_route_a", bm25_sql(FULL, L2, 10) + " select query_id, unit_id, score, rank from bm")
 def _(spark, d):
-    return plan.run(plan.RankedPlan("A"), plan.Views(l2_units(spark, d)), thin_queries(spark, d), 10)
+    return plan.run(plan.RankedPlan("A"), views(spark, d, None), full_queries(spark, d), 10)
 
 
 def dense_sql(k: int, dim: int = 256) -> str:
@@ -57,31 +57,31 @@ def dense_sql(k: int, dim: int = 256) -> str:
  ds as (select qh.key as query_id, v.key as unit_id, round(sum(v.w * qh.w), 6) as score from v join qh using (bucket) group by all), dn as (select *, row_number() over (partition by query_id order by score desc, unit_id)::int as rank from ds qualify rank <= {k})"""
 
 
-@query("p_route_b", f"with {UNITS_SQL}, q as ({THIN}){dense_sql(10)} select query_id, unit_id, rank from dn")
+@query("p_route_b", f"with {UNITS_SQL}, q as ({FULL}){dense_sql(10)} select query_id, unit_id, rank from dn")
 def _(spark, d):
-    return plan.run(plan.RankedPlan("B"), views(spark, d), thin_queries(spark, d), 10).select("query_id", "unit_id", "rank")
+    return plan.run(plan.RankedPlan("B"), views(spark, d), full_queries(spark, d), 10).select("query_id", "unit_id", "rank")
 
 
-ROUTE_C = bm25_sql(THIN, UNITS_SQL, 100) + dense_sql(100) + ", two as (select query_id, unit_id, 1.0::double / (60 + rank) as part from bm union all select query_id, unit_id, 1.0::double / (60 + rank) from dn), fs as (select query_id, unit_id, round(sum(part), 9) as score from two group by all), fused as (select *, row_number() over (partition by query_id order by score desc, unit_id)::int as rank from fs qualify rank <= 10)"
+ROUTE_C = bm25_sql(FULL, UNITS_SQL, 100) + dense_sql(100) + ", two as (select query_id, unit_id, 1.0::double / (60 + rank) as part from bm union all select query_id, unit_id, 1.0::double / (60 + rank) from dn), fs as (select query_id, unit_id, round(sum(part), 9) as score from two group by all), fused as (select *, row_number() over (partition by query_id order by score desc, unit_id)::int as rank from fs qualify rank <= 10)"
 
 
 @query("p_route_c", ROUTE_C + " select query_id, unit_id, score, rank from fused")
 def route_c(spark, d):
-    return plan.run(plan.RankedPlan("C"), views(spark, d), thin_queries(spark, d), 10)
+    return plan.run(plan.RankedPlan("C"), views(spark, d), full_queries(spark, d), 10)
 
 
 GRAPH = """, eg as (select src, dst from edges where etype = 'reference' and src <> dst), hop as (select src as seed, dst as vid from eg union all select dst, src from eg), gh as (select s.query_id, hop.vid, min(s.rank) as best, count(*) as support from seedlist s join hop on hop.seed = s.vid group by all), gl as (select query_id, vid, row_number() over (partition by query_id order by best, support desc, vid)::int as rank from gh)"""
 
 
-@query("p_route_d", bm25_sql(THIN, EDGES, 10) + f", addr as (select {'sha256(path||chr(31)||2||chr(31)||line||chr(31)||line)'} as unit_id, path||'#'||line as vid from l2), seedlist as (select bm.query_id, addr.vid, bm.rank from bm join addr using (unit_id)){GRAPH} select query_id, vid, rank from gl where rank <= 10")
+@query("p_route_d", bm25_sql(FULL, EDGES, 10) + f", addr as (select {'sha256(path||chr(31)||2||chr(31)||line||chr(31)||line)'} as unit_id, path||'#'||line as vid from l2), seedlist as (select bm.query_id, addr.vid, bm.rank from bm join addr using (unit_id)){GRAPH} select query_id, vid, rank from gl where rank <= 10")
 def _(spark, d):
-    return plan.graph_seeded(views(spark, d, edges=True), thin_queries(spark, d), 10, 10)
+    return plan.graph_seeded(views(spark, d, edges=True), full_queries(spark, d), 10, 10)
 
 
 @query("p_compose", ROUTE_C + ", c as (select f.query_id, f.rank, u.path, u.line, u.text, row_number() over (partition by f.query_id, u.path order by f.rank) as n from fused f join un u on u.key = f.unit_id) select query_id, row_number() over (partition by query_id order by rank)::int as block, path, line as start, line as \"end\", text from c where n = 1 qualify block <= 5")
 def _(spark, d):
     v = views(spark, d)
-    return rank.compose(plan.run(plan.RankedPlan("C"), v, thin_queries(spark, d), 10), v.units, 5)
+    return rank.compose(plan.run(plan.RankedPlan("C"), v, full_queries(spark, d), 10), v.units, 5)
 
 
 # --- retrieval quality ------------------------------------------------------------------------
@@ -100,13 +100,12 @@ def recall_sql(ctes: str, ranked: str, k: int = 10) -> str:
 
 
 def dense_recall(spark, d, encoders=dense.ENCODERS, q=None, level=2):
-    u = l2_units(spark, d) if level == 2 else units.with_ids(units.level0(files(spark, d)), 0)
+    c = Corpus(spark, d)
     q = q if q is not None else thin_queries(spark, d)
     t, out = targets(spark, d), None
     for e in encoders:
-        idf = dense.document_frequency(u, e)
-        v = plan.Views(u, dense.encode(u, e, idf), e, idf)
-        r = metrics.file_recall(_files_of(plan.dense_list(v, q, 100), u), t, 10).withColumn("encoder", F.lit(e.name))
+        v = c.views(e, level=level)
+        r = metrics.file_recall(_files_of(plan.dense_list(v, q, 100), v.units), t, 10).withColumn("encoder", F.lit(e.name))
         out = r if out is None else out.unionByName(r)
     return out.select("encoder", "n", "recall", "success")
 
@@ -133,7 +132,7 @@ def _(spark, d):
 
 def rerank_recall(spark, d, scorers=("small", "medium", "large"), cuts=(30, 50, 100)):
     v, q, t = views(spark, d), thin_queries(spark, d), targets(spark, d)
-    cand = plan.dense_list(v, q, 100).join(v.units.select("unit_id", "text"), "unit_id").join(F.broadcast(q.select("query_id", F.col("text").alias("query_text"))), "query_id")
+    cand = plan.dense_list(v, q, 100).join(v.units.select("unit_id", "text"), "unit_id").join(q.select("query_id", F.col("text").alias("query_text")), "query_id")
     arms = None
     for s in scorers:
         for c in cuts:

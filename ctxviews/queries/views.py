@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ctxviews.functions.text import digest, md5_number, tokens
 from ctxviews.operators import dense, lexical, structure, units
+from ctxviews.plans.corpus import Corpus
 from ctxviews.queries import DECL, EDGES, FILES, L2, LINES, OCC, REFS, TOKEN, num, query, unit_id
 from ctxviews.sources.tables import files, page_files, scope, snapshots, table
 
@@ -141,20 +142,25 @@ def full_queries(spark, d):
     return table(spark, d, "benchmark").select(F.col("item_id").cast("string").alias("query_id"), "text")
 
 
-@query("x_bm25", bm25_sql(THIN, L2, 10) + " select query_id, unit_id, score, rank from bm")
+@query("x_bm25", bm25_sql(FULL, L2, 10) + " select query_id, unit_id, score, rank from bm")
 def _(spark, d):
-    return lexical.bm25(thin_queries(spark, d), l2_units(spark, d), 10)
+    return lexical.bm25(full_queries(spark, d), Corpus(spark, d).lexical(), 10)
 
 
-PATTERNS = "p as (select item_id as pattern_id, substr(text, 1, 40) as pattern from benchmark)"
+@query("x_bm25_thin", bm25_sql(THIN, L2, 10) + " select query_id, unit_id, score, rank from bm")
+def _(spark, d):
+    return lexical.bm25(thin_queries(spark, d), Corpus(spark, d).lexical(), 10)
+
+
+PATTERNS = "p as (select item_id as pattern_id, text as pattern from benchmark)"
 
 
 @query("x_trigram_substring", f"with {FILES}, {PATTERNS} select pattern_id, path from p join files on contains(files.text, p.pattern)")
 def _(spark, d):
     f = files(spark, d)
-    p = table(spark, d, "benchmark").select(F.col("item_id").alias("pattern_id"), F.substring("text", 1, 40).alias("pattern"))
+    p = table(spark, d, "benchmark").select(F.col("item_id").alias("pattern_id"), F.col("text").alias("pattern"))
     g = p.select(F.explode(lexical.grams(F.col("pattern"))).alias("gram")).distinct()
-    return lexical.substring(p, f, lexical.trigrams(f).join(F.broadcast(g), "gram", "left_semi"))
+    return lexical.substring(p, f, lexical.trigrams(f).join(g, "gram", "left_semi"))
 
 
 @query("x_regex", f"with {LINES} select path, line, text from ln where regexp_matches(text, 'Lic[a-z]+ .*[0-9]\\.[0-9]')")
@@ -310,30 +316,35 @@ def _(spark, d):
     return structure.at(pos, occ(spark, d), units.level2(f))
 
 
-SEEDS = f"seeds as (select distinct src as seed from edges where etype = 'reference' and {num('src')} % 50 = 0)"
+def seeds(e, kind="reference"):
+    return e.filter(F.col("etype") == kind).select(F.col("src").alias("seed")).distinct()
 
 
-def seeds(e, kind="reference", mod=50):
-    return e.filter(F.col("etype") == kind).select(F.col("src").alias("seed")).distinct().filter(md5_number(F.col("seed")) % mod == 0)
+ANCHORS = """, an as (select *, row_number() over (partition by repo, lang order by path, line, col) - 1 as at0, count(*) over (partition by repo, lang) as n from occ where role = 2),
+ seeds as (select distinct path||'#'||line as seed from an where n <= 5 or list_contains([n // 10, 3 * n // 10, 5 * n // 10, 7 * n // 10, 9 * n // 10], at0))"""
 
 
-@query("g_khop", f"with recursive {EDGES}, {SEEDS}, st as (select distinct src as a, dst as b from edges where etype = 'reference' union select dst, src from edges where etype = 'reference'), k(seed, node, hop) as (select seed, seed, 0 from seeds union select k.seed, st.b, k.hop + 1 from k join st on st.a = k.node where k.hop < 2) select seed, node, min(hop)::int as hop from k group by all")
+@query("g_khop", f"with recursive {EDGES}{ANCHORS}, st as (select distinct src as a, dst as b from edges where etype = 'reference' union select dst, src from edges where etype = 'reference'), k(seed, node, hop) as (select seed, seed, 0 from seeds union select k.seed, st.b, k.hop + 1 from k join st on st.a = k.node where k.hop < 2) select seed, node, min(hop)::int as hop from k group by all")
 def _(spark, d):
-    e = structure.edges(occ(spark, d))
-    return structure.neighbours(seeds(e), e, 2)
+    """Two steps around the lines of the navigation requests (five anchors of each snapshot)."""
+    from ctxviews.operators import navigate
+
+    c = Corpus(spark, d)
+    anchors = navigate.requests(c.occurrences()).select(F.concat("path", F.lit("#"), F.col("line").cast("string")).alias("seed")).distinct()
+    return structure.neighbours(anchors, c.edges(), 2)
 
 
-@query("g_dependencies", f"with recursive {EDGES}, sd as (select distinct src as seed from edges where etype = 'import' and {num('src')} % 10 = 0), st as (select distinct src as a, dst as b from edges where etype = 'import'), k(seed, node, hop) as (select seed, seed, 0 from sd union select k.seed, st.b, k.hop + 1 from k join st on st.a = k.node where k.hop < 2) select seed, node, min(hop)::int as hop from k group by all")
+@query("g_dependencies", f"with recursive {EDGES}, sd as (select distinct src as seed from edges where etype = 'import'), st as (select distinct src as a, dst as b from edges where etype = 'import'), k(seed, node, hop) as (select seed, seed, 0 from sd union select k.seed, st.b, k.hop + 1 from k join st on st.a = k.node where k.hop < 2) select seed, node, min(hop)::int as hop from k group by all")
 def _(spark, d):
-    e = structure.edges(occ(spark, d))
-    return structure.dependencies(seeds(e, "import", 10), e, 2)
+    e = Corpus(spark, d).edges()
+    return structure.dependencies(seeds(e, "import"), e, 2)
 
 
-@query("g_route", f"with recursive {EDGES}, st as (select distinct src as a, dst as b from edges), pr as (select distinct e1.src as a, e2.dst as b from edges e1 join edges e2 on e1.dst = e2.src where e1.etype = 'import' and e2.etype = 'import' and {num('e1.src')} % 20 = 0), k(seed, node, hop) as (select distinct a, a, 0 from pr union select k.seed, st.b, k.hop + 1 from k join st on st.a = k.node where k.hop < 3), m as (select seed, node, min(hop)::int as hops from k group by all) select pr.a, pr.b, m.hops from pr left join m on m.seed = pr.a and m.node = pr.b")
+@query("g_route", f"with recursive {EDGES}, st as (select distinct src as a, dst as b from edges), im as (select distinct src, dst from edges where etype = 'import'), pr as (select distinct e1.src as a, e2.dst as b from im e1 join im e2 on e1.dst = e2.src), k(seed, node, hop) as (select distinct a, a, 0 from pr union select k.seed, st.b, k.hop + 1 from k join st on st.a = k.node where k.hop < 3), m as (select seed, node, min(hop)::int as hops from k group by all) select pr.a, pr.b, m.hops from pr left join m on m.seed = pr.a and m.node = pr.b")
 def _(spark, d):
-    e = structure.edges(occ(spark, d))
+    e = Corpus(spark, d).edges()
     imp = e.filter("etype = 'import'").select("src", "dst").distinct()
-    pairs = imp.filter(md5_number(F.col("src")) % 20 == 0).select(F.col("src").alias("a"), F.col("dst").alias("m")).join(imp.select(F.col("src").alias("m"), F.col("dst").alias("b")), "m").select("a", "b").distinct()
+    pairs = imp.select(F.col("src").alias("a"), F.col("dst").alias("m")).join(imp.select(F.col("src").alias("m"), F.col("dst").alias("b")), "m").select("a", "b").distinct()
     return structure.route(pairs, e, 3)
 
 
