@@ -107,6 +107,8 @@ def _width(kind: T.DataType, c) -> object:
         return 16 + F.coalesce(F.octet_length(c), F.lit(0))
     if isinstance(kind, T.ArrayType):
         inner = kind.elementType
+        if isinstance(inner, T.NumericType):
+            return 24 + F.greatest(F.size(c), F.lit(0)) * (4 if isinstance(inner, (T.IntegerType, T.FloatType)) else 8)
         if isinstance(inner, T.StructType) and not any(isinstance(f.dataType, (T.StringType, T.BinaryType, T.ArrayType, T.MapType, T.StructType)) for f in inner.fields):
             return 24 + F.greatest(F.size(c), F.lit(0)) * (16 + 8 * len(inner.fields))
         return 24 + F.coalesce(F.aggregate(c, F.lit(0).cast("long"), lambda s, x: s + _width(inner, x)), F.lit(0).cast("long"))

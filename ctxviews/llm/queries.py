@@ -13,7 +13,8 @@ from .common import keep, table
 
 
 def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffix_dedup.dedup(table(spark, sf_dir, "documents"), spark, ["doc_id"])
+    """The contract's columns and, as the operator's real output, what is left of each text."""
+    return suffix_dedup.dedup(table(spark, sf_dir, "documents"), spark, ["doc_id"], with_text=True)
 
 
 def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -124,7 +124,7 @@ def repeated_windows(pieces: list[np.ndarray], length: int) -> list[tuple[int, i
 
 
 def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | None = None, text_col: str = "text", id_col: str = "doc_id") -> tuple[DataFrame, DataFrame]:
-    """(docs with key columns k1, k2; table (k1, k2, spans array<struct<a, b>>) of byte ranges that go, unmerged)."""
+    """(docs with key columns k1, k2; table (k1, k2, spans array<struct<a, b>>) of the byte ranges that go)."""
     ship(spark)
     k = k or length // 2
     keyed = docs.withColumn("ctxviews_k1", F.xxhash64(docs[id_col], docs[text_col])).withColumn("ctxviews_k2", F.hash(docs[id_col], docs[text_col]))
@@ -151,8 +151,11 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
     whole = hit.filter("n > 1").select("k1", "k2", F.col("i0").alias("a"), (F.col("i1") + length).alias("b"))
 
     sort = hit.filter("lone > 0 and m > 1 and (n = 1 or one = pick)")
-    wanted = keep(sort.groupBy("k1", "k2").agg(F.collect_list(F.struct("i0", "i1", "p", "anchor", "n")).alias("want")), spark)
-    fetch = source.join(small(wanted, spark, 200_000), ["k1", "k2"])
+    # A document's windows to be cut, as integers: first and last window, anchor (its complement if the context repeats).
+    place = F.when(F.col("n") == 1, F.col("p")).otherwise(-F.col("p") - 1)
+    listed = sort.groupBy("k1", "k2").agg(F.collect_list(F.array(*(x.cast("int") for x in (F.col("i0"), F.col("i1"), place)))).alias("w"))
+    wanted = keep(listed.select("k1", "k2", F.flatten("w").alias("want")), spark)
+    fetch = source.join(small(wanted, spark), ["k1", "k2"])
     step = max(1, (length - k) // SLOTS)
 
     def cut(batches):
@@ -166,10 +169,13 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
                     raw = t.encode("utf-8", "surrogatepass")
                     prefix = prefix_hash(np.frombuffer(raw, np.uint8))
                     own = []
-                    for w in want:
-                        for j in range((w["p"] - w["i1"]) // step, (w["p"] - w["i0"]) // step + 1):
-                            core = w["p"] - step * j
-                            own.append((max(w["i0"], core - step + 1), min(w["i1"], core), core, w["anchor"], j, w["n"]))
+                    i0, i1, p = np.asarray(want, np.int64).reshape(-1, 3).T
+                    once, p = p >= 0, np.where(p >= 0, p, -p - 1)
+                    anchor_of = span_hash(prefix, p, p + k).view(np.int64)
+                    for w0, w1, at, anchor, n in zip(i0.tolist(), i1.tolist(), p.tolist(), anchor_of.tolist(), np.where(once, 1, 2).tolist(), strict=True):
+                        for j in range((at - w1) // step, (at - w0) // step + 1):
+                            core = at - step * j
+                            own.append((max(w0, core - step + 1), min(w1, core), core, anchor, j, n))
                     core = np.array([o[2] for o in own])
                     h = span_hash(prefix, core, core + length - step).view(np.int64).tolist()
                     for (x, y, c, anchor, j, n), g in zip(own, h, strict=True):
@@ -232,11 +238,22 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
         hot = met.filter(F.col("s") > HOT_SLOTS).mapInPandas(window_hashes, "k1 long, k2 int, at long, n long, c long, h long")
         twice = hot.groupBy("c", "h").agg(F.count("*").alias("times")).filter("times > 1").select("c", "h")
         ranges = ranges.union(hot.join(twice, ["c", "h"], "left_semi").filter("n = 1").select("k1", "k2", F.col("at").alias("a"), (F.col("at") + length).alias("b")))
-    spans = keep(ranges.groupBy("k1", "k2").agg(F.collect_list(F.struct("a", "b")).alias("spans")), spark)
+    spans = _merged(ranges, spark)
     release(spark, hit, known, wanted, slots, cores)
     return keyed, spans
 
 
+def _merged(ranges: DataFrame, spark: SparkSession) -> DataFrame:
+    """(k1, k2, spans) with the maximal runs of each document's ranges (k1, k2, a, b)."""
+
+    def run(batches):
+        for pdf in batches:
+            yield pdf.assign(spans=[[{"a": a, "b": b} for a, b in merge(s)] for s in pdf["spans"]])
+
+    lists = ranges.groupBy("k1", "k2").agg(F.collect_list(F.struct("a", "b")).alias("spans"))
+    return keep(lists.mapInPandas(run, "k1 long, k2 int, spans array<struct<a: long, b: long>>"), spark)
+
+
 def merge(spans) -> list[tuple[int, int]]:
     """Maximal runs of byte ranges."""
     out: list[list[int]] = []
@@ -267,7 +284,7 @@ def removed_words(docs: DataFrame, spark: SparkSession, n: int, text_col: str =
     """Like removed(), for strings of n words, from the start of the first to the end of the last."""
     keyed, spans = removed(docs, spark, 2 * n - 1, None, text_col, id_col)
     source = keyed.select(F.col("ctxviews_k1").alias("k1"), F.col("ctxviews_k2").alias("k2"), docs[text_col].alias("t"))
-    fetch = source.join(small(spans, spark, 300_000), ["k1", "k2"])
+    fetch = source.join(small(spans, spark), ["k1", "k2"])
 
     def find(batches):
         import pandas as pd
@@ -281,7 +298,7 @@ def removed_words(docs: DataFrame, spark: SparkSession, n: int, text_col: str =
     seen = keep(fetch.select("k1", "k2", "t", "spans").mapInPandas(find, "k1 long, k2 int, a long, b long, h long, g long"), spark)
     twice = keep(seen.groupBy("h", "g").agg(F.count("*").alias("times")).filter("times > 1").select("h", "g"), spark)
     ranges = seen.join(small(twice, spark), ["h", "g"], "left_semi")
-    out = keep(ranges.groupBy("k1", "k2").agg(F.collect_list(F.struct("a", "b")).alias("spans")), spark)
+    out = _merged(ranges, spark)
     release(spark, spans, seen, twice)
     return keyed, out
 
@@ -291,7 +308,7 @@ def dedup(docs: DataFrame, spark: SparkSession, carry: list[str], length: int =
     kept_text: the remaining bytes as text, without characters that a cut has split (null stays null)."""
     keyed, spans = removed_words(docs, spark, n_words, text_col, id_col) if n_words else removed(docs, spark, length, k, text_col, id_col)
     kinds = dict(docs.dtypes)
-    joined = keyed.select(*(keyed[c].alias(f"c_{c}") for c in carry), keyed[text_col].alias("t"), F.col("ctxviews_k1").alias("k1"), F.col("ctxviews_k2").alias("k2")).join(small(spans, spark, 300_000), ["k1", "k2"], "left")
+    joined = keyed.select(*(keyed[c].alias(f"c_{c}") for c in carry), keyed[text_col].alias("t"), F.col("ctxviews_k1").alias("k1"), F.col("ctxviews_k2").alias("k2")).join(small(spans, spark), ["k1", "k2"], "left")
 
     def run(batches):
         import pandas as pd
