@@ -46,25 +46,44 @@ def normalize(found: DataFrame, reqs: DataFrame) -> DataFrame:
 
 
 def _answers(reqs: DataFrame, defs: DataFrame, uses: DataFrame, key: str) -> DataFrame:
-    """Definitions: nearest before in the file first, then by address.  References: all tokens and the declaration, by address."""
+    """Definitions: nearest before in the file first, then by address.  References: all tokens and the
+    declaration, by address; the same for every request of a symbol, so they are cut once for each symbol."""
     d = reqs.filter("capability = 'definition'").join(defs.select(*SNAP, key, F.col("path").alias("loc_path"), F.col("line").alias("loc_line")), [*SNAP, key])
     near = (F.col("loc_path") == F.col("path")) & (F.col("loc_line") <= F.col("line"))
     d = d.withColumn("far", F.when(near, 0).otherwise(1)).withColumn("place", F.when(near, -F.col("loc_line")).otherwise(0))
-    r = reqs.filter("capability = 'references'").join(uses.select(*SNAP, key, F.col("path").alias("loc_path"), F.col("line").alias("loc_line")).distinct(), [*SNAP, key]).withColumn("far", F.lit(0)).withColumn("place", F.lit(0))
-    return limited(d.unionByName(r).select("req_id", "capability", "far", "place", "loc_path", "loc_line"))
+    asked = reqs.filter("capability = 'references'")
+    u = uses.select(*SNAP, key, F.col("path").alias("loc_path"), F.col("line").alias("loc_line")).join(asked.select(*SNAP, key).distinct(), [*SNAP, key], "left_semi").distinct()
+    first = u.withColumn("at", F.row_number().over(W.partitionBy(*SNAP, key).orderBy("loc_path", "loc_line"))).filter(F.col("at") <= LIMITS["references"])
+    r = asked.join(first, [*SNAP, key]).withColumn("far", F.lit(0)).withColumn("place", F.lit(0))
+    return limited(d.unionByName(r.drop("at")).select("req_id", "capability", "far", "place", "loc_path", "loc_line"))
 
 
-def static(reqs: DataFrame, occ: DataFrame) -> DataFrame:
-    """Answers from the occurrences of the structural view, with provider and granularity."""
-    found = _answers(reqs, occ.filter(F.col("role") == DECLARES), occ, "symbol")
-    return normalize(found, reqs).withColumn("provider", F.lit("static")).withColumn("granularity", F.lit("occurrence"))
+def located(reqs: DataFrame, occ: DataFrame) -> DataFrame:
+    """Requests (path, line, col) with the symbol they are answered for and its granularity.
+
+    The occurrence at the position if there is one, else the enclosing node: the last
+    declaration at or before the line in the file.
+    """
+    exact = occ.select(*SNAP, "path", "line", "col", F.col("symbol").alias("exact")).distinct()
+    at = reqs.drop("symbol").join(exact, [*SNAP, "path", "line", "col"], "left")
+    decl = occ.filter(F.col("role") == DECLARES).select(*SNAP, "path", F.col("line").alias("from"), F.col("symbol").alias("node"))
+    around = at.filter("exact is null").join(decl, [*SNAP, "path"]).filter(F.col("from") <= F.col("line")).groupBy("req_id").agg(F.max_by("node", "from").alias("node"))
+    out = at.join(around, "req_id", "left")
+    granularity = F.when(F.col("exact").isNotNull(), "occurrence").when(F.col("node").isNotNull(), "enclosing").otherwise("none")
+    return out.withColumn("symbol", F.coalesce("exact", "node")).withColumn("granularity", granularity).drop("exact", "node")
+
+
+def static(reqs: DataFrame, occ: DataFrame, version: str = "0") -> DataFrame:
+    """Answers from the occurrences of the structural view, with provider, its version and granularity."""
+    asked = located(reqs, occ)
+    found = _answers(asked, occ.filter(F.col("role") == DECLARES), occ, "symbol")
+    return normalize(found, asked).withColumn("provider", F.lit("static")).withColumn("version", F.lit(version))
 
 
 def live(reqs: DataFrame, l2: DataFrame) -> DataFrame:
     """Answers from the source text at request time: tokens as they are written, case-sensitive."""
     written = l2.select(*SNAP, "path", F.col("start").alias("line"), F.posexplode(F.regexp_extract_all("text", F.lit(TOKEN), F.lit(0))).alias("col", "written"))
     asked = reqs.join(written.select("path", "line", "col", "written"), ["path", "line", "col"])
-    snaps = asked.select(*SNAP, "written").distinct()
-    hits = written.join(snaps, [*SNAP, "written"], "left_semi")
+    hits = written.join(asked.select(*SNAP, "written").distinct(), [*SNAP, "written"], "left_semi")
     found = _answers(asked, hits.filter("col = 0"), hits, "written")
-    return normalize(found, reqs).withColumn("provider", F.lit("live")).withColumn("granularity", F.lit("text"))
+    return normalize(found, reqs).withColumn("provider", F.lit("live")).withColumn("version", F.lit("worktree")).withColumn("granularity", F.lit("text"))

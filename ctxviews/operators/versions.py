@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import bisect
+from collections import Counter
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -90,6 +93,55 @@ def diff(a: list[str], b: list[str]) -> list[tuple[int, int, int, int]]:
         return []
     if not x or not y or len(x) * len(y) == 1:
         return [(lo, len(x), lo, len(y))]
+    out = []
+    for o, n, i, m in _hunks(x, y):
+        out.append((lo + o, n, lo + i, m))
+    return out
+
+
+#: Cells of a table of common lengths at most.
+CELLS = 1_000_000
+
+
+def _hunks(x: list[str], y: list[str]) -> list[tuple[int, int, int, int]]:
+    """Hunks between two lists without common ends.
+
+    Large ones are cut at lines that occur once on both sides, in their longest common
+    order, so memory stays linear; without such lines they are one hunk.
+    """
+    if len(x) * len(y) <= CELLS:
+        return _by_table(x, y)
+    count_x, count_y = Counter(x), Counter(y)
+    where = {v: j for j, v in enumerate(y) if count_y[v] == 1}
+    both = [(i, where[v]) for i, v in enumerate(x) if count_x[v] == 1 and v in where]
+    fixed = _rising(both)
+    if not fixed:
+        return [(0, len(x), 0, len(y))]
+    out, i0, j0 = [], 0, 0
+    for i, j in [*fixed, (len(x), len(y))]:
+        out += [(i0 + o, n, j0 + p, m) for o, n, p, m in diff(x[i0:i], y[j0:j])]
+        i0, j0 = i + 1, j + 1
+    return out
+
+
+def _rising(pairs: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """A longest run of pairs (sorted by the first place) whose second places rise."""
+    ends: list[int] = []
+    last: list[int] = []
+    back: list[int] = []
+    for n, (_, j) in enumerate(pairs):
+        k = bisect.bisect_left(ends, j)
+        ends[k : k + 1] = [j]
+        last[k : k + 1] = [n]
+        back.append(last[k - 1] if k else -1)
+    out, n = [], last[-1] if last else -1
+    while n >= 0:
+        out.append(pairs[n])
+        n = back[n]
+    return out[::-1]
+
+
+def _by_table(x: list[str], y: list[str]) -> list[tuple[int, int, int, int]]:
     best = [[0] * (len(y) + 1) for _ in range(len(x) + 1)]
     for i in range(len(x) - 1, -1, -1):
         for j in range(len(y) - 1, -1, -1):
@@ -105,7 +157,7 @@ def diff(a: list[str], b: list[str]) -> list[tuple[int, int, int, int]]:
             else:
                 j += 1
         if (i, j) != (i0, j0):
-            hunks.append((lo + i0, i - i0, lo + j0, j - j0))
+            hunks.append((i0, i - i0, j0, j - j0))
         while i < len(x) and j < len(y) and x[i] == y[j]:
             i, j = i + 1, j + 1
     return hunks

@@ -58,7 +58,7 @@ def late(e: DataFrame) -> DataFrame:
     tops = e.groupBy(block.alias("block")).agg(F.max("ts").alias("top"))
     before = tops.withColumn("carried", F.max("top").over(W.orderBy("block").rowsBetween(W.unboundedPreceding, -1))).select("block", "carried")
     w = W.partitionBy("block").orderBy("event_id").rowsBetween(W.unboundedPreceding, -1)
-    x = e.withColumn("block", block).withColumn("own", F.max("ts").over(w)).join(F.broadcast(before), "block")
+    x = e.withColumn("block", block).withColumn("own", F.max("ts").over(w)).join(before, "block")
     seen = F.greatest("own", "carried")
     return x.agg(F.count("*").alias("n"), F.count_if(F.coalesce(F.col("ts") < seen - F.expr(f"interval {DELAY}"), F.lit(False))).alias("late"))
 
