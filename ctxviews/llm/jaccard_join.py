@@ -8,11 +8,15 @@ gives the same links.  A set's prefix is what two sets with the wanted similarit
 must share a shingle of.
 
 Rows (prefix shingle, set, size, position) meet by shingle.  Instead of all pairs
-of a group, two passes find the same components:
-
-1. every set is verified against one lead, the least set of most of its groups, if
-   they share half of the prefix shingles that similar sets of their sizes share;
-2. sets that share a prefix shingle but lie in different components so far are
+of a group, three passes find the same components:
+
+1. every set is verified against one lead, the least set of most of its groups, if they
+   share half of the prefix shingles that similar sets of their sizes share;
+2. where hot groups still hold several components and far more pairs than rows, their
+   sets are verified against further leads, as long as that links many: at first the set
+   with most of its prefix in hot groups (the original of many copies has no shingles of
+   its own), then sets drawn by hash;
+3. sets that share a prefix shingle but lie in different components so far are
    paired, filtered by length, position and the number of prefix shingles that
    similar sets of their sizes must share, and each pair is verified once.
 
@@ -39,6 +43,10 @@ from .common import components, keep, mix, release, shingles, ship, small, steps
 FREQUENT = 200_000
 #: Sets that share a shingle from which the group counts as hot.
 HOT_GROUP = 64
+#: Bytes of sets that a verification may broadcast.
+SET_BYTES = 8 << 20
+#: Hot groups are crowded if their pairs outnumber their rows by this; rounds of leads at most.
+ROUND_FROM, MOST_ROUNDS = 64, 6
 #: Shingles whose repeats are counted together.
 COUNTED = 4_000_000
 SUFFIX_DEPTH = 3
@@ -121,15 +129,18 @@ def linked(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100,
 
     seen = keep(source.mapInPandas(survey, "id long, own string, n long, h1 long, h2 long, doc boolean"), spark)
     sets = seen.filter("doc").select("id", F.col("own").cast("long").alias("own"), "n", "h1", "h2")
-    if sets.groupBy("id").count().filter("count > 1").limit(1).count():
-        source = source.dropDuplicates(["id"])  # repeated rows, with equal texts
     often = seen.filter("not doc").groupBy("h1").agg(F.sum("n").alias("c")).orderBy(F.desc("c"), "h1").limit(FREQUENT).collect()
     keys = np.array([r.h1 for r in often], np.int64).view(np.uint64)
     by = np.argsort(keys)
     frequent = spark.sparkContext.broadcast((keys[by], len(keys) - 1 - by))  # most frequent last
 
-    classes = sets.filter("n > 0").groupBy("h1", "h2", "n").agg(F.min("id").alias("rep"), F.count("*").alias("m"))
-    copies = keep(sets.join(classes.filter("m > 1").select("h1", "h2", "n", "rep"), ["h1", "h2", "n"]).filter("id <> rep").select("id", "rep"), spark)
+    # Sets that occur twice or more, and who has them; a row that repeats is one node.
+    classes = keep(sets.filter("n > 0").groupBy("h1", "h2", "n").agg(F.min("id").alias("rep"), F.count("*").alias("m")).filter("m > 1").drop("m"), spark)
+    members = keep(sets.join(small(classes, spark), ["h1", "h2", "n"]).groupBy("id", "rep").agg(F.count("*").alias("times")), spark)
+    copies = members.filter("id <> rep").select("id", "rep")
+    again = keep(members.filter("id = rep and times > 1").select("id"), spark)
+    if again.limit(1).count():
+        source = _join_ids(source, again, spark, "left_anti").union(_join_ids(source, again, spark, "left_semi").dropDuplicates(["id"]))
     alone = _join_ids(source, copies.select("id"), spark, "left_anti")
 
     def prefixes(batches):
@@ -163,7 +174,7 @@ def linked(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100,
 
     def verified(pairs: DataFrame) -> DataFrame:
         """(src, dst) of the pairs (a, b) that are similar."""
-        need = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
+        need = keep(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), spark)
 
         def whole(batches):
             import pandas as pd
@@ -173,7 +184,7 @@ def linked(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100,
                 for at, raw in steps(pdf["t"].tolist()):
                     yield pd.DataFrame({"id": ids[at : at + len(raw)], "s": [s.tobytes() for s in shingles(raw, size)]})
 
-        full = keep(_join_ids(source, keep(need, spark), spark, "left_semi").mapInPandas(whole, "id long, s binary"), spark)
+        full = keep(_join_ids(source, need, spark, "left_semi").mapInPandas(whole, "id long, s binary"), spark)
 
         def check(batches):
             import pandas as pd
@@ -182,7 +193,7 @@ def linked(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100,
                 ok = [similar(np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64), num, den) for x, y in zip(pdf["sa"], pdf["sb"], strict=True)]
                 yield pd.DataFrame({"src": pdf["a"][ok], "dst": pdf["b"][ok]})
 
-        both = pairs.join(full.select(F.col("id").alias("a"), F.col("s").alias("sa")), "a").join(full.select(F.col("id").alias("b"), F.col("s").alias("sb")), "b")
+        both = pairs.join(small(full.select(F.col("id").alias("a"), F.col("s").alias("sa")), spark, SET_BYTES), "a").join(small(full.select(F.col("id").alias("b"), F.col("s").alias("sb")), spark, SET_BYTES), "b")
         out = keep(both.select("a", "b", "sa", "sb").mapInPandas(check, "src long, dst long"), spark)
         release(spark, full)
         return out
@@ -191,20 +202,46 @@ def linked(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100,
     links = verified(first)
     comp = keep(components(links, spark), spark)
 
-    # Pass 2: only pairs between components.
-    node = comp.select(F.col("node").alias("id"), "component")
-    placed = groups.drop("lead", "last").join(small(node, spark), "id", "left").withColumn("component", F.coalesce("component", "id"))
-    mixed = placed.groupBy("k").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("m")).filter("lo < hi").select("k", (F.col("m") > HOT_GROUP).alias("hot"))
-    rest = keep(placed.join(mixed, "k"), spark)
-    hot = rest.filter("hot").groupBy("id").agg(F.count("*").alias("h"))
-    rest = rest.join(small(keep(hot, spark), spark), "id", "left").withColumn("h", F.coalesce("h", F.lit(0)))
-    row = [c for c in rest.columns if c not in ("k", "hot")]
-    side = lambda i, which: rest.filter(which).select("k", *(F.col(c).alias(f"{c}{i}") for c in row)).withColumn(f"n{i}", n_of(f"np{i}")).withColumn(f"p{i}", F.col(f"np{i}").bitwiseAND(0xFFFFFFFF)).drop(f"np{i}")
     n1, n2, p1, p2 = map(F.col, ("n1", "n2", "p1", "p2"))
     length = (num * n1 <= den * n2) & (num * n2 <= den * n1)
-    usual = side(1, "not hot").join(side(2, "not hot"), "k").filter((F.col("component1") < F.col("component2")) & length)
+    size_of, place_of = n_of("np"), F.col("np").bitwiseAND(0xFFFFFFFF)
     # In a frequent shingle's group the smaller set must have it early: its first shared shingle leaves room for what it needs.
-    early = side(1, "hot").filter(n1 - p1 >= F.expr(f"ceil({num} * 2 * n1 / {num + den}.0)"))
+    is_early = size_of - place_of >= F.expr(f"ceil({num} * 2 * shiftright(np, 32) / {num + den}.0)")
+
+    def mixed_groups(rows: DataFrame, comp: DataFrame) -> tuple[DataFrame, DataFrame, bool]:
+        """(rows of groups with several components, each set's rows in hot ones, whether these would give too many pairs)."""
+        node = comp.select(F.col("node").alias("id"), "component")
+        placed = rows.select("k", "id", "np").join(small(node, spark), "id", "left").withColumn("component", F.coalesce("component", "id"))
+        mixed = placed.groupBy("k").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("m"), F.count_if(is_early).alias("e")).filter("lo < hi")
+        rows = keep(placed.join(mixed.select("k", "e", (F.col("m") > HOT_GROUP).alias("hot")), "k"), spark)
+        times = keep(rows.filter("hot").groupBy("id").agg(F.count("*").alias("h"), F.sum("e").alias("e")), spark)
+        met, many = times.agg(F.sum("e"), F.sum("h")).first()  # the sum of e over a group's m rows is e * m
+        return rows.drop("e"), times.select("id", "h"), (met or 0) > ROUND_FROM * (many or 0)
+
+    # Pass 2: sets of crowded hot groups against one more lead each time, while that links many of them.
+    rest, times, crowded = mixed_groups(groups, comp)
+    usual, hot = rest.filter("not hot"), rest.filter("hot")
+    for turn in range(MOST_ROUNDS) if crowded else ():
+        at = F.struct("id", size_of.alias("n"), "component")
+        lead = hot.join(small(times, spark), "id").groupBy("k").agg(F.max_by(at, F.struct(F.col("h") if turn == 0 else F.lit(0), F.xxhash64("id", F.lit(turn)))).alias("lead"))
+        cand = hot.join(lead, "k").filter("component <> lead.component").select("id", size_of.alias("n1"), F.col("lead.id").alias("lead"), F.col("lead.n").alias("n2")).filter(length)
+        cand = cand.groupBy("id", "lead").agg(F.count("*").alias("c"))
+        tried = keep(cand.groupBy("id").agg(F.max_by("lead", F.struct("c", "lead")).alias("a")).select("a", F.col("id").alias("b")), spark)
+        new = verified(tried)
+        n_new, n_tried = new.select("dst").distinct().count(), tried.count()
+        release(spark, tried)
+        links = links.union(new)
+        comp = keep(components(links, spark), spark)
+        hot, times, crowded = mixed_groups(hot, comp)
+        if not crowded or 2 * n_new < n_tried:
+            break
+
+    # Pass 3: only pairs between components.
+    rest = usual.unionByName(hot).join(small(times, spark), "id", "left").withColumn("h", F.coalesce("h", F.lit(0)))
+    row = [c for c in rest.columns if c not in ("k", "hot")]
+    side = lambda i, which: rest.filter(which).select("k", *(F.col(c).alias(f"{c}{i}") for c in row)).withColumn(f"n{i}", n_of(f"np{i}")).withColumn(f"p{i}", F.col(f"np{i}").bitwiseAND(0xFFFFFFFF)).drop(f"np{i}")
+    usual = side(1, "not hot").join(side(2, "not hot"), "k").filter((F.col("component1") < F.col("component2")) & length)
+    early = side(1, F.col("hot") & is_early)
     order = (n1 < n2) | ((n1 == n2) & (F.col("id1") < F.col("id2")))
     often_ = early.join(side(2, "hot"), "k").filter(order & (F.col("component1") != F.col("component2")) & length & (F.least(n1 - p1, n2 - p2) >= need))
     met = usual.withColumn("c", F.lit(1)).unionByName(often_.withColumn("c", F.lit(0)))
@@ -221,7 +258,7 @@ def linked(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100,
     if more.limit(1).count():
         comp = keep(components(links.union(more), spark), spark)
 
-    reps = sets.select("id", "own", "n").join(copies.groupBy("id").agg(F.min("rep").alias("rep")), "id", "left").withColumn("node", F.coalesce("rep", "id"))
+    reps = sets.select("id", "own", "n").join(small(copies, spark), "id", "left").withColumn("node", F.coalesce("rep", "id"))
     out = keep(reps.join(small(comp, spark), "node", "left").select("id", "own", "n", F.coalesce("component", "node").alias("component")), spark)
     named = keep(out.groupBy("component").agg(F.min("own").alias("component_id"), F.count("*").alias("m")).filter("m > 1").drop("m"), spark)
     out = out.join(small(named, spark), "component", "left")
