@@ -34,7 +34,7 @@ ENCODERS = [Encoder("hash64", 64), Encoder("hash128", 128), Encoder("hash256", 2
 def features(c: Column, e: Encoder) -> Column:
     t = tokens(c)
     if e.features == "bigram":
-        return F.concat(t, F.zip_with(t, F.slice(t, 2, F.greatest(F.size(t) - 1, F.lit(0))), lambda a, b: F.concat_ws(" ", a, b)))
+        return F.concat(t, F.zip_with(F.slice(t, 1, F.greatest(F.size(t) - 1, F.lit(0))), F.slice(t, 2, F.greatest(F.size(t) - 1, F.lit(0))), lambda a, b: F.concat_ws(" ", a, b)))
     if e.features == "char":
         low = F.lower(c)
         return F.transform(F.sequence(F.lit(1), F.greatest(F.length(low) - 2, F.lit(1))), lambda i: low.substr(i, F.lit(3)))

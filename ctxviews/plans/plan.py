@@ -111,6 +111,15 @@ def run(plan: RankedPlan, v: Views, q: DataFrame, k_out: int) -> DataFrame:
     return out.filter(F.col("rank") <= k_out)
 
 
+def equal_budget(arms: dict[str, DataFrame], budget: int) -> DataFrame:
+    """arm, query_id, unit_id, rank: every arm may hand on `budget` candidates of a query, not more."""
+    out = None
+    for name, df in arms.items():
+        a = df.filter(F.col("rank") <= budget).select(F.lit(name).alias("arm"), "query_id", "unit_id", "rank")
+        out = a if out is None else out.unionByName(a)
+    return out
+
+
 @dataclass
 class Pipeline:
     """An explicit chain of operators outside the routes: each maps a DataFrame to the next."""

@@ -6,11 +6,12 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ctxviews.functions.text import tokens
-from ctxviews.operators import dense, lexical, metrics, rank, structure, units
+from ctxviews.operators import dense, lexical, metrics, rank, stats, structure, units
 from ctxviews.plans import plan
 from ctxviews.plans.corpus import Corpus
+from ctxviews.plans.store import kept
 from ctxviews.queries import DECL, EDGES, FILES, L2, TOKEN, query
-from ctxviews.queries.views import FULL, THIN, UNITS_SQL, bm25_sql, encode_sql, full_queries, l2_units, thin_queries
+from ctxviews.queries.views import FULL, THIN, UNITS_SQL, bigram_features, bm25_sql, char_features, encode_sql, full_queries, thin_queries, token_features
 from ctxviews.sources.tables import files, table
 
 
@@ -52,8 +53,9 @@ def _(spark, d):
     return plan.run(plan.RankedPlan("A"), views(spark, d, None), full_queries(spark, d), 10)
 
 
-def dense_sql(k: int, dim: int = 256) -> str:
-    return f"""{encode_sql(dim, 'un', 'v', 'un')}, qq as (select query_id as key, text from q), qh_w as (select key, ('0x'||substr(md5(f),1,8))::bigint % {dim} as bucket, sum(case when (('0x'||substr(md5(f),1,8))::bigint >> 16) % 2 = 0 then 1.0::double else -1.0::double end * tf * idf) as w from (select key, f, count(*) as tf from (select key, unnest(regexp_extract_all(lower(text), {TOKEN})) as f from qq) group by all) join v_df using (f) group by all), qh as (select key, bucket, w / sqrt(sum(w * w) over (partition by key)) as w from qh_w where abs(w) > 1e-9),
+def dense_sql(k: int, dim: int = 256, feat=token_features) -> str:
+    h = "('0x'||substr(md5(f),1,8))::bigint"
+    return f"""{encode_sql(dim, 'un', 'v', 'un', feat)}, qq as (select query_id as key, text from q), qh_w as (select key, {h} % {dim} as bucket, sum(case when ({h} >> 16) % 2 = 0 then 1.0::double else -1.0::double end * tf * idf) as w from (select key, f, count(*) as tf from (select key, unnest({feat('text')}) as f from qq) group by all) join v_df using (f) group by all), qh as (select key, bucket, w / sqrt(sum(w * w) over (partition by key)) as w from qh_w where abs(w) > 1e-9),
  ds as (select qh.key as query_id, v.key as unit_id, round(sum(v.w * qh.w), 6) as score from v join qh using (bucket) group by all), dn as (select *, row_number() over (partition by query_id order by score desc, unit_id)::int as rank from ds qualify rank <= {k})"""
 
 
@@ -120,39 +122,85 @@ def _(spark, d):
     return dense_recall(spark, d, [dense.ENCODERS[2]], full_queries(spark, d))
 
 
-@query("q1_dense_recall_l0")
+UNITS0_SQL = L2 + ", un as (select sha256(path||chr(31)||0||chr(31)||0||chr(31)||(len(string_split(text, chr(10))) - 1)) as key, path, 0 as line, text from files)"
+RECALL_OF = "count(*) as n, round(avg(hit / need), 6) as recall, round(avg((hit = need)::int), 6) as success from ev"
+
+
+@query("q1_dense_recall_l0", " union all ".join(f"(with {UNITS0_SQL}, q as ({THIN}){recall_sql(dense_sql(100, e.dim), 'dn')} select '{e.name}' as encoder, {RECALL_OF})" for e in dense.ENCODERS))
 def _(spark, d):
-    return dense_recall(spark, d, [dense.ENCODERS[2]], level=0)
+    """The same five encoders over whole files."""
+    return dense_recall(spark, d, level=0)
 
 
-@query("q1_encoder_features")
+@query("q1_encoder_features", " union all ".join(f"(with {UNITS_SQL}, q as ({THIN}){recall_sql(dense_sql(100, 256, f), 'dn')} select '{n}' as encoder, {RECALL_OF})" for n, f in (("bigram256", bigram_features), ("char256", char_features))))
 def _(spark, d):
     return dense_recall(spark, d, [dense.Encoder("bigram256", 256, "bigram"), dense.Encoder("char256", 256, "char")])
 
 
-def rerank_recall(spark, d, scorers=("small", "medium", "large"), cuts=(30, 50, 100)):
+def block_targets(spark, d):
+    """query_id, unit_id of the lines that hold a passage: the symbols that a query wants."""
+    c = Corpus(spark, d)
+    return lexical.holding(full_queries(spark, d), c.units(), c.lexical())
+
+
+BLOCKS = f"blocks as (select b.query_id, un.key as path from un join ({FULL}) b on contains(un.text, b.text))"
+SYMBOL = f"{BLOCKS}, need as (select query_id, count(*) as need from blocks group by query_id), hit as (select r.query_id, count(*) as hit from dn r join blocks b on b.query_id = r.query_id and b.path = r.unit_id where r.rank <= 10 group by all), ev as (select need, coalesce(hit, 0) as hit from need left join hit using (query_id))"
+
+
+@query("q1_symbol_recall", " union all ".join(f"(with {UNITS_SQL}, q as ({THIN}){dense_sql(100, e.dim)}, {SYMBOL} select '{e.name}' as encoder, {RECALL_OF})" for e in dense.ENCODERS))
+def _(spark, d):
+    """Symbol Recall@10: the share of a query's target lines among its first ten units, by encoder."""
+    c, q, out = Corpus(spark, d), thin_queries(spark, d), None
+    t = block_targets(spark, d).select("query_id", F.col("unit_id").alias("path"))
+    for e in dense.ENCODERS:
+        r = plan.dense_list(c.views(e), q, 100).select("query_id", F.col("unit_id").alias("path"), "rank")
+        r = metrics.file_recall(r, t, 10).select(F.lit(e.name).alias("encoder"), "n", "recall", "success")
+        out = r if out is None else out.unionByName(r)
+    return out
+
+
+CUTS = (30, 50, 100)
+
+
+def rerank_recall(spark, d, scorers=("small", "medium", "large"), cuts=CUTS):
+    """File recall of every scorer and cut; a candidate is scored once, whatever the cuts."""
     v, q, t = views(spark, d), thin_queries(spark, d), targets(spark, d)
-    cand = plan.dense_list(v, q, 100).join(v.units.select("unit_id", "text"), "unit_id").join(q.select("query_id", F.col("text").alias("query_text")), "query_id")
-    arms = None
-    for s in scorers:
-        for c in cuts:
-            r = rank.pointwise(cand, s, c, 30).select("query_id", "unit_id", "rank").withColumn("scorer", F.lit(s)).withColumn("cut", F.lit(c))
-            arms = r if arms is None else arms.unionByName(r)
+    cand = plan.dense_list(v, q, max(cuts)).join(v.units.select("unit_id", "text"), "unit_id").join(q.select("query_id", F.col("text").alias("query_text")), "query_id")
+    each = F.array(*[F.struct(F.lit(s).alias("scorer"), F.round(rank.SCORERS[s](F.col("query_text"), F.col("text")).cast("double"), 6).alias("score")) for s in scorers])
+    scored = kept(cand.select("query_id", "unit_id", "rank", F.explode(each).alias("x")).select("query_id", "unit_id", "rank", "x.scorer", "x.score"))
+    arms = scored.withColumn("cut", F.explode(F.array(*map(F.lit, cuts)))).filter(F.col("rank") <= F.col("cut"))
+    w = W.partitionBy("scorer", "cut", "query_id").orderBy(F.desc("score"), "unit_id")
+    arms = arms.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= 30).select("scorer", "cut", "query_id", "unit_id", "rank")
     return metrics.file_recall(_files_of(arms, v.units, ("scorer", "cut")), t, 10, ["scorer", "cut"])
 
 
-def _rerank_sql(cut: int) -> str:
-    x = f"list_distinct(regexp_extract_all(lower(q.text), {TOKEN}))"
-    y = f"list_distinct(regexp_extract_all(lower(un.text), {TOKEN}))"
-    return f"(with {UNITS_SQL}, q as ({THIN}){dense_sql(100)}, rs as (select dn.query_id, dn.unit_id, round(case when len(list_distinct(list_concat({x}, {y}))) = 0 then 0.0 else len(list_intersect({x}, {y})) / len(list_distinct(list_concat({x}, {y}))) end, 6) as score from dn join un on un.key = dn.unit_id join q using (query_id) where dn.rank <= {cut}), rr as (select *, row_number() over (partition by query_id order by score desc, unit_id) as rank from rs qualify rank <= 30){recall_sql('', 'rr')} select 'small' as scorer, {cut} as cut, count(*) as n, round(avg(hit / need), 6) as recall, round(avg((hit = need)::int), 6) as success from ev)"
+def _tokens_sql(x: str) -> str:
+    return f"regexp_extract_all(lower({x}), {TOKEN})"
+
+
+def _grams_sql(x: str) -> str:
+    return f"list_distinct(list_transform(range(1, greatest(length(lower({x})) - 3, 1) + 1), lambda i: substr(lower({x}), i, 4)))"
+
+
+def _scorer_sql(name: str) -> str:
+    x, y = f"list_distinct({_tokens_sql('q.text')})", f"list_distinct({_tokens_sql('un.text')})"
+    g, h = _grams_sql("q.text"), _grams_sql("un.text")
+    cosine = f"len(list_intersect({g}, {h})) / sqrt(len({g}) * len({h}))"
+    t, body = _tokens_sql("q.text"), f"' '||array_to_string({_tokens_sql('un.text')}, ' ')||' '"
+    longest = "greatest(" + ", ".join(f"case when len({t}) >= {n} and len(list_filter(range(1, greatest(len({t}) - {n} + 1, 1) + 1), lambda i: contains({body}, ' '||array_to_string({t}[i:i+{n - 1}], ' ')||' '))) > 0 then {n} else 0 end" for n in range(1, 9)) + ")"
+    return {"small": f"case when len(list_distinct(list_concat({x}, {y}))) = 0 then 0.0 else len(list_intersect({x}, {y})) / len(list_distinct(list_concat({x}, {y}))) end", "medium": cosine, "large": f"{cosine} + {longest} / 8.0"}[name]
+
+
+def _rerank_sql(scorer: str, cut: int) -> str:
+    return f"(with {UNITS_SQL}, q as ({THIN}){dense_sql(100)}, rs as (select dn.query_id, dn.unit_id, round({_scorer_sql(scorer)}, 6) as score from dn join un on un.key = dn.unit_id join q using (query_id) where dn.rank <= {cut}), rr as (select *, row_number() over (partition by query_id order by score desc, unit_id) as rank from rs qualify rank <= 30){recall_sql('', 'rr')} select '{scorer}' as scorer, {cut} as cut, {RECALL_OF})"
 
 
-@query("q1_rerank_small", " union all ".join(map(_rerank_sql, (30, 50, 100))))
+@query("q1_rerank_small", " union all ".join(_rerank_sql("small", c) for c in CUTS))
 def _(spark, d):
     return rerank_recall(spark, d, ("small",))
 
 
-@query("q1_rerank_recall")
+@query("q1_rerank_recall", " union all ".join(_rerank_sql(s, c) for s in ("small", "medium", "large") for c in CUTS))
 def _(spark, d):
     return rerank_recall(spark, d)
 
@@ -209,8 +257,92 @@ def _(spark, d):
     return split_success(spark, d, False)
 
 
-@query("q1_graph_heldout")
+HELD = f"select h.* from ({_split_sql(True)}) h where h.w_g = (select t.w_g from ({_split_sql(False)}) t order by success10 desc, success5 desc, success1 desc, w_g limit 1)"
+
+
+@query("q1_graph_heldout", HELD)
 def _(spark, d):
     """The weight chosen on the tuning repositories (lexicographic success@10, @5, @1; least weight on ties), on the held-out ones."""
     tuned = split_success(spark, d, False).agg(F.max_by("w_g", F.struct("success10", "success5", "success1", -F.col("w_g"))).alias("w_g"))
-    return split_success(spark, d, True).join(F.broadcast(tuned), "w_g", "left_semi")
+    return split_success(spark, d, True).join(tuned, "w_g", "left_semi")
+
+
+# --- compositions outside the routes -------------------------------------------------------------
+
+
+def pipelines(v: plan.Views, q) -> dict[str, plan.Pipeline]:
+    """The four named compositions; each maps a batch of queries to (query_id, vid, rank), every step explicit."""
+    at = v.units.select("unit_id", "text", plan.vid_of(F.col("path"), F.col("start")).alias("vid"))
+    search = plan.Pipeline().then("dense", lambda x: plan.dense_list(v, x, 100).join(at, "unit_id").select("query_id", "vid", "rank"))
+    one = v.units.sparkSession.createDataFrame([(1.0,)], "w_g double")
+    fuse = search.then("expand and fuse", lambda x: rank.dense_graph_fusion(x, v.edges, one, 10, rank.KAPPA, 100).select("query_id", "vid", "rank"))
+
+    def rerank(x):
+        c = x.join(at.select("vid", "text"), "vid").join(q.select("query_id", F.col("text").alias("query_text")), "query_id")
+        return rank.pointwise(c, "small", 30, 10, "vid").select("query_id", "vid", "rank")
+
+    cut = lambda x: x.filter("rank <= 10")
+    return {"dense": search.then("cut", cut), "dense-rerank": search.then("rerank", rerank), "dense-expand-fuse": fuse.then("cut", cut), "dense-expand-fuse-rerank": fuse.then("rerank", rerank)}
+
+
+def _pipe_sql(name: str, ranked: str) -> str:
+    return f"select '{name}' as pipeline, query_id, vid, rank::int as rank from {ranked} where rank <= 10"
+
+
+SMALL_VID = _scorer_sql("small").replace("un.text", "l.text")
+PIPES = f"""with {FUSED.replace(THIN, FULL)}, d1 as (select query_id, vid, rank from dv where rank <= 100), seed1 as (select * from d1 where rank <= 10), gh1 as (select s.query_id, hop.vid, min(s.rank) as best, count(*) as support from seed1 s join hop on hop.seed = s.vid group by all), gl1 as (select query_id, vid, row_number() over (partition by query_id order by best, support desc, vid)::int as rank from gh1),
+ f1 as (select query_id, vid, round(coalesce(1.0::double / (60 + d1.rank), 0) + coalesce(1.0::double / (60 + gl1.rank), 0), 9) as score from d1 full join gl1 using (query_id, vid)), f2 as (select query_id, vid, row_number() over (partition by query_id order by score desc, vid) as rank from f1 qualify rank <= 100),
+ lv as (select path||'#'||line as vid, text from l2), r1 as (select x.query_id, x.vid, row_number() over (partition by x.query_id order by round({SMALL_VID}, 6) desc, x.vid) as rank from d1 x join lv l using (vid) join q on q.query_id = x.query_id where x.rank <= 30), r2 as (select x.query_id, x.vid, row_number() over (partition by x.query_id order by round({SMALL_VID}, 6) desc, x.vid) as rank from f2 x join lv l using (vid) join q on q.query_id = x.query_id where x.rank <= 30) """
+
+
+@query("p_pipelines", PIPES + " union all ".join(_pipe_sql(n, r) for n, r in (("dense", "d1"), ("dense-rerank", "r1"), ("dense-expand-fuse", "f2"), ("dense-expand-fuse-rerank", "r2"))))
+def _(spark, d):
+    v, q, out = views(spark, d, edges=True), full_queries(spark, d), None
+    for name, p in pipelines(v, q).items():
+        r = p(q).select(F.lit(name).alias("pipeline"), "query_id", "vid", "rank")
+        out = r if out is None else out.unionByName(r)
+    return out
+
+
+BUDGET = 50
+
+
+@query("q1_equal_budget", bm25_sql(THIN, UNITS_SQL, 100) + dense_sql(100) + f""", two as (select query_id, unit_id, 1.0::double / (60 + rank) as part from bm union all select query_id, unit_id, 1.0::double / (60 + rank) from dn), fs as (select query_id, unit_id, round(sum(part), 9) as score from two group by all), fused as (select *, row_number() over (partition by query_id order by score desc, unit_id)::int as rank from fs),
+ arms as (select 'lexical' as arm, query_id, unit_id, rank from bm union all select 'dense', query_id, unit_id, rank from dn union all select 'hybrid', query_id, unit_id, rank from fused), cut as (select * from arms where rank <= {BUDGET}), fr0 as (select arm, query_id, path, min(rank) as first from cut join un on un.key = cut.unit_id group by all), fr as (select *, row_number() over (partition by arm, query_id order by first, path) as rank from fr0), {TARGETS}, need as (select query_id, count(*) as need from targets group by all), hit as (select arm, query_id, count(*) as hit from fr join targets using (query_id, path) where fr.rank <= 10 group by all), sz as (select arm, count(*) as candidates from cut group by arm)
+ select arm, candidates, count(*) as n, round(avg(coalesce(hit, 0) / need), 6) as recall, round(avg((coalesce(hit, 0) = need)::int), 6) as success from need cross join sz left join hit using (arm, query_id) group by all""")
+def _(spark, d):
+    """Three arms that may hand on the same number of candidates, so that only their choice differs."""
+    v, q, t = views(spark, d), thin_queries(spark, d), targets(spark, d)
+    lex, den = kept(plan.lexical_list(v, q, 100)), kept(plan.dense_list(v, q, 100))
+    cut = plan.equal_budget({"lexical": lex, "dense": den, "hybrid": rank.rrf([(lex, 1.0), (den, 1.0)], 200)}, BUDGET)
+    size = cut.groupBy("arm").agg(F.count("*").alias("candidates"))
+    return metrics.file_recall(_files_of(cut, v.units, ("arm",)), t, 10, ["arm"]).join(size, "arm").select("arm", "candidates", "n", "recall", "success")
+
+
+CONTRASTS = [(w, k) for w in (0.5, 1.0) for k in (1, 3, 5, 10, 20)]
+
+
+def graph_effects(spark, d):
+    """query_id, repo, contrast, x: success with the graph list minus success without it, for ten contrasts (weight, k)."""
+    v, t = views(spark, d, edges=True), targets(spark, d)
+    at = v.units.select("unit_id", plan.vid_of(F.col("path"), F.col("start")).alias("vid"))
+    dn = kept(plan.dense_list(v, thin_queries(spark, d), 100).join(at, "unit_id").select("query_id", "vid", "rank"))
+    w = spark.createDataFrame([(0.0,), (0.5,), (1.0,)], "w_g double")
+    f = rank.dense_graph_fusion(dn, v.edges, w, 10, rank.KAPPA, 100)
+    first = f.withColumn("path", F.regexp_extract("vid", r"^(.*)#", 1)).groupBy("w_g", "query_id", "path").agg(F.min("rank").alias("first"))
+    ranked = first.withColumn("rank", F.row_number().over(W.partitionBy("w_g", "query_id").orderBy("first", "path")))
+    last = ranked.join(t.select("query_id", "path"), ["query_id", "path"]).groupBy("w_g", "query_id").agg(F.count("*").alias("found"), F.max("rank").alias("last"))
+    need = t.groupBy("query_id").agg(F.count("*").alias("need"), F.min_by("repo", "path").alias("repo"))
+    arms = need.crossJoin(F.broadcast(w)).join(last, ["w_g", "query_id"], "left").withColumn("whole", F.coalesce(F.col("found") == F.col("need"), F.lit(False)))
+    wide = arms.groupBy("query_id", "repo").pivot("w_g", [0.0, 0.5, 1.0]).agg(F.first(F.when(F.col("whole"), F.col("last"))).alias("l"))
+    ok = lambda w, k: F.coalesce((F.col(f"`{w}`") <= k).cast("double"), F.lit(0.0))
+    return wide.select("query_id", "repo", F.explode(F.array(*[F.struct(F.lit(f"w{w}@{k}").alias("contrast"), (ok(w, k) - ok(0.0, k)).alias("x")) for w, k in CONTRASTS])).alias("e")).select("query_id", "repo", "e.contrast", "e.x")
+
+
+@query("q1_graph_paired")
+def _(spark, d):
+    """Paired effects of the graph list, resampled 20,000 times by repository: pointwise and simultaneous 95 % intervals."""
+    x = kept(graph_effects(spark, d))
+    own = stats.bootstrap(spark, x, "repo", "x", ["contrast"], 20_000)
+    all_ = stats.simultaneous(spark, x, "repo", "x", "contrast", 20_000).select("contrast", F.col("lower").alias("all_lower"), F.col("upper").alias("all_upper"))
+    return own.join(all_, "contrast")

@@ -184,11 +184,24 @@ def _(spark, d):
 # --- dense ---------------------------------------------------------------------------------
 
 
-def encode_sql(dim: int, src: str, name: str, idf_from: str) -> str:
+def token_features(x: str) -> str:
+    return f"regexp_extract_all(lower({x}), {TOKEN})"
+
+
+def bigram_features(x: str) -> str:
+    t = token_features(x)
+    return f"({t} || list_transform(range(1, len({t})), lambda i: {t}[i]||' '||{t}[i+1]))"
+
+
+def char_features(x: str) -> str:
+    return f"list_transform(range(1, greatest(length(lower({x})) - 2, 1) + 1), lambda i: substr(lower({x}), i, 3))"
+
+
+def encode_sql(dim: int, src: str, name: str, idf_from: str, feat=token_features) -> str:
     """CTEs {name}: key, bucket, w for the rows (key, text) of src, with idf over idf_from."""
     h = num("f")
-    return f""", {name}_df as (select f, ln(1 + (select count(*) from {idf_from}) / count(*)) as idf from (select distinct key, unnest(regexp_extract_all(lower(text), {TOKEN})) as f from {idf_from}) group by f),
- {name}_w as (select key, {h} % {dim} as bucket, sum(case when ({h} >> 16) % 2 = 0 then 1.0::double else -1.0::double end * tf * idf) as w from (select key, f, count(*) as tf from (select key, unnest(regexp_extract_all(lower(text), {TOKEN})) as f from {src}) group by all) join {name}_df using (f) group by all),
+    return f""", {name}_df as (select f, ln(1 + (select count(*) from {idf_from}) / count(*)) as idf from (select distinct key, unnest({feat('text')}) as f from {idf_from}) group by f),
+ {name}_w as (select key, {h} % {dim} as bucket, sum(case when ({h} >> 16) % 2 = 0 then 1.0::double else -1.0::double end * tf * idf) as w from (select key, f, count(*) as tf from (select key, unnest({feat('text')}) as f from {src}) group by all) join {name}_df using (f) group by all),
  {name} as (select key, bucket, w / sqrt(sum(w * w) over (partition by key)) as w from {name}_w where abs(w) > 1e-9)"""
 
 
