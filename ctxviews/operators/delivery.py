@@ -22,11 +22,15 @@ COMPLETION = 12  # tokens of a scripted agent's tool call or answer
 
 
 def messages(conversations: DataFrame) -> DataFrame:
-    """traj, turn, role (system, query, observation, completion), text, tokens, up to MAX_TURNS turns."""
+    """traj, turn, role (system, query, observation, completion), text, tokens, up to MAX_TURNS model invocations.
+
+    Only completions count as turns of the agent; what follows the last of them is never sent.
+    """
     w = W.partitionBy("conv_id").orderBy("turn")
-    m = conversations.withColumn("n_user", F.sum(F.when(F.col("role") == "user", 1).otherwise(0)).over(w))
+    said = F.sum(F.when(F.col("role") == "assistant", 1).otherwise(0)).over(w.rowsBetween(W.unboundedPreceding, -1))
+    m = conversations.withColumn("said", F.coalesce(said, F.lit(0))).withColumn("n_user", F.sum(F.when(F.col("role") == "user", 1).otherwise(0)).over(w))
     role = F.when(F.col("role") == "system", "system").when(F.col("role") == "assistant", "completion").when(F.col("n_user") == 1, "query").otherwise("observation")
-    return m.filter(F.col("turn") < MAX_TURNS).select(F.col("conv_id").alias("traj"), "turn", role.alias("role"), F.coalesce("text", F.lit("")).alias("text"), usage(F.col("text")).alias("tokens"))
+    return m.filter(F.col("said") < MAX_TURNS).select(F.col("conv_id").alias("traj"), "turn", role.alias("role"), F.coalesce("text", F.lit("")).alias("text"), usage(F.col("text")).alias("tokens"))
 
 
 def rewrite_point(m: DataFrame) -> DataFrame:
@@ -72,41 +76,65 @@ def replay_tokens(conversations: DataFrame, candidates: DataFrame | None = None)
     return calls.groupBy("traj", "policy").agg(F.count("*").alias("invocations"), F.sum(prompt + F.col("tokens")).alias("tokens"))
 
 
+ANSWER_SPANS = 5
+
+
 def scripted(ranked: DataFrame, queries: DataFrame, agents: DataFrame) -> DataFrame:
-    """Trajectories of scripted agents: query_id, agent, policy, turns, tokens, recall.
+    """Trajectories of scripted agents: query_id, repo, lang, kind, agent, policy, k, turns, tokens_used, spans.
 
-    ranked: query_id, list (grep or candidates), rank, tokens, hit; queries: query_id,
-    tokens (system and query), repo; agents: agent, budget, k.  A turn reads the next
-    block; the agent stops at the target or at its budget and answers with what it
-    read (eager and compact add their unread candidates), five spans at most.
+    ranked: query_id, list (grep or candidates), rank, tokens, hit, path, start, end; queries:
+    query_id, repo, lang, kind, tokens (system and query); agents: agent, budget, k.  A turn reads
+    the next block; the agent stops at the target or at its budget and commits what it read, then
+    (eager and compact) its unread candidates.  Block r is sent again in every later turn, so
+    the tokens of a trajectory are one weighted sum over its blocks.
     """
     arms = queries.crossJoin(F.broadcast(agents)).withColumn("policy", F.explode(F.array(*map(F.lit, POLICIES))))
-    per = ranked.groupBy("query_id", "list").agg(F.array_sort(F.collect_list(F.struct("rank", "tokens", "hit"))).alias("bs"))
+    per = ranked.groupBy("query_id", "list").agg(F.array_sort(F.collect_list(F.struct("rank", "tokens", "hit", "path", "start", "end"))).alias("bs"))
     which = F.when(F.col("policy") == "grep", "grep").otherwise("candidates")
-    a = arms.withColumn("list", which).join(per, ["query_id", "list"], "left").withColumn("bs", F.coalesce("bs", F.array().cast("array<struct<rank:int,tokens:bigint,hit:boolean>>")))
-    most = F.least("budget", F.size("bs"), F.lit(MAX_TURNS))
-    first = F.array_position(F.transform(F.slice("bs", 1, F.greatest(most, F.lit(0))), lambda b: b["hit"]), True)
+    a = arms.withColumn("list", which).join(per, ["query_id", "list"], "left")
+    most = F.least("budget", F.coalesce(F.size("bs"), F.lit(0)), F.lit(MAX_TURNS))
+    most = F.greatest(most, F.lit(0))
+    first = F.array_position(F.transform(F.slice("bs", 1, most), lambda b: b["hit"]), True)
     a = a.withColumn("turns", F.when(first > 0, first).otherwise(most).cast("int"))
-    block = F.when(F.col("policy") == "grep", F.lit(0)).otherwise(F.aggregate(F.slice("bs", 1, F.col("k")), F.lit(0).cast("bigint"), lambda s, b: s + b["tokens"]))
-    a = a.withColumn("block", block)
-
-    def prompt(i):  # before turn i (1-based); the answer is turn turns + 1
-        read = F.aggregate(F.slice("bs", 1, i - 1), F.lit(0).cast("bigint"), lambda s, b: s + b["tokens"] + COMPLETION)
-        later = F.aggregate(F.slice("bs", 2, F.greatest(i - 2, F.lit(0))), F.lit(0).cast("bigint"), lambda s, b: s + b["tokens"] + COMPLETION)
-        kept = F.when(i == 1, F.lit(0).cast("bigint")).otherwise(F.try_element_at("bs", F.lit(1))["tokens"] + later)
-        return F.when((F.col("policy") == "compact") & (i > 1), F.col("tokens") + kept).otherwise(F.col("tokens") + F.col("block") + read)
-
-    total = F.aggregate(F.transform(F.sequence(F.lit(1), F.col("turns") + 1), prompt), F.lit(0).cast("bigint"), lambda s, x: s + x + COMPLETION)
-    seen = F.when(F.col("policy") == "grep", F.col("turns")).otherwise(F.greatest("turns", "k"))
-    hit = F.exists(F.slice("bs", 1, F.least(seen, F.lit(5))), lambda b: b["hit"]) | F.coalesce(first > 0, F.lit(False))
-    return a.select("query_id", "repo", "agent", "policy", "k", "turns", total.alias("tokens_used"), F.coalesce(hit, F.lit(False)).cast("double").alias("recall"))
+    zero = F.lit(0).cast("bigint")
+    block = F.when(F.col("policy") == "grep", zero).otherwise(F.coalesce(F.aggregate(F.slice("bs", 1, F.col("k")), zero, lambda s, b: s + b["tokens"]), zero))
+    read = F.slice("bs", 1, F.col("turns"))
+    sent = lambda x: F.coalesce(F.aggregate(x, zero, lambda s, b: s + (b["tokens"] + COMPLETION) * (F.col("turns") + 1 - b["rank"])), zero)
+    calls, latest = F.col("turns") + 1, F.coalesce(F.try_element_at("bs", F.lit(1))["tokens"], zero)
+    plain = calls * block + sent(read)
+    compact = block + F.col("turns") * latest + sent(F.filter(read, lambda b: b["rank"] > 1))
+    total = calls * (F.col("tokens") + COMPLETION) + F.when(F.col("policy") == "compact", compact).otherwise(plain)
+    n = F.when(F.col("policy") == "grep", F.col("turns")).otherwise(F.greatest("turns", "k"))
+    spans = F.transform(F.slice("bs", 1, n), lambda b: F.struct(b["path"].alias("path"), b["start"].alias("start"), b["end"].alias("end")))
+    return a.select("query_id", "repo", "lang", "kind", "agent", "policy", "k", "turns", total.alias("tokens_used"), spans.alias("spans"))
+
+
+def answer_recall(trajectories: DataFrame, targets: DataFrame, k: int = ANSWER_SPANS) -> DataFrame:
+    """trajectories with `recall`: the share of a query's targets (query_id, path, start, end) that overlap one of
+    the first k distinct spans it committed; an answer without spans is invalid and scores 0."""
+    by = ["query_id", "agent", "policy", "k"]
+    said = trajectories.select(*by, F.posexplode(F.slice(F.array_distinct("spans"), 1, k)).alias("at", "s")).select(*by, "s.path", "s.start", "s.end")
+    t = targets.select("query_id", F.col("path").alias("tp"), F.col("start").alias("ts"), F.col("end").alias("te"))
+    over = (F.col("path") == F.col("tp")) & (F.col("start") <= F.col("te")) & (F.col("ts") <= F.col("end"))
+    hit = said.join(t, "query_id").filter(over).select(*by, "tp", "ts", "te").distinct().groupBy(*by).agg(F.count("*").alias("hit"))
+    need = t.distinct().groupBy("query_id").agg(F.count("*").alias("need"))
+    j = trajectories.join(need, "query_id", "left").join(hit, by, "left")
+    return j.withColumn("recall", F.coalesce(F.col("hit") / F.col("need"), F.lit(0.0))).drop("hit", "need")
+
+
+def slices(t: DataFrame) -> DataFrame:
+    """policy, lang, kind, n, tokens, recall and the changes against grep, pooled over agents: overall, by language, by kind."""
+    m = t.cube("policy", "lang", "kind").agg(F.grouping_id().alias("g"), F.count("*").alias("n"), F.avg("tokens_used").alias("tokens"), F.avg("recall").alias("recall"))
+    m = m.filter(F.col("g").isin(1, 2, 3)).select("policy", F.coalesce("lang", F.lit("all")).alias("lang"), F.coalesce("kind", F.lit("all")).alias("kind"), "n", "tokens", "recall")
+    base = m.filter("policy = 'grep'").select("lang", "kind", F.col("tokens").alias("t0"), F.col("recall").alias("r0"))
+    return m.join(base, ["lang", "kind"]).select("policy", "lang", "kind", "n", F.round("tokens", 6).alias("tokens"), F.round("recall", 6).alias("recall"), F.round(F.col("recall") - F.col("r0"), 6).alias("delta"), F.round(F.col("tokens") / F.col("t0"), 6).alias("ratio"))
 
 
 def policy_effects(t: DataFrame) -> DataFrame:
     """agent, policy, tokens, recall, and the paired change and token ratio against grep."""
     m = t.groupBy("agent", "policy").agg(F.avg("tokens_used").alias("tokens"), F.avg("recall").alias("recall"))
     base = m.filter("policy = 'grep'").select("agent", F.col("tokens").alias("t0"), F.col("recall").alias("r0"))
-    return m.join(F.broadcast(base), "agent").select("agent", "policy", F.round("tokens", 6).alias("tokens"), F.round("recall", 6).alias("recall"), F.round(F.col("recall") - F.col("r0"), 6).alias("delta"), F.round(F.col("tokens") / F.col("t0"), 6).alias("ratio"))
+    return m.join(base, "agent").select("agent", "policy", F.round("tokens", 6).alias("tokens"), F.round("recall", 6).alias("recall"), F.round(F.col("recall") - F.col("r0"), 6).alias("delta"), F.round(F.col("tokens") / F.col("t0"), 6).alias("ratio"))
 
 
 def select_policy(effects: DataFrame, margin: float = 0.05) -> DataFrame:

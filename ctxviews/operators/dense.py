@@ -314,6 +314,14 @@ def delta(old: DataFrame, new_units: DataFrame, profile: str) -> DataFrame:
     return keyed.join(stored, "content_key", "left").withColumn("action", F.when(F.col("stored"), "reuse").otherwise("encode")).drop("stored")
 
 
+def update(index: DataFrame, keys: DataFrame, vectors: DataFrame) -> DataFrame:
+    """The index (unit_id, content_key, f, w) changed in place: rows of units that went or changed leave, units of
+    `keys` (unit_id, content_key) that are new or changed come with their vectors (content_key, f, w)."""
+    stay = index.join(keys, ["unit_id", "content_key"], "left_semi")
+    come = keys.join(index.select("unit_id", "content_key"), ["unit_id", "content_key"], "left_anti").join(vectors, "content_key")
+    return stay.select("unit_id", "content_key", "f", "w").unionByName(come.select("unit_id", "content_key", "f", "w"))
+
+
 def index_action(changed: int, total: int, threshold: float = REBUILD_SHARE) -> str:
     """Small deltas change the index in place, large ones rebuild it."""
     return "rebuild" if total == 0 or changed / total > threshold else "mutate"

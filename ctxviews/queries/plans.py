@@ -10,7 +10,7 @@ from ctxviews.operators import dense, lexical, metrics, rank, stats, structure,
 from ctxviews.plans import plan
 from ctxviews.plans.corpus import Corpus
 from ctxviews.plans.store import kept
-from ctxviews.queries import DECL, EDGES, FILES, L2, TOKEN, query
+from ctxviews.queries import DECL, EDGES, FILES, L2, TOKEN, num, query
 from ctxviews.queries.views import FULL, THIN, UNITS_SQL, bigram_features, bm25_sql, char_features, encode_sql, full_queries, thin_queries, token_features
 from ctxviews.sources.tables import files, table
 
@@ -324,11 +324,9 @@ CONTRASTS = [(w, k) for w in (0.5, 1.0) for k in (1, 3, 5, 10, 20)]
 
 def graph_effects(spark, d):
     """query_id, repo, contrast, x: success with the graph list minus success without it, for ten contrasts (weight, k)."""
-    v, t = views(spark, d, edges=True), targets(spark, d)
-    at = v.units.select("unit_id", plan.vid_of(F.col("path"), F.col("start")).alias("vid"))
-    dn = kept(plan.dense_list(v, thin_queries(spark, d), 100).join(at, "unit_id").select("query_id", "vid", "rank"))
+    t = targets(spark, d)
     w = spark.createDataFrame([(0.0,), (0.5,), (1.0,)], "w_g double")
-    f = rank.dense_graph_fusion(dn, v.edges, w, 10, rank.KAPPA, 100)
+    f = fused_vids(spark, d, (0.0, 0.5, 1.0), 100)
     first = f.withColumn("path", F.regexp_extract("vid", r"^(.*)#", 1)).groupBy("w_g", "query_id", "path").agg(F.min("rank").alias("first"))
     ranked = first.withColumn("rank", F.row_number().over(W.partitionBy("w_g", "query_id").orderBy("first", "path")))
     last = ranked.join(t.select("query_id", "path"), ["query_id", "path"]).groupBy("w_g", "query_id").agg(F.count("*").alias("found"), F.max("rank").alias("last"))
@@ -339,7 +337,20 @@ def graph_effects(spark, d):
     return wide.select("query_id", "repo", F.explode(F.array(*[F.struct(F.lit(f"w{w}@{k}").alias("contrast"), (ok(w, k) - ok(0.0, k)).alias("x")) for w, k in CONTRASTS])).alias("e")).select("query_id", "repo", "e.contrast", "e.x")
 
 
-@query("q1_graph_paired")
+def boot_sql(by: str, b: int, src: str) -> str:
+    """CTEs sm (cluster sums) and rp (replicates) of a bootstrap of x by repository."""
+    return f"""cl as (select repo, row_number() over (order by repo) - 1 as c from (select distinct repo from {src})), sm as (select {by}, cl.c, sum(x) as s, count(*) as n from {src} join cl using (repo) group by all), nc as (select count(*) as k from cl), dr as (select b, j, {num("b||'#'||j")} % k as c from (select unnest(range({b})) as b), (select unnest(range(1000)) as j), nc where j < k), rp as materialized (select {by}, b, sum(s) / sum(n) as theta from dr join sm using (c) group by all)"""
+
+
+PAIRED = f"""with {FUSED}, fa as (select w_g, query_id, vid, score from fz where w_g in (0.5, 1.0) union all select 0.0::double, query_id, vid, round(1.0::double / (60 + rank), 9) from dv), fk as (select *, row_number() over (partition by w_g, query_id order by score desc, vid) as rank from fa qualify rank <= 100),
+ fp0 as (select w_g, query_id, regexp_extract(vid, '^(.*)#', 1) as path, min(rank) as first from fk group by all), fp as (select *, row_number() over (partition by w_g, query_id order by first, path) as rank from fp0), {TARGETS}, need as (select query_id, count(*) as need, arg_min(repo, path) as repo from targets group by all),
+ la as (select w_g, query_id, count(*) as found, max(rank) as last from fp join targets using (query_id, path) group by all), ok as (select n.query_id, n.repo, w.w_g, case when l.found = n.need then l.last end as last from need n cross join (select unnest([0.0, 0.5, 1.0])::double as w_g) w left join la l on l.query_id = n.query_id and l.w_g = w.w_g),
+ pe as (select a.query_id, a.repo, 'w'||(case when a.w_g = 0.5 then '0.5' else '1.0' end)||'@'||k as contrast, coalesce((a.last <= k)::int, 0)::double - coalesce((z.last <= k)::int, 0)::double as x from ok a join ok z on z.query_id = a.query_id and z.w_g = 0 and a.w_g > 0, (select unnest([1, 3, 5, 10, 20]) as k)), {boot_sql('contrast', 20_000, 'pe')},
+ bs as (select contrast, mean, sd from (select contrast, sum(s) / sum(n) as mean from sm group by contrast) join (select contrast, stddev_samp(theta) as sd from rp group by contrast) using (contrast)), mx as (select b, max(case when sd > 0 then abs(theta - mean) / sd else 0 end) as m from rp join bs using (contrast) group by b), ct as (select quantile_cont(m, 0.95) as cut from mx), qs as (select contrast, quantile_cont(theta, 0.025) as lo, quantile_cont(theta, 0.975) as hi from rp group by contrast)
+ select contrast, round(mean, 6) as mean, round(lo, 6) as lower, round(hi, 6) as upper, round(mean - cut * sd, 6) as all_lower, round(mean + cut * sd, 6) as all_upper from bs join qs using (contrast), ct"""
+
+
+@query("q1_graph_paired", PAIRED)
 def _(spark, d):
     """Paired effects of the graph list, resampled 20,000 times by repository: pointwise and simultaneous 95 % intervals."""
     x = kept(graph_effects(spark, d))

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from ctxviews.functions.text import md5_number
-from ctxviews.operators import costs, dense, maintain, metrics, navigate, units, versions
+from ctxviews.operators import costs, dense, lists, maintain, metrics, navigate, units, versions
 from ctxviews.plans.corpus import Corpus
 from ctxviews.plans.store import kept, stored
 from ctxviews.queries import FILES, OCC, TOKEN, num, query
@@ -267,13 +267,17 @@ def _(spark, d):
 
 def _served_sql(p: str, refs: str) -> str:
     """CTE {p}s: req_id, locs of the requests rq, answered from the declarations md and these references."""
-    return f""", {p}u as (select distinct repo, lang, symbol, path, line from (select repo, lang, symbol, path, line from md union all select repo, lang, symbol, path, line from {refs})),
+    return f""", {p}x as (select distinct repo, lang, path, line, col from {refs}), {p}q as (select r.req_id, r.repo, r.lang, r.capability, r.path, r.line, case when x.path is not null then r.symbol else (select arg_max(d.symbol, d.line) from md d where d.repo = r.repo and d.lang = r.lang and d.path = r.path and d.line <= r.line) end as symbol from rq r left join {p}x x on x.repo = r.repo and x.lang = r.lang and x.path = r.path and x.line = r.line and x.col = r.col),
+ {p}u as (select distinct repo, lang, symbol, path, line from (select repo, lang, symbol, path, line from md union all select repo, lang, symbol, path, line from {refs})),
  {p}k as (select * from {p}u qualify row_number() over (partition by repo, lang, symbol order by path, line) <= 40),
- {p}a as (select r.req_id, d.path as lp, d.line as ll, row_number() over (partition by r.req_id order by case when d.path = r.path and d.line <= r.line then 0 else 1 end, case when d.path = r.path and d.line <= r.line then -d.line else 0 end, d.path, d.line) as k from rq r join md d on d.repo = r.repo and d.lang = r.lang and d.symbol = r.symbol where r.capability = 'definition' and exists (select 1 from {p}u u where u.repo = r.repo and u.lang = r.lang and u.symbol = r.symbol and u.path = r.path and u.line = r.line) union all select r.req_id, u.path, u.line, 0 from rq r join {p}k u on u.repo = r.repo and u.lang = r.lang and u.symbol = r.symbol where r.capability = 'references'),
+ {p}a as (select r.req_id, d.path as lp, d.line as ll, row_number() over (partition by r.req_id order by case when d.path = r.path and d.line <= r.line then 0 else 1 end, case when d.path = r.path and d.line <= r.line then -d.line else 0 end, d.path, d.line) as k from {p}q r join md d on d.repo = r.repo and d.lang = r.lang and d.symbol = r.symbol where r.capability = 'definition' union all select r.req_id, u.path, u.line, 0 from {p}q r join {p}k u on u.repo = r.repo and u.lang = r.lang and u.symbol = r.symbol where r.capability = 'references'),
  {p}s as (select req_id, string_agg(lp||':'||ll, ',' order by lp, ll) as locs from (select distinct req_id, lp, ll from {p}a where k <= 8) group by req_id)"""
 
 
-@query("q4_replay")
+REPLAY = f", rq as (select repo||'|'||lang||'|'||cap||':'||path||':'||line||':'||col as req_id, repo, lang, cap as capability, path, line, col, symbol from c semi join ch using (repo, lang, path), (select unnest(['definition','references']) as cap)){_served_sql('t', 'mr')}{_served_sql('rr', 'rs')}"
+
+
+@query("q4_replay", f"with {ARMS_SQL}{REPLAY} select r.repo, r.lang, r.capability, a.arm, count(*) as requests, round(avg(case when a.arm = 'closure' then 1.0 when coalesce(t.locs, '') = coalesce(s.locs, '') then 1.0 else 0.0 end), 6) as agreement from rq r left join ts t using (req_id) left join rs_ s using (req_id), (select unnest(['symbol','closure']) as arm) a group by all".replace("rs_ s", "rrs s"))
 def _(spark, d):
     """Definition and reference requests at all anchors of changed files, answered from the repaired and
     the rebuilt graph after both were written and read again: how many agree, for two arms."""
@@ -348,19 +352,44 @@ def _dense_units(v, spark, d):
     return u.withColumn("unit_id", F.concat_ws("#", "repo", "path", F.col("start").cast("string")))
 
 
-@query("q4_vector_match")
-def _(spark, d):
-    """Incremental against fresh vectors: identities, largest difference, and top-10 replay order, by transition."""
+def vector_sides(spark, d):
+    """(owner of each new unit, incremental index, fresh index, delta) of all transitions; an index is (unit_id, f, w).
+
+    The stored vectors are kept by content key.  The incremental index keeps the rows of
+    units that did not change, takes reused vectors from the store and encodes the rest.
+    """
     old, new = (_dense_units(v, spark, d) for v in both(spark, d))
     e = dense.ENCODERS[2]
-    idf = dense.document_frequency(units.level2(files(spark, d)), e)  # frozen with the model
-    marked = dense.delta(old, new, "hash256")
-    fresh = dense.encode(new, e, idf)
+    idf = Corpus(spark, d).idf(e)  # frozen with the model
     key = dense.content_key("hash256")
-    stored = dense.encode(old.select(key.alias("unit_id"), "text").distinct(), e, idf).withColumnRenamed("unit_id", "content_key")
-    reused = marked.filter("action = 'reuse'").select("unit_id", "content_key").join(stored, "content_key").select("unit_id", "bucket", "w")
-    made = dense.encode(marked.filter("action = 'encode'"), e, idf)
-    inc = reused.unionByName(made)
-    j = fresh.join(inc.withColumnRenamed("w", "w2"), ["unit_id", "bucket"], "full").withColumn("diff", F.abs(F.coalesce("w", F.lit(0.0)) - F.coalesce("w2", F.lit(0.0))))
-    owner = new.select("unit_id", "repo", "lang")
-    return j.join(owner, "unit_id").groupBy("repo", "lang").agg(F.countDistinct("unit_id").alias("units"), (F.count_if(F.col("w").isNull() | F.col("w2").isNull()) == 0).alias("identities"), (F.max("diff") < 1e-9).alias("vectors"))
+    store = stored(spark, d, "vector-store", lambda: lists.grouped(dense.encode(old.select(key.alias("unit_id"), "text").distinct(), e, idf)).withColumnRenamed("unit_id", "content_key"), ("documents", "labels"))
+    index = old.select("unit_id", key.alias("content_key")).join(store, "content_key")
+    marked = kept(dense.delta(old, new, "hash256"))
+    made = lists.grouped(dense.encode(marked.filter("action = 'encode'").select(F.col("content_key").alias("unit_id"), "text").distinct(), e, idf)).withColumnRenamed("unit_id", "content_key")
+    inc = kept(dense.update(index, marked.select("unit_id", "content_key"), store.unionByName(made)))
+    fresh = kept(lists.grouped(dense.encode(new, e, idf)))
+    return new.select("unit_id", "repo", "lang"), inc.select("unit_id", "f", "w"), fresh, marked
+
+
+def _own(index, owner):
+    """An index whose features belong to their transition, so that one search serves all of them."""
+    return index.join(owner, "unit_id").select("unit_id", F.transform("f", lambda b: F.concat_ws("|", "repo", "lang", b.cast("string"))).alias("f"), "w")
+
+
+@query("q4_vector_match")
+def _(spark, d):
+    """Incremental against fresh vectors by transition: identities, numbers, and the exact top ten of every
+    benchmark query, in order and as sets; with the share encoded and what that does to the index."""
+    owner, inc, fresh, marked = vector_sides(spark, d)
+    rows = lambda x: x.select("unit_id", F.explode(F.map_from_arrays("f", "w")).alias("bucket", "w"))
+    j = rows(fresh).join(rows(inc).withColumnRenamed("w", "w2"), ["unit_id", "bucket"], "full").withColumn("diff", F.abs(F.coalesce("w", F.lit(0.0)) - F.coalesce("w2", F.lit(0.0))))
+    same = j.join(owner, "unit_id").groupBy("repo", "lang").agg(F.countDistinct("unit_id").alias("units"), (F.count_if(F.col("w").isNull() | F.col("w2").isNull()) == 0).alias("identities"), (F.max("diff") < 1e-9).alias("vectors"))
+    e = dense.ENCODERS[2]
+    q = dense.encode(table(spark, d, "benchmark").select(F.col("item_id").cast("string").alias("unit_id"), "text"), e, Corpus(spark, d).idf(e))
+    asked = q.crossJoin(owner.select("repo", "lang").distinct()).select(F.concat_ws("|", "repo", "lang", "unit_id").alias("query_id"), F.concat_ws("|", "repo", "lang", F.col("bucket").cast("string")).alias("f"), "w")
+    top = lambda x, name: lists.search(_own(x, owner), asked, 10).groupBy("query_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("rank", "unit_id"))), lambda r: r["unit_id"]).alias(name))
+    both_ = top(fresh, "a").join(top(inc, "b"), "query_id", "full")
+    split = F.split("query_id", r"\|")
+    replay = both_.groupBy(split[0].alias("repo"), split[1].alias("lang")).agg(F.count("*").alias("queries"), F.bool_and(F.col("a").eqNullSafe(F.col("b"))).alias("ordered"), F.bool_and(F.array_sort("a").eqNullSafe(F.array_sort("b"))).alias("sets"))
+    share = marked.groupBy("repo", "lang").agg(F.avg((F.col("action") == "encode").cast("double")).alias("encoded")).withColumn("index", F.when(F.col("encoded") > dense.REBUILD_SHARE, "rebuild").otherwise("mutate"))
+    return same.join(replay, ["repo", "lang"], "left").join(share.withColumn("encoded", F.round("encoded", 6)), ["repo", "lang"], "left")
