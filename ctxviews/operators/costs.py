@@ -31,6 +31,7 @@ def project(costs: DataFrame, spark, scales: tuple[int, ...] = SCALES) -> DataFr
 
 
 def amortize(cells: DataFrame) -> DataFrame:
-    """family, searches: extra build time over Flat divided by the time saved in a search."""
+    """family, searches: extra build time over Flat divided by the time saved in a search; null if a search saves none."""
     flat = cells.filter("family = 'flat'").select(F.col("build_ms").alias("b0"), F.col("search_ms").alias("s0"))
-    return cells.filter("family <> 'flat'").crossJoin(F.broadcast(flat)).select("family", F.ceil((F.col("build_ms") - F.col("b0")) / (F.col("s0") - F.col("search_ms"))).alias("searches"))
+    saved = F.col("s0") - F.col("search_ms")
+    return cells.filter("family <> 'flat'").crossJoin(F.broadcast(flat)).select("family", F.when(saved > 0, F.ceil((F.col("build_ms") - F.col("b0")) / saved)).alias("searches"))

@@ -27,8 +27,10 @@ def chosen_repos(f: DataFrame) -> DataFrame:
     return r.withColumn("n", F.row_number().over(W.partitionBy("lang").orderBy(F.md5("repo")))).filter("n <= 2").select("repo", "lang")
 
 
-def evolve(f: DataFrame, steps: int = STEPS) -> DataFrame:
-    """repo, lang, step, path, lines for versions 0 .. steps of the chosen repositories.
+def evolve(f: DataFrame, steps: int = STEPS, every: int = 1, whole: bool = False) -> DataFrame:
+    """repo, lang, step, path, lines for versions 0 .. steps of the chosen repositories, or of all (whole).
+
+    In each step about one file in `every` follows the script; the others stay.
 
     Each base file follows a script given by hashes: replace, insert or delete a
     line, delete the file, or add a near copy.  A file's history is a chain of array
@@ -37,7 +39,7 @@ def evolve(f: DataFrame, steps: int = STEPS) -> DataFrame:
     """
     from pyspark.sql import Window as W
 
-    base = f.join(chosen_repos(f), ["repo", "lang"]).select("repo", "lang", "doc_id", "path", F.split("text", "\n", -1).alias("l0"))
+    base = (f if whole else f.join(chosen_repos(f), ["repo", "lang"])).select("repo", "lang", "doc_id", "path", F.split("text", "\n", -1).alias("l0"))
     w = W.partitionBy("repo", "lang").orderBy("doc_id")
     head = F.col("l0")[0]
     cur = base.withColumn("donor", F.coalesce(F.lead(head).over(w), F.first(head).over(w.rowsBetween(W.unboundedPreceding, W.unboundedFollowing))))
@@ -46,6 +48,8 @@ def evolve(f: DataFrame, steps: int = STEPS) -> DataFrame:
     def step(acc: Column, t: Column) -> Column:
         h = md5_number(F.concat(F.col("doc_id").cast("string"), F.lit("|"), t.cast("string")))
         old, n, op = acc["l"], F.size(acc["l"]), h % 10
+        if every > 1:
+            op = F.when(md5_number(F.concat(t.cast("string"), F.lit("/"), F.col("doc_id").cast("string"))) % every == 0, op).otherwise(9)
         p = F.when(n > 0, F.floor(h / 10) % n).otherwise(0).cast("int")
         kept = F.when(op == 1, 0).otherwise(1)  # old lines that give way at p: none for an insertion
         put = F.when(op == 2, F.array().cast("array<string>")).otherwise(F.array("donor"))

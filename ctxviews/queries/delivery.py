@@ -235,11 +235,6 @@ def _(spark, d):
     return q.select("snapshot", (F.col("nq") * 2).alias("ranked"), F.lit(2).alias("definitions"), (F.col("nq") * 2 + 2).alias("requests"))
 
 
-@query("q2_amortize", "with c(family, build_ms, search_ms) as (values ('flat', 6.4::double, 0.91::double), ('ivf', 889.0, 0.223), ('hnsw', 2000.0, 0.0268)) select a.family, ceil((a.build_ms - b.build_ms) / (b.search_ms - a.search_ms))::bigint as searches from c a, c b where a.family <> 'flat' and b.family = 'flat'")
-def _(spark, d):
-    return costs.amortize(spark.createDataFrame([("flat", 6.4, 0.91), ("ivf", 889.0, 0.223), ("hnsw", 2000.0, 0.0268)], "family string, build_ms double, search_ms double"))
-
-
 @query("q2_build_work", f"with {L2}, x as (select repo, lang, 2 as level, text from l2 union all select repo, lang, 0, text from files) select repo, lang, level, count(*) as units, sum(len(regexp_extract_all(lower(text), {TOKEN})))::bigint as tokens, count(distinct sha256(text)) as encodings from x group by all")
 def _(spark, d):
     f = files(spark, d)

@@ -266,14 +266,6 @@ def _(spark, d):
     return dense.search_flat(v.filter("vec_id % 10 = 0"), v, 10, "label")
 
 
-@query("d_qualified", "with c(family, config, overlap, ms) as (values ('flat','-',1.0,0.91),('ivf','0.10',0.88,0.12),('ivf','0.25',0.965,0.223),('ivf','0.5',0.99,0.41),('hnsw','16',0.977,0.0268),('hnsw','32',0.991,0.05)) select family, arg_min(config, ms) as config, round(min(ms), 6)::double as ms from c where overlap >= 0.95 group by family")
-def _(spark, d):
-    from ctxviews.operators.metrics import qualified_fastest
-
-    rows = [("flat", "-", 1.0, 0.91), ("ivf", "0.10", 0.88, 0.12), ("ivf", "0.25", 0.965, 0.223), ("ivf", "0.5", 0.99, 0.41), ("hnsw", "16", 0.977, 0.0268), ("hnsw", "32", 0.991, 0.05)]
-    return qualified_fastest(spark.createDataFrame(rows, "family string, config string, overlap double, ms double"), 0.95)
-
-
 @query("d_content_keys", f"with {L2} select sha256('hash256'||chr(31)||text) as content_key, count(*) as n from l2 group by all")
 def _(spark, d):
     return l2_units(spark, d).select(dense.content_key("hash256").alias("content_key")).groupBy("content_key").agg(F.count("*").alias("n"))
