@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 #: Bytes of text that one vectorised step works on (a longer text is one step).
-STEP_BYTES = 1 << 19
+STEP_BYTES = 1 << 18
 #: Bytes up to which a table may be broadcast.
 BROADCAST_BYTES = 48 << 20
 #: Edges that one task joins by itself (16 bytes each).
@@ -171,6 +171,19 @@ def span_hash(prefix: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndar
         return mix((prefix[end] - prefix[start]) * down[start] + (end - start).astype(np.uint64))
 
 
+def trim() -> None:
+    """Give memory that a worker has freed back to the machine; workers live as long as their executor."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library keeps its own ways
+        pass
+
+
 def steps(texts: list[str | None], limit: int = STEP_BYTES):
     """Slices of a batch whose texts together have about `limit` bytes: (first, encoded texts)."""
     first, held, size = 0, [], 0
@@ -183,6 +196,7 @@ def steps(texts: list[str | None], limit: int = STEP_BYTES):
         size += len(b)
     if held:
         yield first, held
+    trim()
 
 
 def words(encoded: list[bytes], lower: bool = True) -> tuple[np.ndarray, ...]:

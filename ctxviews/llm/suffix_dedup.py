@@ -20,9 +20,10 @@ Copies of a passage are thus counted, not gathered, and only distinct slots arou
 shared cores are sorted.  Cores with more than HOT_SLOTS slots are not gathered:
 their windows are counted by hash, in as many tasks as needed.
 
-A length can also be given in words.  A string of w words has 2 w - 1 bytes or more, so
-every repeated one lies inside a run of repeated windows of that many bytes; the windows
-of w words in such runs are then counted by hash, and only repeated ones go.
+A length can also be given in words.  The symbols are then words with the white space
+that follows them instead of bytes: a repeated string of w words begins with w - 1 such
+symbols that repeat.  The strings of w words in what the suffix arrays found are counted
+by hash once more, with their last word, and only repeated ones go.
 
 Null and empty texts have no bytes and no spans.  Texts shorter than `length` are
 kept whole.  Repeated rows count as further occurrences.
@@ -36,7 +37,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import SPACE, keep, prefix_hash, release, ship, small, span_hash, steps
+from .common import SPACE, keep, prefix_hash, release, ship, small, span_hash, steps, trim
 from .suffix_array import suffix_array
 
 HOT_SLOTS = 10_000
@@ -49,9 +50,25 @@ SLOTS = 5
 SEGMENT = 1 << 22
 
 
-def anchors(buf: np.ndarray, prefix: np.ndarray, length: int, k: int) -> np.ndarray:
-    """Position of the anchor of each window start."""
-    m = len(buf) - k + 1
+def byte_symbols(encoded: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """(bytes of all texts, number of each text's)."""
+    return np.frombuffer(b"".join(encoded), np.uint8), np.fromiter(map(len, encoded), np.int64, len(encoded))
+
+
+def word_symbols(encoded: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """(64-bit hashes of each word with the white space up to the next word, number of each text's): all words but a text's last."""
+    buf = np.frombuffer(b"\n".join(encoded), np.uint8)
+    size = np.fromiter(map(len, encoded), np.int64, len(encoded))
+    first = np.concatenate([[0], np.cumsum(size + 1)[:-1]]).astype(np.int64)
+    word = ~SPACE[buf]
+    start = np.flatnonzero(word & ~np.concatenate([[False], word[:-1]]))
+    doc = np.searchsorted(first, start, "right") - 1
+    pair = np.flatnonzero(doc[1:] == doc[:-1])
+    return span_hash(prefix_hash(buf), start[pair], start[pair + 1]), np.bincount(doc[pair], minlength=len(encoded)).astype(np.int64)
+
+
+def anchors(m: int, prefix: np.ndarray, length: int, k: int) -> np.ndarray:
+    """Position of the anchor of each window start among m k-grams."""
     w = length - k + 1
     at = np.arange(m)
     v = (span_hash(prefix, at, at + k) >> np.uint64(23) << np.uint64(23)) | at.astype(np.uint64)
@@ -63,21 +80,17 @@ def anchors(buf: np.ndarray, prefix: np.ndarray, length: int, k: int) -> np.ndar
     return (np.minimum(back[:n], ahead[w - 1 : w - 1 + n]) & np.uint64((1 << 23) - 1)).astype(np.int64)
 
 
-def runs(encoded: list[bytes], length: int, k: int):
+def runs(data: np.ndarray, size: np.ndarray, length: int, k: int):
     """(document, first window, last window, anchor, anchor hash, context hash) of every run, as arrays."""
-    size = np.fromiter(map(len, encoded), np.int64, len(encoded))
-    buf = np.frombuffer(b"".join(encoded), np.uint8)
-    if len(buf) < length:
+    if len(data) < length:
         return None
-    prefix = prefix_hash(buf)
+    prefix = prefix_hash(data)
     end = np.cumsum(size)
     out = []
-    for a in range(0, len(buf) - length + 1, SEGMENT):
-        b = min(len(buf), a + SEGMENT + length - 1)
-        if b - a < length:
-            continue
+    for a in range(0, len(data) - length + 1, SEGMENT):
+        b = min(len(data), a + SEGMENT + length - 1)
         # hashes do not depend on where the slice starts
-        pos = a + anchors(buf[a:b], prefix[a : b + 1], length, k) if a == 0 else a + anchors(buf[a:b], prefix_hash(buf[a:b]), length, k)
+        pos = a + anchors(b - a - k + 1, prefix[: b + 1] if a == 0 else prefix_hash(data[a:b]), length, k)
         start = a + np.arange(len(pos))
         doc = np.searchsorted(end, start, "right")
         ok = start + length <= end[np.minimum(doc, len(end) - 1)]
@@ -123,10 +136,15 @@ def repeated_windows(pieces: list[np.ndarray], length: int) -> list[tuple[int, i
     return [(int(doc[a]), int(a - at[doc[a]]), int(b - 1 - at[doc[a]])) for a, b in zip(edge[::2], edge[1::2], strict=True)]
 
 
-def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | None = None, text_col: str = "text", id_col: str = "doc_id") -> tuple[DataFrame, DataFrame]:
-    """(docs with key columns k1, k2; table (k1, k2, spans array<struct<a, b>>) of the byte ranges that go)."""
+def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | None = None, text_col: str = "text", id_col: str = "doc_id", by_word: bool = False) -> tuple[DataFrame, DataFrame]:
+    """(docs with key columns k1, k2; table (k1, k2, spans array<struct<a, b>>) of the ranges of symbols that go).
+
+    Symbols are bytes, or words with the white space that follows them.
+    """
     ship(spark)
     k = k or length // 2
+    symbols, kind = (word_symbols, np.uint64) if by_word else (byte_symbols, np.uint8)
+    width = np.dtype(kind).itemsize
     keyed = docs.withColumn("ctxviews_k1", F.xxhash64(docs[id_col], docs[text_col])).withColumn("ctxviews_k2", F.hash(docs[id_col], docs[text_col]))
     source = keyed.select(F.col("ctxviews_k1").alias("k1"), F.col("ctxviews_k2").alias("k2"), docs[text_col].alias("t"))
 
@@ -136,7 +154,7 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
         for pdf in batches:
             k1, k2 = pdf["k1"].to_numpy(), pdf["k2"].to_numpy()
             for first, raw in steps(pdf["t"].tolist()):
-                if (r := runs(raw, length, k)) is not None:
+                if (r := runs(*symbols(raw), length, k)) is not None:
                     yield pd.DataFrame({"k1": k1[first + r[0]], "k2": k2[first + r[0]], "i0": r[1], "i1": r[2], "p": r[3], "anchor": r[4], "ctx": r[5]})
 
     occ = keep(source.mapInPandas(find, "k1 long, k2 int, i0 long, i1 long, p long, anchor long, ctx long"), spark)
@@ -166,8 +184,8 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
                 rows = []
                 part = pdf.iloc[a : a + 500]
                 for k1, k2, t, want in zip(part["k1"], part["k2"], part["t"], part["want"], strict=True):
-                    raw = t.encode("utf-8", "surrogatepass")
-                    prefix = prefix_hash(np.frombuffer(raw, np.uint8))
+                    data, _ = symbols([t.encode("utf-8", "surrogatepass")])
+                    prefix = prefix_hash(data)
                     own = []
                     i0, i1, p = np.asarray(want, np.int64).reshape(-1, 3).T
                     once, p = p >= 0, np.where(p >= 0, p, -p - 1)
@@ -179,7 +197,7 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
                     core = np.array([o[2] for o in own])
                     h = span_hash(prefix, core, core + length - step).view(np.int64).tolist()
                     for (x, y, c, anchor, j, n), g in zip(own, h, strict=True):
-                        rows.append((k1, k2, x, n, anchor, j, g, raw[x:c], raw[c + length - step : y + length]))
+                        rows.append((k1, k2, x, n, anchor, j, g, data[x:c].tobytes(), data[c + length - step : y + length].tobytes()))
                 yield pd.DataFrame(rows, columns=["k1", "k2", "at", "n", "anchor", "j", "core", "before", "after"])
 
     slots = keep(fetch.select("k1", "k2", "t", "want").mapInPandas(cut, "k1 long, k2 int, at long, n long, anchor long, j int, core long, before binary, after binary"), spark)
@@ -191,10 +209,17 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
     def sort_group(pdf):
         import pandas as pd
 
-        out, batch, owners, symbols = [], [], [], 0
+        out, batch, owners, held = [], [], [], 0
 
         def solve():
-            for i, x, y in repeated_windows(batch, step + 1):
+            # Symbols are numbered from 0 on, the cores' own symbols after them.
+            _, code = np.unique(np.concatenate([x for before, after, _ in batch for x in (before, after)]), return_inverse=True)
+            top, at, pieces = int(code.max(initial=-1)) + 1, 0, []
+            for before, after, number in batch:
+                mid, end = at + len(before), at + len(before) + len(after)
+                pieces.append(np.concatenate([code[at:mid], [top + number], code[mid:end]]))
+                at = end
+            for i, x, y in repeated_windows(pieces, step + 1):
                 k1, k2, at, n = owners[i]
                 if n == 1:
                     out.append((k1, k2, at + x, at + y + length))
@@ -205,19 +230,18 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
                 seen.setdefault(row[4:], []).append(row[:4])
             for (before, after), who in seen.items():
                 if len(who) > 1:  # the whole slot repeats
-                    out += [(k1, k2, at, at + len(before) + len(after) + length - step) for k1, k2, at, n in who if n == 1]
+                    out += [(k1, k2, at, at + (len(before) + len(after)) // width + length - step) for k1, k2, at, n in who if n == 1]
             if len(seen) > 1:
                 for (before, after), who in seen.items():
-                    s = np.frombuffer(before + b"\0" + after, np.uint8).astype(np.int64)
-                    s[len(before)] = 256 + number
-                    batch.append(s)
+                    batch.append((np.frombuffer(before, kind), np.frombuffer(after, kind), number))
                     owners.append(who[0])
-                    symbols += len(s)
-            if symbols > SORT_SYMBOLS:
+                    held += 1 + (len(before) + len(after)) // width
+            if held > SORT_SYMBOLS:
                 solve()
-                batch, owners, symbols = [], [], 0
+                batch, owners, held = [], [], 0
         if batch:
             solve()
+        trim()
         return pd.DataFrame(out, columns=["k1", "k2", "a", "b"])
 
     usual = met.filter(F.col("s") <= HOT_SLOTS).withColumn("g", F.pmod(F.xxhash64("c"), F.lit(groups)))
@@ -228,8 +252,7 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
 
         for pdf in batches:
             for k1, k2, at, n, c, before, after in zip(pdf["k1"], pdf["k2"], pdf["at"], pdf["n"], pdf["c"], pdf["before"], pdf["after"], strict=True):
-                s = np.frombuffer(before + b"\0" + after, np.uint8).astype(np.int64)
-                s[len(before)] = 256
+                s = np.concatenate([np.frombuffer(before, kind).astype(np.uint64), np.array([1 << 63], np.uint64), np.frombuffer(after, kind).astype(np.uint64)])
                 x = np.arange(len(s) - step)
                 yield pd.DataFrame({"k1": k1, "k2": k2, "at": at + x, "n": n, "c": c, "h": span_hash(prefix_hash(s), x, x + step + 1).view(np.int64)})
 
@@ -266,15 +289,15 @@ def merge(spans) -> list[tuple[int, int]]:
 
 
 def word_windows(raw: bytes, cuts: list[tuple[int, int]], n: int) -> tuple[np.ndarray, ...]:
-    """(start, end, two hashes) of every string of n whole words inside the byte ranges `cuts`."""
+    """(start, end, two hashes) of every string of n words whose first n - 1 symbols lie inside a range of `cuts`."""
     buf = np.frombuffer(raw, np.uint8)
     inside = np.concatenate([[False], ~SPACE[buf], [False]])
     edge = np.flatnonzero(inside[1:] != inside[:-1])
     start, end = edge[::2], edge[1::2]
-    a, b = start[: max(0, len(start) - n + 1)], end[n - 1 :]
-    cut = np.searchsorted([x for x, _ in cuts], a, "right") - 1
-    ok = (cut >= 0) & (b <= np.array([y for _, y in cuts])[cut])
-    a, b = a[ok], b[ok]
+    i = np.arange(max(0, len(start) - n + 1))
+    cut = np.searchsorted([x for x, _ in cuts], i, "right") - 1
+    i = i[(cut >= 0) & (i + n - 1 <= np.array([y for _, y in cuts])[cut])]
+    a, b = start[i], end[i + n - 1]
     h = span_hash(prefix_hash(buf), a, b)
     g = span_hash(prefix_hash(buf.astype(np.int64) + 256), a, b)
     return a, b, h.view(np.int64), g.view(np.int64)
@@ -282,7 +305,7 @@ def word_windows(raw: bytes, cuts: list[tuple[int, int]], n: int) -> tuple[np.nd
 
 def removed_words(docs: DataFrame, spark: SparkSession, n: int, text_col: str = "text", id_col: str = "doc_id") -> tuple[DataFrame, DataFrame]:
     """Like removed(), for strings of n words, from the start of the first to the end of the last."""
-    keyed, spans = removed(docs, spark, 2 * n - 1, None, text_col, id_col)
+    keyed, spans = removed(docs, spark, n - 1, None, text_col, id_col, by_word=True)
     source = keyed.select(F.col("ctxviews_k1").alias("k1"), F.col("ctxviews_k2").alias("k2"), docs[text_col].alias("t"))
     fetch = source.join(small(spans, spark), ["k1", "k2"])
 
@@ -294,6 +317,7 @@ def removed_words(docs: DataFrame, spark: SparkSession, n: int, text_col: str =
                 a, b, h, g = word_windows(t.encode("utf-8", "surrogatepass"), merge(s), n)
                 if len(a):
                     yield pd.DataFrame({"k1": k1, "k2": k2, "a": a, "b": b, "h": h, "g": g})
+            trim()
 
     seen = keep(fetch.select("k1", "k2", "t", "spans").mapInPandas(find, "k1 long, k2 int, a long, b long, h long, g long"), spark)
     twice = keep(seen.groupBy("h", "g").agg(F.count("*").alias("times")).filter("times > 1").select("h", "g"), spark)
