@@ -3,7 +3,8 @@
 A catalog is a small table with one row for each (version, view, profile).
 Builders run one after another; a failure becomes a `failed` entry and leaves the
 others alone; the catalog is published by one rename after all have ended.
-Opening never builds.
+Opening never builds.  Files go through Hadoop's file systems, so a catalog can lie
+wherever Spark reads.
 """
 
 from __future__ import annotations
@@ -12,12 +13,12 @@ import json
 import time
 from collections.abc import Callable
 from dataclasses import asdict, dataclass, field
-from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ctxviews.functions.text import digest
+from ctxviews.plans import store
 
 SCHEMA_VERSION = 1
 #: Capabilities of each view; syntactic ones need no resolved symbols.
@@ -72,11 +73,9 @@ class Entry:
 def materialize(root: str, version: str, builders: dict[str, Callable[[str], dict | None]], needs: dict[str, list[str]] | None = None) -> list[Entry]:
     """Run builders(location) in order; returns and publishes their entries."""
     out: list[Entry] = []
-    base = Path(root) / version
-    base.mkdir(parents=True, exist_ok=True)
     for view, build in builders.items():
         began = time.time()
-        location = str(base / view)
+        location = f"{root.rstrip('/')}/{version}/{view}"
         try:
             config = build(location) or {}
             out.append(Entry(view, "ok", location, time.time() - began, time.time(), config=config, capabilities=CAPABILITIES.get(view, [])))
@@ -86,18 +85,45 @@ def materialize(root: str, version: str, builders: dict[str, Callable[[str], dic
     return out
 
 
+def _path(root: str, version: str) -> str:
+    return f"{root.rstrip('/')}/{version}/catalog.json"
+
+
 def publish(root: str, version: str, entries: list[Entry]) -> None:
-    base = Path(root) / version
-    draft = base / "catalog.json.draft"
-    draft.write_text(json.dumps([asdict(e) for e in entries]))
-    draft.rename(base / "catalog.json")
+    store.write_text(SparkSession.active(), _path(root, version), json.dumps([asdict(e) for e in entries]))
 
 
 def read(root: str, version: str) -> list[Entry]:
-    path = Path(root) / version / "catalog.json"
-    if not path.exists():
+    text = store.read_text(SparkSession.active(), _path(root, version))
+    if text is None:
         raise ViewUnavailable(f"no catalog for {version}")
-    return [Entry(**e) for e in json.loads(path.read_text())]
+    return [Entry(**e) for e in json.loads(text)]
+
+
+#: Columns that a view is made of; a builder without them must fail.
+PREPARED = {"lexical": ["unit_id", "text"], "dense": ["unit_id", "text"], "structural": ["path", "line", "col", "symbol", "role"]}
+
+
+def builder(view: str, prepared: DataFrame | None, make: Callable[[DataFrame], DataFrame]) -> Callable[[str], dict]:
+    """A builder for materialize() that publishes make(prepared), and fails if its preparation is absent or
+    lacks what the view's capabilities rest on: nothing weaker goes out under the same name."""
+
+    def build(location: str) -> dict:
+        missing = PREPARED[view] if prepared is None else [c for c in PREPARED[view] if c not in prepared.columns]
+        if missing:
+            raise BuildPreparationMissing(f"{view} needs {', '.join(missing)}")
+        make(prepared).write.mode("overwrite").parquet(location)
+        return {"columns": prepared.columns}
+
+    return build
+
+
+def alias(instances: DataFrame) -> DataFrame:
+    """instances (instance, source_id, profile_id) with `canonical`: instance names only stand for an identity,
+    the first of them speaks for all."""
+    from pyspark.sql import Window as W
+
+    return instances.withColumn("canonical", F.min("instance").over(W.partitionBy("source_id", "profile_id")))
 
 
 def open_views(spark: SparkSession, root: str, version: str, needs: list[str], head: str | None = None) -> tuple[dict[str, DataFrame], list[str]]:

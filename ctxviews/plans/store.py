@@ -92,6 +92,36 @@ def kept(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def write_text(spark: SparkSession, path: str, text: str) -> None:
+    """Publish a small file at once: written beside its place, then renamed over it."""
+    fs, p = _fs(spark, path)
+    draft = _fs(spark, f"{path}.draft-{uuid.uuid4().hex}")[1]
+    out = fs.create(draft, True)
+    out.write(bytearray(text, "utf-8"))
+    out.close()
+    if fs.exists(p):
+        fs.delete(p, False)
+    if not fs.rename(draft, p):
+        raise OSError(f"{path} could not be published")
+
+
+def read_text(spark: SparkSession, path: str) -> str | None:
+    """The text of a small file, or None if it is not there."""
+    fs, p = _fs(spark, path)
+    if not fs.exists(p):
+        return None
+    stream = fs.open(p)
+    try:
+        return spark.sparkContext._jvm.org.apache.commons.io.IOUtils.toString(stream, "UTF-8")
+    finally:
+        stream.close()
+
+
+def exists(spark: SparkSession, path: str) -> bool:
+    fs, p = _fs(spark, path)
+    return bool(fs.exists(p))
+
+
 def clear() -> None:
     """Delete what this process has stored."""
     _known.clear()

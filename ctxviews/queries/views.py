@@ -73,6 +73,14 @@ def _(spark, d):
     return f.select(F.col("source").alias("repo"), source_id(F.col("source"), F.lit("0")).alias("source_id"), profile_id(F.col("lang"), "1", "hash256", "{}").alias("profile_id")).distinct()
 
 
+@query("u_alias", "with i as (select distinct source||'/'||lang||'#'||n as instance, sha256(source||chr(31)||'0') as source_id, sha256(lang||chr(31)||'1'||chr(31)||'hash256'||chr(31)||'{}') as profile_id from documents, (select unnest(['head','main','tag']) as n)) select *, min(instance) over (partition by source_id, profile_id) as canonical from i")
+def _(spark, d):
+    from ctxviews.plans.catalog import alias, profile_id, source_id
+
+    f = table(spark, d, "documents").select("source", "lang").distinct().withColumn("n", F.explode(F.array(*map(F.lit, ("head", "main", "tag")))))
+    return alias(f.select(F.concat("source", F.lit("/"), "lang", F.lit("#"), "n").alias("instance"), source_id(F.col("source"), F.lit("0")).alias("source_id"), profile_id(F.col("lang"), "1", "hash256", "{}").alias("profile_id")))
+
+
 CAPS = [("lexical", "text_search"), ("dense", "semantic_search"), ("structural", "definition"), ("structural", "references"), ("structural", "neighbours")]
 
 

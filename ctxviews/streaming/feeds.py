@@ -1,4 +1,4 @@
-"""The request and edit feed over `events`: each function takes a batch or a stream.
+"""The request and edit feed over `events`: each function takes a batch or a stream (late() a batch, lag_stream() a stream).
 
 Watermarks only matter on streams; a drained stream equals the batch result but
 for rows that are later than the watermark.
@@ -7,12 +7,14 @@ for rows that are later than the watermark.
 from __future__ import annotations
 
 from collections.abc import Callable
-from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ctxviews.operators import maintain as maintain_ops
+from ctxviews.plans import store
+
 DELAY = "30 minutes"
 
 
@@ -70,6 +72,36 @@ def lag(e: DataFrame) -> DataFrame:
     return e.withColumn("vt", last).groupBy("user_id").agg(F.count_if(p).alias("head"), F.count_if(p & (F.col("ts") <= F.col("vt"))).alias("built"))
 
 
+IDLE_MS = 90 * 24 * 3600 * 1000
+
+
+def lag_stream(e: DataFrame) -> DataFrame:
+    """The same lag on a stream that follows time: user_id, head, built, ended, put out whenever a user's state
+    changes.  A user who is idle for IDLE_MS of event time is put out once more, ended, and forgotten."""
+    import pandas as pd
+
+    def step(key, batches, state):
+        if state.hasTimedOut:
+            head, built = state.get
+            state.remove()
+            yield pd.DataFrame({"user_id": [key[0]], "head": [head], "built": [built], "ended": [True]})
+            return
+        head, built = state.get if state.exists else (0, 0)
+        rows = pd.concat(list(batches)).sort_values(["ts", "event_type"], kind="stable")  # at one time a purchase comes before a view
+        for kind in rows["event_type"]:
+            if kind == "purchase":
+                head += 1
+            elif kind == "view":
+                built = head
+        state.update((head, built))
+        last = int(rows["ts"].max().timestamp() * 1000)
+        state.setTimeoutTimestamp(max(last, state.getCurrentWatermarkMs()) + IDLE_MS)
+        yield pd.DataFrame({"user_id": [key[0]], "head": [head], "built": [built], "ended": [False]})
+
+    own = _marked(e.select("user_id", "event_type", "ts"))
+    return own.groupBy("user_id").applyInPandasWithState(step, "user_id long, head long, built long, ended boolean", "head long, built long", "update", "EventTimeTimeout")
+
+
 def stream(spark: SparkSession, path: str, schema) -> DataFrame:
     """A file stream over event files."""
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(path)
@@ -83,15 +115,57 @@ def drain(out: DataFrame, name: str, mode: str = "append") -> DataFrame:
 
 
 def maintain(edits: DataFrame, apply: Callable[[DataFrame, int], None], checkpoint: str):
-    """Incremental maintenance for each micro-batch.  `apply(batch, id)` must be idempotent by id: the
-    id of the last applied batch is kept beside the checkpoint and replays are skipped."""
-    mark = Path(checkpoint) / "applied"
+    """Incremental maintenance for each micro-batch.  `apply(batch, id)` must give the same when it is run
+    again with the same id: a crash between it and the mark beside the checkpoint repeats it."""
+    spark, mark = edits.sparkSession, f"{checkpoint.rstrip('/')}/applied"
 
     def once(batch: DataFrame, number: int) -> None:
-        if mark.exists() and int(mark.read_text()) >= number:
+        done = store.read_text(spark, mark)
+        if done is not None and int(done) >= number:
             return
         apply(batch, number)
-        mark.parent.mkdir(parents=True, exist_ok=True)
-        mark.write_text(str(number))
+        store.write_text(spark, mark, str(number))
 
     return edits.writeStream.foreachBatch(once).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+class GraphMaintainer:
+    """Versions of a graph under `root`, each patched from the last by a batch of edits (repo, lang, path, lines or null).
+
+    Version n + 1 comes from batch n and is written in one place, so a repeated batch
+    writes the same version again; a version counts when its mark is there.
+    """
+
+    TABLES = ("files", "tokens", "decl", "refs", "imports")
+
+    def __init__(self, spark: SparkSession, root: str):
+        self.spark, self.root = spark, root.rstrip("/")
+
+    def _at(self, version: int, name: str) -> str:
+        return f"{self.root}/v{version}/{name}"
+
+    def read(self, version: int) -> tuple[DataFrame, maintain_ops.Graph]:
+        """(texts, graph) of a version."""
+        if not store.exists(self.spark, self._at(version, "done")):
+            raise ValueError(f"version {version} is not complete")
+        g = maintain_ops.Graph(*(self.spark.read.parquet(self._at(version, t)) for t in self.TABLES))
+        return self.spark.read.parquet(self._at(version, "texts")), g
+
+    def _write(self, version: int, texts: DataFrame, g: maintain_ops.Graph) -> None:
+        for name, df in (("texts", texts), *((t, getattr(g, t)) for t in self.TABLES)):
+            df.write.mode("overwrite").parquet(self._at(version, name))
+        store.write_text(self.spark, self._at(version, "done"), "")
+
+    def start(self, texts: DataFrame) -> None:
+        """Version 0 is built from all texts."""
+        self._write(0, texts, maintain_ops.rebuild(texts, store.kept))
+
+    def apply(self, batch: DataFrame, number: int) -> None:
+        """Patch version `number` by a batch; each path at most once, null lines delete."""
+        texts, g = self.read(number)
+        edits = store.kept(batch.select("repo", "lang", "path", "lines"))
+        key = ["repo", "lang", "path"]
+        old, new = texts.join(edits.select(key), key, "left_semi"), edits.filter("lines is not null")
+        t = maintain_ops.Transition.of(old, new, g, store.kept)
+        now = texts.join(edits.select(key), key, "left_anti").unionByName(new)
+        self._write(number + 1, now, maintain_ops.repair(t, True, store.kept))

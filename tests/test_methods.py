@@ -252,6 +252,14 @@ def test_stream_equals_batch(spark, tmp_path, name):
     assert rows(got, *[c for c in want.columns if c != "cost"]) == rows(want, *[c for c in want.columns if c != "cost"])
 
 
+def test_lag_stream_equals_batch(spark, tmp_path):
+    e = table(spark, DATA, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    e.repartitionByRange(3, "ts").sortWithinPartitions("ts").write.parquet(str(tmp_path / "in"))
+    out = feeds.drain(feeds.lag_stream(feeds.stream(spark, str(tmp_path / "in"), e.schema)), "drained_lag", "update")
+    last = out.filter("not ended").groupBy("user_id").agg(F.max("head").alias("head"), F.max("built").alias("built"))
+    assert rows(last, "user_id", "head", "built") == rows(feeds.lag(e).na.fill(0), "user_id", "head", "built")
+
+
 def test_incremental_stream_is_idempotent(spark, tmp_path):
     e = table(spark, DATA, "events").select("event_id", "event_type")
     e.repartition(2).write.parquet(str(tmp_path / "in"))
@@ -261,3 +269,215 @@ def test_incremental_stream_is_idempotent(spark, tmp_path):
     n = len(seen)
     feeds.maintain(s, lambda b, i: seen.append((i, b.count())), str(tmp_path / "ck")).awaitTermination()
     assert len(seen) == n and sum(c for _, c in seen) == e.count()
+
+
+# --- stored views and block search ---------------------------------------------------------------
+
+
+def test_views_are_built_once_and_follow_the_tables(spark, tmp_path):
+    from ctxviews.plans import store
+
+    spark.range(5).write.parquet(str(tmp_path / "t.parquet"))
+    calls = []
+
+    def build():
+        calls.append(1)
+        return spark.read.parquet(str(tmp_path / "t.parquet")).withColumn("x", F.col("id") * 2)
+
+    for _ in range(3):
+        assert store.stored(spark, str(tmp_path), "twice", build, ("t",)).count() == 5
+    assert len(calls) == 1
+    spark.range(3).write.mode("append").parquet(str(tmp_path / "t.parquet"))
+    assert store.stored(spark, str(tmp_path), "twice", build, ("t",)).count() == 8 and len(calls) == 2
+
+
+@pytest.mark.parametrize("dense_to", [0, 5000])
+def test_block_search_equals_brute_force(spark, monkeypatch, dense_to):
+    from ctxviews.operators import lists
+
+    monkeypatch.setattr(lists, "DENSE", dense_to)
+    monkeypatch.setattr(lists, "UNITS", 16)
+    rng = np.random.default_rng(1)
+    units_, queries = {}, {}
+    for store, n in ((units_, 150), (queries, 12)):
+        for i in range(n):
+            fs = rng.choice(40, rng.integers(0, 6), replace=False)
+            store[f"k{i:03d}"] = {f"f{f}": float(rng.integers(-3, 4)) for f in fs}
+    u = spark.createDataFrame([(k, list(v), list(v.values())) for k, v in units_.items()], "unit_id string, f array<string>, w array<double>").repartition(3)
+    q = spark.createDataFrame([(k, f, w) for k, v in queries.items() for f, w in v.items()], "query_id string, f string, w double")
+    want = []
+    for qk, qv in queries.items():
+        found = sorted((-sum(w * uv[f] for f, w in qv.items() if f in uv), uk) for uk, uv in units_.items() if set(uv) & set(qv))
+        want += [(qk, uk, -s + 0.0, i + 1) for i, (s, uk) in enumerate(found[:7])]
+    got = [(r.query_id, r.unit_id, r.score + 0.0, r["rank"]) for r in lists.search(u, q, 7).collect()]
+    assert sorted(got) == sorted(want)
+
+
+def test_passages_by_rare_inner_token(spark):
+    u = spark.createDataFrame([("a", "xone two three fourx"), ("b", "one, two  three four"), ("c", "two"), ("d", None), ("e", "")], "unit_id string, text string")
+    p = spark.createDataFrame([("1", "one two three four"), ("2", "two  three"), ("3", "one two nowhere three"), ("4", "two"), ("5", None)], "query_id string, text string")
+    assert rows(lexical.holding(p, u, lexical.index(u)), "query_id", "unit_id") == [("1", "a"), ("2", "b"), ("4", "a"), ("4", "b"), ("4", "c")]
+
+
+def test_long_files_are_diffed_in_linear_space():
+    rng = np.random.default_rng(0)
+    a = [f"line {i}" if i % 3 else "same" for i in range(6000)]
+    b = list(a)
+    for i in sorted(rng.choice(6000, 60, replace=False), reverse=True):
+        b[i : i + 1] = [] if i % 2 else ["new", "new"]
+    h = versions.diff(a, b)
+    assert versions.apply(h, a, b) == b and len(h) <= 120
+    assert versions.apply(versions.diff(["x"] * 1500, ["y"] * 1500), ["x"] * 1500, ["y"] * 1500) == ["y"] * 1500
+
+
+# --- maintenance -------------------------------------------------------------------------------------
+
+
+def _files(spark, texts):
+    return spark.createDataFrame([("r@1", "en", p, t.split("\n")) for p, t in texts.items()], "repo string, lang string, path string, lines array<string>")
+
+
+def test_patches_read_only_what_changed(spark):
+    """The patch's tokens come from changed files; the closure equals a rebuild, vertices and imports included."""
+    old = {"a": "alpha uses gamma\nbeta calls alpha", "b": "delta calls beta\ngamma sees delta", "c": "omega alone"}
+    new = {"a": "other line here\nalpha uses gamma\nbeta calls omega", "b": old["b"], "d": "alpha again beta"}
+    t = maintain.Transition.of(_files(spark, old), _files(spark, new))
+    assert {r.path for r in t.fresh.collect()} == {"a", "d"}
+    want = maintain.facts(maintain.rebuild(_files(spark, new)))
+    got = maintain.facts(maintain.repair(t, True))
+    assert rows(got, "tag", "payload") == rows(want, "tag", "payload")
+    assert {r.tag for r in want.collect()} == {"file", "symbol", "reference", "import"}
+
+
+def test_invisible_symbols_stay_on_unedited_lines(spark):
+    old = _files(spark, {"a": "alpha one\nbeta two\ngamma three"})
+    new = _files(spark, {"a": "zero first\nalpha one\nbeta changed\ngamma three"})
+    t = maintain.Transition.of(old, new)
+    listed = spark.createDataFrame([("r@1", "en", "a", 0, "zero")], "repo string, lang string, path string, line int, symbol string")
+    assert rows(maintain.vertices(t, listed), "line", "symbol") == [(0, "zero"), (1, "alpha"), (3, "gamma")]
+
+
+def test_facts_of_one_symbol_mix_actions(spark):
+    old = _files(spark, {"a": "alpha\nbeta\nuser alpha beta\nlast alpha"})
+    new = _files(spark, {"a": "alpha\nuser alpha beta gamma\nlast alpha\ngamma"})
+    t = maintain.Transition.of(old, new)
+    got = maintain.fact_actions(t.old.refs, maintain.rebuild(new).refs, t)
+    assert rows(got, "symbol", "action") == [("alpha", "added"), ("alpha", "changed"), ("alpha", "deleted"), ("beta", "deleted"), ("gamma", "added")]
+
+
+def test_graph_maintainer_follows_a_stream_and_survives_a_repeat(spark, tmp_path):
+    start = {"a": "alpha uses beta\nbeta calls alpha", "b": "gamma sees alpha"}
+    m = feeds.GraphMaintainer(spark, str(tmp_path / "graph"))
+    m.start(_files(spark, start))
+    batches = [{"a": "alpha uses beta\nnew line\nbeta calls gamma"}, {"b": None, "c": "delta calls alpha beta"}]
+    schema = "repo string, lang string, path string, lines array<string>"
+    for i, b in enumerate(batches):
+        edits = [("r@1", "en", p, x.split("\n") if x is not None else None) for p, x in b.items()]
+        spark.createDataFrame(edits, schema).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+        s = spark.readStream.schema(schema).parquet(str(tmp_path / "in"))
+        feeds.maintain(s, m.apply, str(tmp_path / "ck")).awaitTermination()
+        if i == 0:  # a crash after the patch and before its mark
+            m.apply(spark.createDataFrame(edits, schema), 0)
+    now = {"a": batches[0]["a"], "c": batches[1]["c"]}
+    texts, g = m.read(2)
+    assert {r.path for r in texts.collect()} == set(now)
+    assert rows(maintain.facts(g), "tag", "payload") == rows(maintain.facts(maintain.rebuild(_files(spark, now))), "tag", "payload")
+    with pytest.raises(ValueError):
+        m.read(9)
+
+
+def test_arms_against_the_rebuild(spark):
+    """Replay after a reload agrees wherever the graph matches; the vector index replays its top ten exactly."""
+    from ctxviews.queries import QUERIES
+
+    m = {(r.repo, r.lang): r for r in upkeep.graph_match(spark, DATA).collect()}
+    for r in QUERIES["q4_replay"](spark, DATA).collect():
+        if r.arm == "closure" or m[r.repo, r.lang].symbol_match:
+            assert r.agreement == 1
+    v = QUERIES["q4_vector_match"](spark, DATA).collect()
+    assert v and all(r.identities and r.vectors and r.ordered and r.sets for r in v)
+    assert all((r["index"] == "rebuild") == (r.encoded > dense.REBUILD_SHARE) for r in v)
+
+
+# --- navigation, delivery, costs --------------------------------------------------------------------
+
+
+def test_enclosing_node_answers_where_there_is_no_occurrence(spark):
+    occ = spark.createDataFrame([("r", "l", "p", 0, 0, "alpha", 1), ("r", "l", "p", 3, 0, "beta", 1), ("r", "l", "q", 0, 2, "alpha", 2)], "repo string, lang string, path string, line int, col int, symbol string, role int")
+    reqs = spark.createDataFrame([("1", "r", "l", "definition", "p", 2, 5), ("2", "r", "l", "definition", "q", 0, 2), ("3", "r", "l", "definition", "q", 0, 7)], "req_id string, repo string, lang string, capability string, path string, line int, col int")
+    got = {r.req_id: (r.locs, r.granularity, r.version) for r in navigate.static(reqs, occ, "v7").collect()}
+    assert got == {"1": (["p:0"], "enclosing", "v7"), "2": (["p:0"], "occurrence", "v7"), "3": ([], "none", "v7")}
+
+
+def test_answer_recall_takes_five_distinct_spans(spark):
+    span = "array<struct<path: string, start: int, end: int>>"
+    many = [("p", 1, 1)] * 4 + [("p", i, i) for i in range(2, 6)] + [("q", 0, 9)]
+    t = spark.createDataFrame([("1", "a", "grep", 1, many), ("2", "a", "grep", 1, [("q", 0, 9)]), ("3", "a", "grep", 1, [])], f"query_id string, agent string, policy string, k int, spans {span}")
+    want = spark.createDataFrame([("1", "p", 5, 8), ("1", "q", 4, 4), ("2", "q", 4, 4), ("3", "q", 4, 4)], "query_id string, path string, start int, end int")
+    assert rows(delivery.answer_recall(t, want), "query_id", "recall") == [("1", 0.5), ("2", 1.0), ("3", 0.0)]
+
+
+def test_turns_are_counted_by_invocation(spark):
+    conv = [(1, 2 * i, "user", "x") for i in range(20)] + [(1, 2 * i + 1, "assistant", "y") for i in range(20)] + [(1, 100, "system", "late")]
+    m = delivery.messages(spark.createDataFrame(conv, "conv_id long, turn long, role string, text string"))
+    assert m.filter("role = 'completion'").count() == delivery.MAX_TURNS and m.agg(F.max("turn")).first()[0] == 31
+
+
+def test_amortization_needs_a_saving(spark):
+    c = spark.createDataFrame([("flat", 6.0, 0.9), ("ivf", 900.0, 0.2), ("hnsw", 2000.0, 1.0)], "family string, build_ms double, search_ms double")
+    assert rows(costs.amortize(c), "family", "searches") == [("hnsw", None), ("ivf", 1278)]
+
+
+def test_qualified_fastest(spark):
+    c = spark.createDataFrame([("ivf", "0.1", 0.88, 0.1), ("ivf", "0.25", 0.96, 0.2), ("ivf", "0.5", 0.99, 0.4), ("hnsw", "16", 0.9, 0.1)], "family string, config string, overlap double, ms double")
+    assert rows(metrics.qualified_fastest(c, 0.95), "family", "config") == [("ivf", "0.25")]
+
+
+def test_index_cells_against_brute_force(spark):
+    from ctxviews.plans import measure
+
+    v = table(spark, DATA, "embeddings").filter("label < 3")
+    got = measure.index_cells(v, "label", 3).collect()
+    assert {r.family for r in got} == {"flat", "ivf", "hnsw"} and len({r["index"] for r in got}) == 3
+    assert all(r.neighbor_recall == 1 for r in got if r.family == "flat" or r.config == "1.0")
+    assert all(r.search_ms > 0 and r.build_ms >= 0 and r.bytes > 0 for r in got)
+
+
+def test_compositions_and_budgets(spark):
+    from ctxviews.queries import plans as plan_queries
+
+    v, q = plan_queries.views(spark, DATA, edges=True), views.full_queries(spark, DATA).limit(4)
+    p = plan_queries.pipelines(v, q)
+    assert [n for n, _ in p["dense-expand-fuse-rerank"].steps] == ["dense", "expand and fuse", "rerank"]
+    dense_top = rows(p["dense"](q), "query_id", "vid", "rank")
+    assert len(dense_top) == 40
+    lst = plan.dense_list(v, q, 50)
+    cut = plan.equal_budget({"a": lst, "b": lst}, 7)
+    assert {r["count"] for r in cut.groupBy("arm", "query_id").count().collect()} == {7}
+
+
+def test_builders_fail_without_their_preparation(spark, tmp_path):
+    u = spark.createDataFrame([("u", "text")], "unit_id string, text string")
+    b = {"lexical": catalog.builder("lexical", u, lambda x: x), "structural": catalog.builder("structural", u, lambda x: x), "dense": catalog.builder("dense", None, lambda x: x)}
+    got = {e.view: e for e in catalog.materialize(str(tmp_path), "v", b)}
+    assert got["lexical"].status == "ok" and got["structural"].status == got["dense"].status == "failed"
+    assert "BuildPreparationMissing" in got["structural"].error and "unit_id" in got["dense"].error
+
+
+def test_nine_tools_return_one_shape(spark):
+    from ctxviews.plans.corpus import Corpus
+
+    c = Corpus(spark, DATA)
+    v, o = c.views(edges=True), c.occurrences()
+    box = tools.Toolbox(v, o, entries=[catalog.Entry("lexical", "ok")])
+    s = o.filter("role = 1").orderBy("path", "line").first()
+    e = v.edges.filter("etype = 'reference' and src <> dst").orderBy("src", "dst").first()
+    some = v.units.orderBy("unit_id").first().text
+    asked = {"bm25_search": some, "semantic_search": some, "regex_search": "[a-z]+", "trigram_search": some[:20], "definition": s.symbol, "references": s.symbol, "dependencies": e.src, "route": e.src, "catalog": ""}
+    assert set(asked) == set(tools.NEEDS)
+    for name, text in asked.items():
+        got = box.call(name, text, 3, to=e.dst)
+        assert got.columns == ["path", "start", "snippet", "score"] and got.count() >= 1, name
+    assert tools.Toolbox(v, o, compact=True).call("definition", s.symbol).filter("snippet is not null").count() == 0
+    with pytest.raises(catalog.ViewUnavailable):
+        tools.Toolbox(v, o, frozenset({"text_search"})).call("route", e.src, to=e.dst)

@@ -39,6 +39,7 @@ def test_same_rows(spark, duck, name):
     assert a == b
 
 
-@pytest.mark.parametrize("name", sorted(set(registry.QUERIES) - set(registry.ORACLE_SQL) - {"q1_rerank_recall", "q1_encoder_features", "q1_graph_heldout"}))
+@pytest.mark.parametrize("name", sorted(set(registry.QUERIES) - set(registry.ORACLE_SQL)))
 def test_runs(spark, name):
-    assert registry.QUERIES[name](spark, DATA).columns
+    """Queries without SQL are run to their last row; what they must hold is in the other modules."""
+    registry.QUERIES[name](spark, DATA).write.format("noop").mode("overwrite").save()
