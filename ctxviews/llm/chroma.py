@@ -8,7 +8,9 @@ errors is small, the one with the least errors decides.  Votes alone do not: sil
 or held passages vote for every offset between them.
 
 Null, empty and too short recordings have no integers and align with nothing.
-Recordings with the same fingerprint form a class that is compared once.
+Recordings with the same fingerprint form a class that is compared once.  Repeated rows
+are rows of one class; a row without an id is in its class but never a query; an empty
+table gives no rows.  Columns of ours never meet the table's.
 """
 
 from __future__ import annotations
@@ -203,11 +205,10 @@ def search(prints: DataFrame, spark: SparkSession, every: int = 100, id_col: str
     """
     ship(spark)
     classes = keep(prints.filter("n_items > 0").groupBy("fp_sha256").agg(F.min(id_col).cast("long").alias("class_id"), F.first("fp").alias("fp"), F.max((F.col(id_col) % every == 0).cast("int")).alias("asked")), spark)
-    asked = [r.class_id for r in classes.filter("asked = 1").select("class_id").orderBy("class_id").toLocalIterator()]
-    found = None
-    for a in range(0, len(asked), QUERY_BLOCK):
-        lo, hi = asked[a], asked[min(a + QUERY_BLOCK, len(asked)) - 1]
-        block = classes.filter(F.col("asked") == 1).filter(F.col("class_id").between(lo, hi)).select("class_id", "fp").orderBy("class_id").collect()
+    asked = classes.filter("asked = 1").select("class_id", "fp")
+    blocks, found = -(-asked.count() // QUERY_BLOCK), None
+    for n in range(blocks):  # about QUERY_BLOCK classes each, dealt by hash
+        block = asked.filter(F.pmod(F.xxhash64("class_id"), F.lit(blocks)) == n).orderBy("class_id").collect()
         shared = spark.sparkContext.broadcast(([r.class_id for r in block], [np.frombuffer(r.fp, "<u4") for r in block]))
 
         def run(batches, shared=shared):
