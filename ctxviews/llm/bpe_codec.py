@@ -8,7 +8,8 @@ used a merge never makes a pair of a lower rank (checked when the file is read),
 so this is the same as merging word by word.
 
 Null and empty texts have no tokens.  Text of any length is encoded whole; words
-are encoded once for each partition's working set.
+are encoded once for each partition's working set.  Repeated rows are encoded each,
+null ids are carried, an empty table gives no rows; no other column is read.
 """
 
 from __future__ import annotations

@@ -8,7 +8,9 @@ flags a text as ambiguous when two codewords are about as near.
 Training uses a bounded sample of labelled rows (TRAIN_ROWS); prediction reads
 whole texts.  A null text, or one without a letter, is `und` with score 0 and is
 not ambiguous.  With no labelled rows every text is `und`; with one language
-every text with a letter is that language.
+every text with a letter is that language.  Of codewords with equal loss the first
+language by name wins.  Repeated rows are told each and alike, null ids are carried, an
+empty table gives no rows; carried columns may have any names but those returned.
 """
 
 from __future__ import annotations

@@ -9,7 +9,8 @@ fitted on rows set aside makes the scores probabilities.
 Vectors and network come from a bounded sample of labelled rows (TRAIN_ROWS);
 scoring reads whole texts.  Null and empty texts have zero vectors and get the
 network's score for those; with labels of one kind only, that label's share is
-the score.
+the score.  Repeated rows are scored each and alike, null ids are carried (and never
+labelled), an empty table gives no rows; carried columns may have any name but score.
 """
 
 from __future__ import annotations

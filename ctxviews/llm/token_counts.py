@@ -11,7 +11,8 @@ their bytes (byte fallback).
 No piece of the vocabulary has a word-start mark after another character (checked
 when it is read; otherwise texts are not cut), so words are independent and each
 distinct word is solved once for a partition's working set.  Null and empty texts
-have no tokens; texts of any length are counted whole.
+have no tokens; texts of any length are counted whole.  Repeated rows are counted
+each, null ids are carried, an empty table gives no rows; no other column is read.
 """
 
 from __future__ import annotations
@@ -47,7 +48,7 @@ class UnigramCounter:
         self.unknown = min(s for _, s in pieces) - UNKNOWN_PENALTY
         known = {p for p, _ in pieces}
         self.bytes = all(f"<0x{b:02X}>" in known for b in range(256))
-        apart = not any(MARK in p.lstrip(MARK) for p in known) and float(sum(abs(s) for _, s in pieces)).is_integer()
+        apart = not any(MARK in p.lstrip(MARK) for p in known) and all(float(s).is_integer() for _, s in pieces)
         self.cut = regex.compile(f"{MARK}+[^{MARK}]*|[^{MARK}]+") if apart else None
         self.held: dict[str, int] = {}
 
