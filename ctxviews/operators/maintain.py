@@ -36,14 +36,15 @@ def token_index(v: DataFrame) -> DataFrame:
     return t.filter(F.length("symbol") >= LEAST_SYMBOL)
 
 
-def _declared(t: DataFrame) -> DataFrame:
+def declared(t: DataFrame) -> DataFrame:
     return t.filter("col = 0").select(*SNAP, "path", "line", "symbol")
 
 
-def _resolve(uses: DataFrame, decl: DataFrame) -> DataFrame:
-    """References of uses whose symbol is declared; both sides hold the same symbols."""
+def resolve(uses: DataFrame, decl: DataFrame) -> DataFrame:
+    """References of the uses (col > 0) whose symbol is declared."""
+    uses = uses.filter("col > 0").join(decl.select(*SNAP, "symbol").distinct(), [*SNAP, "symbol"], "left_semi")
     role = lambda df, r: df.select(*SNAP, "path", "line", "col", "symbol", F.lit(r).alias("role"))
-    return structure.references(role(decl.withColumn("col", F.lit(0)), DECLARES).unionByName(role(uses.filter("col > 0"), USES)))
+    return structure.references(role(decl.withColumn("col", F.lit(0)), DECLARES).unionByName(role(uses, USES)))
 
 
 def imports_of(refs: DataFrame) -> DataFrame:
@@ -64,8 +65,8 @@ class Graph:
 def rebuild(v: DataFrame, keep: Keep = lambda df: df) -> Graph:
     """The graph of files (repo, lang, path, lines) from nothing but their texts."""
     t = keep(token_index(v))
-    decl = _declared(t)
-    refs = keep(_resolve(_semi(t, decl, ["symbol"]), decl))
+    decl = declared(t)
+    refs = keep(resolve(t, decl))
     return Graph(v.select(*SNAP, "path"), t, decl, refs, imports_of(refs))
 
 
@@ -107,7 +108,7 @@ def classify(t: Transition) -> DataFrame:
         return decl.withColumn("ordinal", F.row_number().over(w)).select(*SNAP, "path", "symbol", "ordinal", F.col("line").alias(name))
 
     old = mapped(side(_semi(t.old.decl, t.changed, ["path"]), "old_line"), t.hunks, "path", "old_line", "mapped")
-    j = old.join(side(_declared(t.fresh), "new_line"), [*SNAP, "path", "symbol", "ordinal"], "full")
+    j = old.join(side(declared(t.fresh), "new_line"), [*SNAP, "path", "symbol", "ordinal"], "full")
     ranges = t.hunks.groupBy(*SNAP, "path").agg(F.collect_list(F.struct("new_start", "new_len")).alias("rs"))
     j = j.join(ranges, [*SNAP, "path"], "left")
     touched = F.coalesce(F.exists("rs", lambda r: (F.col("new_line") >= r["new_start"]) & (F.col("new_line") < r["new_start"] + r["new_len"])), F.lit(False))
@@ -134,7 +135,7 @@ def vertices(t: Transition, listed: DataFrame | None = None) -> DataFrame:
     listed: what a backend reports for changed files (by default their head tokens).  An
     old symbol that it leaves out stays if its declaration line was not edited.
     """
-    here = _declared(t.fresh)
+    here = declared(t.fresh)
     if listed is not None:
         old = mapped(_semi(t.old.decl, t.changed.filter("kind = 'modified'"), ["path"]), t.hunks, "path", "line", "to_line").filter("to_line is not null")
         kept = old.select(*SNAP, "path", F.col("to_line").alias("line"), "symbol").join(listed, [*SNAP, "path", "line", "symbol"], "left_anti")
@@ -160,11 +161,11 @@ def edited(t: Transition, at: DataFrame) -> DataFrame:
 def _patched(t: Transition, decl: DataFrame, kept: DataFrame, uses: DataFrame, keep: Keep) -> Graph:
     """The target's graph: kept edges and the uses resolved again; imports are derived anew only in files whose edges changed."""
     uses = keep(uses.filter("col > 0"))
-    found = keep(_resolve(uses, _semi(decl, uses, ["symbol"])))
+    found = keep(resolve(uses, _semi(decl, uses, ["symbol"])))
     lost = _semi(t.old.refs, uses, ["symbol"]).select(*SNAP, "path")
-    paths = keep(t.changed.select(*SNAP, "path").unionByName(found.select(*SNAP, "path")).unionByName(lost).distinct())
-    paths = paths.unionByName(_semi(t.old.refs, t.changed.select(*SNAP, F.col("path").alias("def_path")), ["def_path"]).select(*SNAP, "path")).distinct()
-    refs = keep(kept.unionByName(found))
+    into = _semi(t.old.refs, t.changed.select(*SNAP, F.col("path").alias("def_path")), ["def_path"]).select(*SNAP, "path")
+    paths = keep(t.changed.select(*SNAP, "path").unionByName(found.select(*SNAP, "path")).unionByName(lost).unionByName(into).distinct())
+    refs = kept.unionByName(found)
     files = _semi(t.old.files, t.changed, ["path"], "left_anti").unionByName(t.changed.filter("kind <> 'deleted'").select(*SNAP, "path"))
     toks = _semi(t.old.tokens, t.changed, ["path"], "left_anti").unionByName(t.fresh)
     imports = _semi(t.old.imports, paths, ["path"], "left_anti").unionByName(imports_of(_semi(refs, paths, ["path"])))
@@ -174,7 +175,7 @@ def _patched(t: Transition, decl: DataFrame, kept: DataFrame, uses: DataFrame, k
 def replace_files(t: Transition, keep: Keep = lambda df: df) -> Graph:
     """Drop and re-extract changed files; reconnect all their symbols and outgoing edges."""
     decl = keep(vertices(t))
-    own = keep(_declared(t.fresh).select(*SNAP, "symbol").distinct())
+    own = keep(declared(t.fresh).select(*SNAP, "symbol").distinct())
     kept = _semi(_semi(t.old.refs, t.changed, ["path"], "left_anti"), own, ["symbol"], "left_anti")
     kept = kept.join(t.changed.select(*SNAP, F.col("path").alias("def_path")), [*SNAP, "def_path"], "left_anti")
     back = _semi(_semi(t.old.tokens, own, ["symbol"]), t.changed, ["path"], "left_anti")

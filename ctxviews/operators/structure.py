@@ -49,7 +49,11 @@ def references(occ: DataFrame) -> DataFrame:
 
 def edges(occ: DataFrame) -> DataFrame:
     """reference edges between lines, and an import edge for a file's first use of a symbol declared elsewhere."""
-    refs = references(occ)
+    return edges_of(references(occ))
+
+
+def edges_of(refs: DataFrame) -> DataFrame:
+    """The edges of resolved references."""
     ref = refs.select(*SNAP, _vid("path", "line").alias("src"), _vid("def_path", "def_line").alias("dst"), F.lit("reference").alias("etype"), F.col("path").alias("anchor_file"), F.col("line").alias("anchor_line"), F.col("col").alias("anchor_col"))
     first = refs.filter("path <> def_path").groupBy(*SNAP, "path", "symbol", "def_path").agg(F.min(F.struct("line", "col")).alias("a"))
     imp = first.select(*SNAP, F.col("path").alias("src"), F.col("def_path").alias("dst"), F.lit("import").alias("etype"), F.col("path").alias("anchor_file"), F.col("a.line").alias("anchor_line"), F.col("a.col").alias("anchor_col"))

@@ -42,7 +42,7 @@ class Corpus:
         return self._put("references", lambda: structure.references(self.occurrences()))
 
     def edges(self) -> DataFrame:
-        return self._put("edges", lambda: structure.edges(self.occurrences()), by=["etype", "src"])
+        return self._put("edges", lambda: structure.edges_of(self.references()), by=["etype", "src"])
 
     def views(self, e: dense.Encoder | None = dense.ENCODERS[2], edges: bool = False, level: int = 2) -> Views:
         """Handles for ranked plans; what a plan does not need is not built."""

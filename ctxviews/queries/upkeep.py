@@ -116,8 +116,9 @@ def graph(spark, d, side: str):
     v = both(spark, d)[side == "new"]
     put = lambda name, build: stored(spark, d, f"{side}-graph-{name}", build)
     t = put("tokens", lambda: maintain.token_index(v))
-    made = lambda: maintain.rebuild(v)
-    return maintain.Graph(put("files", lambda: made().files), t, put("decl", lambda: maintain._declared(t)), put("refs", lambda: made().refs), put("imports", lambda: made().imports))
+    decl = put("decl", lambda: maintain.declared(t))
+    refs = put("refs", lambda: maintain.resolve(t, decl))
+    return maintain.Graph(put("files", lambda: v.select("repo", "lang", "path")), t, decl, refs, put("imports", lambda: maintain.imports_of(refs)))
 
 
 def transition(spark, d):
@@ -201,7 +202,7 @@ def _(spark, d):
 def _(spark, d):
     """Vertices if the backend lists only symbols of six letters or more: the others stay where their line was not edited."""
     t = transition(spark, d)
-    listed = maintain._declared(t.fresh).filter("length(symbol) >= 6")
+    listed = maintain.declared(t.fresh).filter("length(symbol) >= 6")
     return maintain.vertices(t, listed)
 
 
