@@ -11,10 +11,11 @@ SCHEMA = "seq long, at double, session string, event string, view string, provid
 
 class Trace:
     def __init__(self, session: str):
-        self.session, self.rows = session, []
+        self.session, self.rows, self.seq = session, [], 0
 
     def add(self, event: str, view: str | None = None, provider: str | None = None, prompt: int = 0, completion: int = 0) -> None:
-        self.rows.append((len(self.rows), time.time(), self.session, event, view, provider, prompt, completion))
+        self.rows.append((self.seq, time.time(), self.session, event, view, provider, prompt, completion))
+        self.seq += 1
 
     def append(self, spark: SparkSession, path: str) -> DataFrame:
         """Write the events so far behind those of earlier calls."""

@@ -2,4 +2,4 @@
 
 from __future__ import annotations
 
-from ctxviews.queries import ORACLE_SQL, QUERIES, delivery, measured, operators, plans, upkeep, views  # noqa: F401
+from ctxviews.queries import ORACLE_SQL, QUERIES, contracts, delivery, measured, operators, plans, upkeep, views  # noqa: F401

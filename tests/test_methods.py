@@ -231,6 +231,7 @@ def test_trace(spark, tmp_path):
     t.add("call", provider="static", prompt=3, completion=1)
     t.append(spark, str(tmp_path / "t"))
     assert spark.read.parquet(str(tmp_path / "t")).agg(F.sum("prompt_tokens")).first()[0] == 3
+    assert rows(spark.read.parquet(str(tmp_path / "t")), "seq", "event") == [(0, "open"), (1, "call")]
 
 
 def test_lexical_delta_is_rebuild(spark):
