@@ -29,6 +29,7 @@ def _apart(docs: DataFrame) -> DataFrame:
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Rows whose score reaches LEAST_QUALITY stay, repeated ones too; null and empty texts get the network's score for those."""
     labels = table(spark, sf_dir, "labels").filter(F.crc32(F.col("doc_id").cast("string")) % 5 != 0)
     model = quality.fit(docs, labels, spark)
     own = _apart(docs)
@@ -38,6 +39,8 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Rows in a language stay, repeated ones too; texts without a letter (null and empty ones) go, and so do
+    ambiguous texts with a score under LEAST_LANGUAGE."""
     model = language_id.fit(docs.filter(F.crc32(F.col("doc_id").cast("string")) % 4 != 2), spark)
     own = _apart(docs)
     text = own.columns[docs.columns.index("text")]
@@ -79,6 +82,7 @@ def repeat_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every row's pieces; an empty table gives none, a text without tokens its end id alone."""
     return packing.pack(docs, spark, public_tokenizers.path("byte_bpe_50k.json"))
 
 

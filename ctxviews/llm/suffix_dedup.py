@@ -26,7 +26,8 @@ symbols that repeat.  The strings of w words in what the suffix arrays found are
 by hash once more, with their last word, and only repeated ones go.
 
 Null and empty texts have no bytes and no spans.  Texts shorter than `length` are
-kept whole.  Repeated rows count as further occurrences.
+kept whole.  Repeated rows count as further occurrences, and each gets the same result;
+rows without an id are told apart by their texts.  An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -108,6 +109,18 @@ def runs(data: np.ndarray, size: np.ndarray, length: int, k: int):
     return doc, i0 - begin, i1 - begin, p - begin, anchor.view(np.int64), context.view(np.int64)
 
 
+def gathered(doc, i0, i1, p, anchor, ctx) -> tuple[np.ndarray, np.ndarray, list]:
+    """(first of each document's equal contexts, how many there are, their first windows if more than one)."""
+    order = np.lexsort((i0, ctx, anchor, doc))
+    same = (np.diff(doc[order]) == 0) & (np.diff(anchor[order]) == 0) & (np.diff(ctx[order]) == 0)
+    cut = np.flatnonzero(np.concatenate([[True], ~same]))
+    times = np.diff(np.append(cut, len(order)))
+    more: list = [None] * len(cut)
+    for g in np.flatnonzero(times > 1).tolist():
+        more[g] = i0[order[cut[g] : cut[g] + times[g]]]
+    return order[cut], times, more
+
+
 def repeated_windows(pieces: list[np.ndarray], length: int) -> list[tuple[int, int, int]]:
     """(number of the piece, first, last) of runs of windows of `length` symbols that also start elsewhere in the pieces.
 
@@ -142,7 +155,8 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
     Symbols are bytes, or words with the white space that follows them.
     """
     ship(spark)
-    k = k or length // 2
+    # Words tell more than bytes: shorter anchors are as rare, and there are fewer of them.
+    k = k or max(1, length // (4 if by_word else 2))
     symbols, kind = (word_symbols, np.uint64) if by_word else (byte_symbols, np.uint8)
     width = np.dtype(kind).itemsize
     keyed = docs.withColumn("ctxviews_k1", F.xxhash64(docs[id_col], docs[text_col])).withColumn("ctxviews_k2", F.hash(docs[id_col], docs[text_col]))
@@ -155,18 +169,22 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
             k1, k2 = pdf["k1"].to_numpy(), pdf["k2"].to_numpy()
             for first, raw in steps(pdf["t"].tolist()):
                 if (r := runs(*symbols(raw), length, k)) is not None:
-                    yield pd.DataFrame({"k1": k1[first + r[0]], "k2": k2[first + r[0]], "i0": r[1], "i1": r[2], "p": r[3], "anchor": r[4], "ctx": r[5]})
+                    at, times, more = gathered(*r)
+                    doc, i0, i1, p, anchor, ctx = (x[at] for x in r)
+                    yield pd.DataFrame({"k1": k1[first + doc], "k2": k2[first + doc], "i0": i0, "i1": i1, "p": p, "anchor": anchor, "ctx": ctx, "times": times, "more": more})
 
-    occ = keep(source.mapInPandas(find, "k1 long, k2 int, i0 long, i1 long, p long, anchor long, ctx long"), spark)
+    # A context that a document repeats is one row with all its places: text that goes round and round stays small.
+    occ = keep(source.mapInPandas(find, "k1 long, k2 int, i0 long, i1 long, p long, anchor long, ctx long, times long, more array<long>"), spark)
     one = F.xxhash64("k1", "k2", "i0")
-    ctxs = occ.groupBy("anchor", "ctx").agg(F.count("*").alias("n"), F.min(one).alias("pick"))
+    ctxs = occ.groupBy("anchor", "ctx").agg(F.sum("times").alias("n"), F.min(one).alias("pick"))
     ctxs = keep(ctxs, spark)
     totals = ctxs.groupBy("anchor").agg(F.sum("n").alias("total"), F.count("*").alias("m"), F.sum((F.col("n") == 1).cast("long")).alias("lone")).filter("total > 1")
     known = keep(ctxs.join(totals, "anchor").select("anchor", "ctx", "n", "pick", "m", "lone"), spark)
     release(spark, ctxs)
     hit = keep(occ.join(known, ["anchor", "ctx"]).withColumn("one", one), spark)
     release(spark, occ)
-    whole = hit.filter("n > 1").select("k1", "k2", F.col("i0").alias("a"), (F.col("i1") + length).alias("b"))
+    places = F.coalesce("more", F.array("i0"))
+    whole = hit.filter("n > 1").select("k1", "k2", F.transform(places, lambda s: F.struct(s.alias("a"), (s + F.col("i1") - F.col("i0") + length).alias("b"))).alias("spans"))
 
     sort = hit.filter("lone > 0 and m > 1 and (n = 1 or one = pick)")
     # A document's windows to be cut, as integers: first and last window, anchor (its complement if the context repeats).
@@ -256,24 +274,29 @@ def removed(docs: DataFrame, spark: SparkSession, length: int = 400, k: int | No
                 x = np.arange(len(s) - step)
                 yield pd.DataFrame({"k1": k1, "k2": k2, "at": at + x, "n": n, "c": c, "h": span_hash(prefix_hash(s), x, x + step + 1).view(np.int64)})
 
-    ranges = whole.union(sorted_)
+    ranges = whole.union(_lists(sorted_))
     if cores.filter(F.col("s") > HOT_SLOTS).limit(1).count():
         hot = met.filter(F.col("s") > HOT_SLOTS).mapInPandas(window_hashes, "k1 long, k2 int, at long, n long, c long, h long")
         twice = hot.groupBy("c", "h").agg(F.count("*").alias("times")).filter("times > 1").select("c", "h")
-        ranges = ranges.union(hot.join(twice, ["c", "h"], "left_semi").filter("n = 1").select("k1", "k2", F.col("at").alias("a"), (F.col("at") + length).alias("b")))
+        ranges = ranges.union(_lists(hot.join(twice, ["c", "h"], "left_semi").filter("n = 1").select("k1", "k2", F.col("at").alias("a"), (F.col("at") + length).alias("b"))))
     spans = _merged(ranges, spark)
     release(spark, hit, known, wanted, slots, cores)
     return keyed, spans
 
 
+def _lists(ranges: DataFrame) -> DataFrame:
+    """Rows (k1, k2, a, b) as rows (k1, k2, spans)."""
+    return ranges.select("k1", "k2", F.array(F.struct("a", "b")).alias("spans"))
+
+
 def _merged(ranges: DataFrame, spark: SparkSession) -> DataFrame:
-    """(k1, k2, spans) with the maximal runs of each document's ranges (k1, k2, a, b)."""
+    """(k1, k2, spans) with the maximal runs of each document's ranges, from rows with some of its spans."""
 
     def run(batches):
         for pdf in batches:
             yield pdf.assign(spans=[[{"a": a, "b": b} for a, b in merge(s)] for s in pdf["spans"]])
 
-    lists = ranges.groupBy("k1", "k2").agg(F.collect_list(F.struct("a", "b")).alias("spans"))
+    lists = ranges.groupBy("k1", "k2").agg(F.flatten(F.collect_list("spans")).alias("spans"))
     return keep(lists.mapInPandas(run, "k1 long, k2 int, spans array<struct<a: long, b: long>>"), spark)
 
 
@@ -322,7 +345,7 @@ def removed_words(docs: DataFrame, spark: SparkSession, n: int, text_col: str =
     seen = keep(fetch.select("k1", "k2", "t", "spans").mapInPandas(find, "k1 long, k2 int, a long, b long, h long, g long"), spark)
     twice = keep(seen.groupBy("h", "g").agg(F.count("*").alias("times")).filter("times > 1").select("h", "g"), spark)
     ranges = seen.join(small(twice, spark), ["h", "g"], "left_semi")
-    out = _merged(ranges, spark)
+    out = _merged(_lists(ranges), spark)
     release(spark, spans, seen, twice)
     return keyed, out
 
