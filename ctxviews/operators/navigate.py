@@ -47,13 +47,21 @@ def normalize(found: DataFrame, reqs: DataFrame) -> DataFrame:
 
 def _answers(reqs: DataFrame, defs: DataFrame, uses: DataFrame, key: str) -> DataFrame:
     """Definitions: nearest before in the file first, then by address.  References: all tokens and the
-    declaration, by address; the same for every request of a symbol, so they are cut once for each symbol."""
-    d = reqs.filter("capability = 'definition'").join(defs.select(*SNAP, key, F.col("path").alias("loc_path"), F.col("line").alias("loc_line")), [*SNAP, key])
-    near = (F.col("loc_path") == F.col("path")) & (F.col("loc_line") <= F.col("line"))
-    d = d.withColumn("far", F.when(near, 0).otherwise(1)).withColumn("place", F.when(near, -F.col("loc_line")).otherwise(0))
+    declaration, by address; the same for every request of a symbol, so they are cut once for each symbol.
+
+    Of a symbol's declarations only those before the request in its file, and the first 2 * limit by
+    address, can be among the first `limit`: fewer than `limit` of the latter are near ones.
+    """
+    by = W.partitionBy(*SNAP, key).orderBy("loc_path", "loc_line")
+    named = reqs.filter("capability = 'definition'")
+    places = defs.select(*SNAP, key, F.col("path").alias("loc_path"), F.col("line").alias("loc_line"))
+    near = named.join(places.withColumn("path", F.col("loc_path")), [*SNAP, key, "path"]).filter(F.col("loc_line") <= F.col("line")).withColumn("far", F.lit(0)).withColumn("place", -F.col("loc_line"))
+    early = places.withColumn("at", F.row_number().over(by)).filter(F.col("at") <= 2 * LIMITS["definition"]).drop("at")
+    far = named.join(early, [*SNAP, key]).filter((F.col("loc_path") != F.col("path")) | (F.col("loc_line") > F.col("line"))).withColumn("far", F.lit(1)).withColumn("place", F.lit(0))
+    d = near.unionByName(far)
     asked = reqs.filter("capability = 'references'")
     u = uses.select(*SNAP, key, F.col("path").alias("loc_path"), F.col("line").alias("loc_line")).join(asked.select(*SNAP, key).distinct(), [*SNAP, key], "left_semi").distinct()
-    first = u.withColumn("at", F.row_number().over(W.partitionBy(*SNAP, key).orderBy("loc_path", "loc_line"))).filter(F.col("at") <= LIMITS["references"])
+    first = u.withColumn("at", F.row_number().over(by)).filter(F.col("at") <= LIMITS["references"])
     r = asked.join(first, [*SNAP, key]).withColumn("far", F.lit(0)).withColumn("place", F.lit(0))
     return limited(d.unionByName(r.drop("at")).select("req_id", "capability", "far", "place", "loc_path", "loc_line"))
 
