@@ -15,6 +15,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ctxviews.functions.ship import ship
 from ctxviews.functions.text import digest, md5_number, tokens
 from ctxviews.operators import lists
 from ctxviews.operators.lexical import top
@@ -278,6 +279,7 @@ def search_hnsw(q: DataFrame, vectors: DataFrame, k: int, efs: tuple[int, ...] =
     """ef, query_id, vec_id, score, rank: a graph for each shard of about SHARD vectors, searched where it is
     built, merged by rank.  Queries are a batch; more than ASKED go in several passes."""
     spark = vectors.sparkSession
+    ship(spark)
     shards = shards or max(1, -(-vectors.count() // SHARD))
     asked = q.select("vec_id", "embedding").orderBy("vec_id").collect()
     shard = F.pmod(md5_number(F.col("vec_id").cast("string")), F.lit(shards))

@@ -17,6 +17,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ctxviews.functions.ship import ship
+
 BLOCK, BLOCKS = 1024, 16
 #: Units scored together, and features up to which a block becomes a dense matrix.
 UNITS, DENSE = 2048, 2048
@@ -97,6 +99,7 @@ def search(vectors: DataFrame, queries: DataFrame, k: int, key: str = "unit_id")
     query are not among its best.  A query's features must be distinct.
     """
     spark = vectors.sparkSession
+    ship(spark)
     rows = queries.select("query_id", "f", "w").filter("w is not null and f is not null").collect()
     ids = sorted({r.query_id for r in rows})
     kind = dict(vectors.dtypes)[key]

@@ -8,6 +8,7 @@ from collections import Counter
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ctxviews.functions.ship import ship
 from ctxviews.functions.text import md5_number
 
 
@@ -182,6 +183,8 @@ def hunks(old: DataFrame, new: DataFrame, changed: DataFrame) -> DataFrame:
     keys = ["repo", "lang", "path"]
     pairs = old.join(mod, keys, "left_semi").withColumnRenamed("lines", "a").join(new.join(mod, keys, "left_semi").withColumnRenamed("lines", "b"), keys)
 
+    ship(old.sparkSession)
+
     def run(batches):
         import pandas as pd
 

@@ -14,6 +14,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ctxviews.functions.ship import ship
 from ctxviews.operators import dense, lists, maintain, metrics, navigate, units, versions
 from ctxviews.plans import store
 from ctxviews.plans.corpus import Corpus
@@ -110,6 +111,8 @@ def cell_rows(name: str, ids: np.ndarray, x: np.ndarray, k: int = 10, repeats: i
 def index_cells(vectors: DataFrame, group: str, repeats: int = REPEATS) -> DataFrame:
     """CELL rows of one index for each value of `group` (vec_id, embedding); an index fits one task, as it is served."""
 
+    ship(vectors.sparkSession)
+
     def run(pdf):
         import pandas as pd
 
@@ -127,6 +130,7 @@ def family_means(cells: DataFrame) -> DataFrame:
 def line_cells(spark: SparkSession, sf_dir: str, targets: DataFrame, queries: DataFrame, dim: int = 256) -> DataFrame:
     """The second vector set: each snapshot's lines under a hashed encoder, searched for the queries that have a
     target there.  CELL rows with `kept`: whether the target files among the first ten lines are Flat's, for each cell."""
+    ship(spark)
     e = next(x for x in dense.ENCODERS if x.dim == dim)
     c = Corpus(spark, sf_dir)
     u = c.units().select("unit_id", "repo", "lang", "path")
@@ -160,6 +164,7 @@ def line_cells(spark: SparkSession, sf_dir: str, targets: DataFrame, queries: Da
 
 def query_latency(spark: SparkSession, sf_dir: str, queries: DataFrame, encoders=tuple(dense.ENCODERS), repeats: int = 5) -> DataFrame:
     """encoder, index, query, millis: exact search of one query at a time on each snapshot's resident vectors, for each encoder."""
+    ship(spark)
     c, out = Corpus(spark, sf_dir), None
     u = c.units().select("unit_id", "repo", "lang")
     for e in encoders:

@@ -63,7 +63,7 @@ def stored(spark: SparkSession, sf_dir: str, name: str, build: Callable[[], Data
     """
     app = spark.sparkContext.applicationId
     key = (app, sf_dir, name, *(state(spark, f"{sf_dir}/{t}.parquet") for t in tables))
-    if key in _known:
+    if key in _known and _known[key].sparkSession is spark:
         return _known[key]
     path = f"{shared_dir(spark)}/ctxviews-view-{hashlib.sha256(chr(31).join(key).encode()).hexdigest()[:24]}"
     fs, done = _fs(spark, f"{path}/_SUCCESS")

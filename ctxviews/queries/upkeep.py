@@ -252,6 +252,15 @@ def _(spark, d):
     return graph_match(spark, d)
 
 
+@query("q4_match_counts", "select count(*) as transitions, count(*) filter (where source_changing) as source_changing, count(*) filter (where source_changing and file_match) as file, count(*) filter (where source_changing and symbol_match) as symbol, count(*) filter (where source_changing and closure_match) as closure, count(*) filter (where source_changing and file_match and symbol_match) as file_and_symbol, count(*) filter (where source_changing and symbol_scope) as symbol_scope from (" + MATCH + ")")
+def _(spark, d):
+    """How many source-changing transitions each arm gets right, and on how many two arms can be compared head to head."""
+    m, c = graph_match(spark, d), F.col("source_changing")
+    n = lambda x, name: F.count_if(c & x).alias(name)
+    both_ = F.col("file_match") & F.col("symbol_match")
+    return m.agg(F.count("*").alias("transitions"), F.count_if(c).alias("source_changing"), n(F.col("file_match"), "file"), n(F.col("symbol_match"), "symbol"), n(F.col("closure_match"), "closure"), n(both_, "file_and_symbol"), n(F.col("symbol_scope"), "symbol_scope"))
+
+
 def _f1_sql(arm: str) -> str:
     key = "repo, lang, path, line, col, symbol, def_path, def_line"
     return f"select '{arm}' as arm, repo, lang, round(coalesce(sum(least(m1, m2)) / nullif(sum(m1), 0), 1), 6)::double as precision, round(coalesce(sum(least(m1, m2)) / nullif(sum(m2), 0), 1), 6)::double as recall, round(2 * sum(least(m1, m2)) / (sum(m1) + sum(m2)), 6)::double as f1 from (select {key}, sum(a) as m1, sum(b) as m2 from (select {key}, 1 as a, 0 as b from {ARM_TABLES[arm]} union all select {key}, 0, 1 from c) group by all) group by repo, lang"
