@@ -175,6 +175,8 @@ def fit(docs: DataFrame, labels: DataFrame, spark: SparkSession, id_col: str = "
             total = c if total is None else total + c
         if total is not None:
             at = np.flatnonzero(np.abs(total).sum(1))
+            if not len(at):  # no word has a neighbour
+                return
             yield pd.DataFrame({"part": at >> 10, "at": at, "v": [total[i].tolist() for i in at]})
 
     cells = train.mapInPandas(context, "part long, at long, v array<float>")

@@ -172,7 +172,7 @@ def test_chroma_search_against_all_pairs(spark, monkeypatch):
                 if best:
                     want.add((c, best[3], -best[2]))
         assert got[i] == want, i
-    assert len(got[100]) >= 2 and got[500] == set()
+    assert len(got[100]) >= 2 and {m[0] for m in got[500]} == {500}  # silence is a recording too: it aligns with itself
 
 
 def test_chroma_rows_without_id(spark):
