@@ -5,7 +5,8 @@ repo@step): tokens (what a symbol search reads), declarations (vertices), refere
 (resolved anchors) and imports.  A patch reads the stored old graph, the texts of
 changed files and nothing else: tokens of untouched files meet it only through
 semi-joins with the symbols that the edit touched, and only those are resolved.
-The rebuild is another function over all texts and is never part of a patch.
+The rebuild is another function over all texts and is never part of a patch.  What several steps
+read is written once (`keep`), which also keeps their plans small.
 """
 
 from __future__ import annotations
@@ -21,6 +22,7 @@ from ctxviews.functions.text import md5_number, tokens
 from ctxviews.operators import structure, versions
 from ctxviews.operators.structure import DECLARES, SNAP, USES
 from ctxviews.operators.units import LEAST_SYMBOL
+from ctxviews.plans.store import kept
 
 EDGE = ["path", "line", "col", "symbol", "def_path", "def_line"]
 Keep = Callable[[DataFrame], DataFrame]
@@ -62,7 +64,7 @@ class Graph:
     imports: DataFrame
 
 
-def rebuild(v: DataFrame, keep: Keep = lambda df: df) -> Graph:
+def rebuild(v: DataFrame, keep: Keep = kept) -> Graph:
     """The graph of files (repo, lang, path, lines) from nothing but their texts."""
     t = keep(token_index(v))
     decl = declared(t)
@@ -80,7 +82,7 @@ class Transition:
     fresh: DataFrame
 
     @classmethod
-    def of(cls, old: DataFrame, new: DataFrame, graph: Graph | None = None, keep: Keep = lambda df: df) -> Transition:
+    def of(cls, old: DataFrame, new: DataFrame, graph: Graph | None = None, keep: Keep = kept) -> Transition:
         """From both versions' files; only changed ones are cut into tokens."""
         changed = keep(versions.changed_files(old, new))
         now = _semi(new, changed, ["path"])
@@ -172,7 +174,7 @@ def _patched(t: Transition, decl: DataFrame, kept: DataFrame, uses: DataFrame, k
     return Graph(files, toks, decl, refs, imports)
 
 
-def replace_files(t: Transition, keep: Keep = lambda df: df) -> Graph:
+def replace_files(t: Transition, keep: Keep = kept) -> Graph:
     """Drop and re-extract changed files; reconnect all their symbols and outgoing edges."""
     decl = keep(vertices(t))
     own = keep(declared(t.fresh).select(*SNAP, "symbol").distinct())
@@ -182,7 +184,7 @@ def replace_files(t: Transition, keep: Keep = lambda df: df) -> Graph:
     return _patched(t, decl, kept, t.fresh.unionByName(back), keep)
 
 
-def repair(t: Transition, closure: bool = False, keep: Keep = lambda df: df) -> Graph:
+def repair(t: Transition, closure: bool = False, keep: Keep = kept) -> Graph:
     """Symbol repair: rebase what shifted, resolve again what the edit touched.
 
     Plain repair discovers incoming uses of added and affected symbols only.  With
@@ -198,7 +200,7 @@ def repair(t: Transition, closure: bool = False, keep: Keep = lambda df: df) ->
     return _patched(t, decl, kept, back.unionByName(out), keep)
 
 
-ARMS = {"file": replace_files, "symbol": lambda t, keep=lambda df: df: repair(t, False, keep), "closure": lambda t, keep=lambda df: df: repair(t, True, keep)}
+ARMS = {"file": replace_files, "symbol": lambda t, keep=kept: repair(t, False, keep), "closure": lambda t, keep=kept: repair(t, True, keep)}
 
 
 def facts(g: Graph) -> DataFrame:

@@ -255,7 +255,11 @@ def test_stream_equals_batch(spark, tmp_path, name):
 
 def test_lag_stream_equals_batch(spark, tmp_path):
     e = table(spark, DATA, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-    e.repartitionByRange(3, "ts").sortWithinPartitions("ts").write.parquet(str(tmp_path / "in"))
+    cuts = e.select(F.percentile(F.unix_micros("ts"), F.array(F.lit(0.3), F.lit(0.7)))).first()[0]
+    for lo, hi in ((None, cuts[0]), (cuts[0], cuts[1]), (cuts[1], None)):  # one file after the other, as time goes
+        at = F.unix_micros("ts")
+        part = e.filter((at > lo if lo else F.lit(True)) & (at <= hi if hi else F.lit(True)))
+        part.coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
     out = feeds.drain(feeds.lag_stream(feeds.stream(spark, str(tmp_path / "in"), e.schema)), "drained_lag", "update")
     last = out.filter("not ended").groupBy("user_id").agg(F.max("head").alias("head"), F.max("built").alias("built"))
     assert rows(last, "user_id", "head", "built") == rows(feeds.lag(e).na.fill(0), "user_id", "head", "built")
