@@ -486,3 +486,58 @@ def test_nine_tools_return_one_shape(spark):
     assert tools.Toolbox(v, o, compact=True).call("definition", s.symbol).filter("snippet is not null").count() == 0
     with pytest.raises(catalog.ViewUnavailable):
         tools.Toolbox(v, o, frozenset({"text_search"})).call("route", e.src, to=e.dst)
+
+
+def test_units_are_counted_and_weighed_in_their_rows(spark):
+    """No token is shuffled: plans have no exchange; rare terms that are not sent to every task get their weights by join."""
+    from ctxviews.functions.text import tokens
+    from ctxviews.operators import dense, lexical, lists, rows
+
+    texts = ["a b a", "", "b c d", "d e é f", "a a a z", "...", "c y y x"] * 3 + ["once", "q q r"]
+    u = spark.createDataFrame([(str(i), t) for i, t in enumerate(texts)], "unit_id string, text string").repartition(3)
+    plans = [lexical.postings(u), rows.count(u, tokens(F.col("text")))]
+    for e in (dense.ENCODERS[0], dense.Encoder("two", 4, "bigram"), dense.Encoder("char", 16, "char")):
+        idf = dense.document_frequency(u, e)
+        want = {(r.unit_id, r.bucket): r.w for r in dense.encode(u, e, idf).collect()}
+        for most in (None, 3, 0):
+            v = rows.weigh(rows.count(u, dense.features(F.col("text"), e)), idf, e.dim, most=most)
+            got = {(r.unit_id, f): w for r in v.collect() for f, w in zip(r.f, r.w, strict=True)}
+            assert got.keys() == want.keys() and all(abs(got[x] - want[x]) < 1e-12 for x in want)
+        plans.append(dense.vectors(u, e, idf))
+    for p in plans:
+        assert p._jdf.queryExecution().executedPlan().toString().count("Exchange ") <= 1  # repartition(3)
+    counts = rows.count(u, tokens(F.col("text")))
+    gone = u.filter("unit_id % 2 = 0")
+    come = gone.withColumn("text", F.lit("alpha a a"))
+    a = lexical.delta(counts, gone, come)
+    b = lexical.delta(lexical.postings(u), gone, come).select("term", "unit_id", "tf")
+    assert sorted(a.collect()) == sorted(b.collect())
+    assert lists.Best(2, 1).all()[0].tolist() == []
+
+
+def test_search_keeps_the_best_of_a_task_over_its_batches(spark, monkeypatch):
+    """One task sends k rows a query, however many batches it reads."""
+    import random
+
+    from ctxviews.operators import lists
+
+    r = random.Random(5)
+    u = {f"u{i:05}": {r.randrange(6): r.choice([-1.0, 1.0, 2.0]) for _ in range(2)} for i in range(9000)}
+    q = {f"q{i}": {r.randrange(7): r.choice([-1.0, 1.0]) for _ in range(2)} for i in range(5)}
+    v = spark.createDataFrame([(k, sorted(x), [x[f] for f in sorted(x)]) for k, x in u.items()], "unit_id string, f array<bigint>, w array<double>").coalesce(1)
+    asked = spark.createDataFrame([(k, f, w) for k, x in q.items() for f, w in x.items()], "query_id string, f bigint, w double")
+    found = lists.search(v, asked, 4)
+    want = []
+    for name, x in q.items():
+        s = sorted((-sum(w * y[f] for f, w in x.items() if f in y), k) for k, y in u.items() if x.keys() & y.keys())[:4]
+        want += [(name, k, -t, i + 1) for i, (t, k) in enumerate(s)]
+    assert sorted(map(tuple, found.collect())) == sorted(want)
+    monkeypatch.setattr(lists, "HELD", 0)
+    assert sorted(map(tuple, lists.search(v, asked, 4).collect())) == sorted(want)
+    b = lists.Best(1, 2)
+    import numpy as np
+    import pyarrow as pa
+
+    for i in range(9000):
+        b.add(np.array([0, 0]), pa.array([f"a{i}", f"b{i}"]), np.array([0, 1]), np.array([i / 7, i / 9]))
+    assert [b.all()[1].tolist(), sum(len(x[0]) for x in b.new)] == [["a8999", "a8998"], 2]
