@@ -255,7 +255,7 @@ def build_costs(spark: SparkSession, sf_dir: str, encoders=tuple(dense.ENCODERS[
             for e in encoders:
                 began = time.perf_counter()
                 u = units.with_ids(cut(own), level)
-                made = store.kept(dense.vectors(u, e, dense.document_frequency(u, e)))
+                made = store.kept(dense.vectors(u, e, store.kept(dense.document_frequency(u, e))))
                 out.append((e.name, level, float(kloc), time.perf_counter() - began, store.size_of(spark, made.inputFiles()[0].rsplit("/", 1)[0])))
     return out
 
