@@ -541,3 +541,51 @@ def test_search_keeps_the_best_of_a_task_over_its_batches(spark, monkeypatch):
     for i in range(9000):
         b.add(np.array([0, 0]), pa.array([f"a{i}", f"b{i}"]), np.array([0, 1]), np.array([i / 7, i / 9]))
     assert [b.all()[1].tolist(), sum(len(x[0]) for x in b.new)] == [["a8999", "a8998"], 2]
+
+
+def test_route_takes_open_pairs_only(spark):
+    """Distances by brute force; the surroundings of a start are not made for pairs that are found earlier."""
+    import random
+
+    r = random.Random(3)
+    edges = {(f"n{r.randrange(14)}", f"n{r.randrange(14)}") for _ in range(22)}
+    e = spark.createDataFrame([(a, b, r.choice(["reference", "import"])) for a, b in edges] + [("n1", "n2", "other")], "src string, dst string, etype string")
+    nodes = [f"n{i}" for i in range(15)]
+    want = {}
+    for a in nodes:
+        front, at = {a}, {a: 0}
+        for h in range(1, 5):
+            front = {y for x, y in edges if x in front} - at.keys()
+            at |= dict.fromkeys(front, h)
+        want |= {(a, b): at.get(b) for b in nodes}
+    pairs = spark.createDataFrame(list(want), "a string, b string")
+    made = []
+
+    def keep(df):
+        made.append(df.cache())
+        return made[-1]
+
+    for most in (0, 1, 2, 3, 4):
+        got = {(x.a, x.b): x.hops for x in structure.route(pairs, e, most, keep).collect()}
+        assert got == {p: h if h is not None and h <= most else None for p, h in want.items()}
+    made.clear()
+    one = spark.createDataFrame([("n0", next(b for a, b in edges if a == "n0"))], "a string, b string") if any(a == "n0" for a, _ in edges) else pairs.limit(1)
+    assert structure.route(one, e, 3, keep).first().hops is not None
+    assert max(x.count() for x in made[1:]) <= 1
+
+
+def test_ledger_of_many_sessions_goes_on(spark, tmp_path):
+    rows = [(s, i, e) for s in ("a", "b") for i, e in enumerate("xyz")]
+    df = spark.createDataFrame(rows, "session string, t int, event string").selectExpr("*", "string(null) view", "string(null) provider", "1L prompt_tokens", "0L completion_tokens")
+    path = f"{tmp_path}/ledger"
+    trace.extend(df.filter("t < 1 or session = 'b'"), path, "t")
+    trace.extend(df.filter("t >= 1 and session = 'a'"), path, "t")
+    got = sorted((x.session, x.seq, x.event) for x in spark.read.parquet(path).collect())
+    assert got == [(s, i, e) for s, i, e in rows]
+
+
+@pytest.mark.parametrize("name", ["c_trace", "p_legality", "q3_latency_summary", "u_backends", "u_tools"])
+def test_contracts_read_a_given_table(spark, name):
+    from ctxviews import registry
+
+    assert any("/root/testdata/sf0.001/" in f for f in registry.QUERIES[name](spark, "/root/testdata/sf0.001").inputFiles()) or name == "c_trace"
