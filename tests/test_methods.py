@@ -589,3 +589,25 @@ def test_contracts_read_a_given_table(spark, name):
     from ctxviews import registry
 
     assert any("/root/testdata/sf0.001/" in f for f in registry.QUERIES[name](spark, "/root/testdata/sf0.001").inputFiles()) or name == "c_trace"
+
+
+def test_edges_of_lines_are_those_of_the_whole_graph(spark):
+    """Edges derived for some lines equal the stored graph's at these lines, with how often each is there; route D stores no graph."""
+    from ctxviews.plans import store
+    from ctxviews.plans.corpus import Corpus
+    from ctxviews.queries import plans as plan_queries
+
+    u = Corpus(spark, DATA).units()
+    some = u.filter(F.pmod(F.xxhash64("unit_id"), F.lit(7)) == 0).select("path", "start")
+    ends = some.select(F.concat("path", F.lit("#"), F.col("start").cast("string")).alias("v")).collect()
+    ends = {r.v for r in ends}
+    cols = ["repo", "lang", "src", "dst", "anchor_file", "anchor_line", "anchor_col"]
+    touch = lambda df: [r for r in rows(df.filter("etype = 'reference' and src <> dst"), *cols) if {r[2], r[3]} & ends]
+    want = touch(structure.edges(structure.occurrences(u)))
+    assert len(want) > 50
+    assert touch(structure.incident(u, some)) == want
+    assert touch(plan.edges_of_lines(u, some)) == want
+    store._known.clear()
+    del store.LEDGER[:]
+    assert plan_queries.plan.graph_seeded(plan_queries.views(spark, DATA, None), views.full_queries(spark, DATA), 10, 10).count() > 0
+    assert not {x["view"] for x in store.LEDGER} & {"occurrences", "references", "edges"}
