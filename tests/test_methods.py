@@ -611,3 +611,35 @@ def test_edges_of_lines_are_those_of_the_whole_graph(spark):
     del store.LEDGER[:]
     assert plan_queries.plan.graph_seeded(plan_queries.views(spark, DATA, None), views.full_queries(spark, DATA), 10, 10).count() > 0
     assert not {x["view"] for x in store.LEDGER} & {"occurrences", "references", "edges"}
+
+
+def test_texts_stay_where_they_lie(spark):
+    """Passages are found, and ranked units get their paths, without a shuffle of terms or texts."""
+    from ctxviews.plans import store
+    from ctxviews.plans.corpus import Corpus
+
+    c = Corpus(spark, DATA)
+    found = lexical.holding(views.full_queries(spark, DATA), c.units(), c.lexical(), store.few)
+    assert rows(found, "query_id", "unit_id") == rows(lexical.holding(views.full_queries(spark, DATA), c.units(), c.lexical()), "query_id", "unit_id")
+    plain = found._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" not in plain and "hashpartitioning" not in plain
+
+
+def test_encoders_share_one_pass(spark, monkeypatch):
+    """Lists of several encoders come from one reading of the units and equal each encoder's own; blocks do not mix encoders."""
+    from ctxviews.operators import lists
+    from ctxviews.plans.corpus import Corpus
+    from ctxviews.queries import plans as plan_queries
+
+    c, q = Corpus(spark, DATA), views.thin_queries(spark, DATA).limit(9)
+    for level, block in ((2, 1024), (0, 4)):
+        monkeypatch.setattr(lists, "BLOCK", block)
+        together = plan.dense_lists(c.views(level=level), q, dense.ENCODERS, 20)
+        assert together._jdf.queryExecution().executedPlan().toString().count("MapInArrow") <= 2
+        for e in dense.ENCODERS:
+            own = plan.dense_list(c.views(e, level=level), q, 20)
+            assert rows(together.filter(F.col("encoder") == e.name), "query_id", "unit_id", "score", "rank") == rows(own, "query_id", "unit_id", "score", "rank")
+    none = spark.createDataFrame([], "query_id string, path string")
+    ranked = spark.createDataFrame([("hash64", "q", "p", 1)], "encoder string, query_id string, path string, rank int")
+    got = {r.encoder: (r.n, r.recall) for r in plan_queries.recall_by_encoder(ranked, none, dense.ENCODERS).collect()}
+    assert got == {e.name: (0, None) for e in dense.ENCODERS}
