@@ -293,7 +293,8 @@ def lifecycle(spark: SparkSession, sf_dir: str, ranked: DataFrame, definitions:
 
     began = time.perf_counter()
     n = plan.lexical_list(v, ranked, 10).count() + plan.dense_list(v, ranked, 10).count()
-    n_def = navigate.static(definitions, c.occurrences()).count()
+    asked = store.few(definitions.select("repo", "lang", "symbol").distinct())
+    n_def = navigate.static(definitions, c.occurrences().join(asked, ["repo", "lang", "symbol"], "left_semi")).count()
     served = time.perf_counter() - began
     return {"b": built, "l": opened, "s": served, "ranked_rows": n, "definitions": n_def}
 

@@ -94,7 +94,9 @@ def _(spark, d):
     q = synth_queries(spark, d)
     first = q.select("repo", "lang").distinct().orderBy("repo", "lang").limit(1)
     own = store.kept(q.join(first, ["repo", "lang"], "left_semi").select("query_id", "text"))
-    two = store.kept(nav(spark, d)[1].join(first, ["repo", "lang"], "left_semi").filter("capability = 'definition'").orderBy("req_id").limit(2))
+    first = store.few(first)
+    mine = Corpus(spark, d).occurrences().join(first, ["repo", "lang"], "left_semi")  # requests are drawn inside a snapshot
+    two = store.kept(navigate.requests(mine).filter("capability = 'definition'").orderBy("req_id").limit(2))
     m = measure.lifecycle(spark, d, own, two)
     c = spark.createDataFrame([("session", float(m["b"]), float(m["l"]), float(m["s"]), 1)], "snapshot string, b double, l double, s double, n int")
     return costs.project(c, spark).withColumn("b", F.lit(m["b"])).withColumn("l", F.lit(m["l"])).withColumn("s", F.lit(m["s"]))

@@ -643,3 +643,28 @@ def test_encoders_share_one_pass(spark, monkeypatch):
     ranked = spark.createDataFrame([("hash64", "q", "p", 1)], "encoder string, query_id string, path string, rank int")
     got = {r.encoder: (r.n, r.recall) for r in plan_queries.recall_by_encoder(ranked, none, dense.ENCODERS).collect()}
     assert got == {e.name: (0, None) for e in dense.ENCODERS}
+
+
+def test_occurrences_shuffle_no_token(spark):
+    from ctxviews.plans import store
+    from ctxviews.plans.corpus import Corpus
+
+    u = Corpus(spark, DATA).units()
+    cols = ["repo", "lang", "path", "line", "col", "symbol", "role"]
+    got = structure.occurrences(u, store.few)
+    plain = got._jdf.queryExecution().executedPlan().toString()
+    assert "hashpartitioning" not in plain and "SortMergeJoin" not in plain
+    assert rows(got, *cols) == rows(structure.occurrences(u), *cols)
+
+
+def test_requests_of_a_snapshot_need_its_occurrences_only(spark):
+    from ctxviews.plans.corpus import Corpus
+
+    o = Corpus(spark, DATA).occurrences()
+    r = navigate.requests(o)
+    one = r.select("repo", "lang").distinct().orderBy("repo", "lang").limit(1)
+    by = ["repo", "lang"]
+    two = r.join(one, by, "left_semi").filter("capability = 'definition'").orderBy("req_id").limit(2)
+    assert rows(navigate.requests(o.join(one, by, "left_semi")), "req_id", "symbol") == rows(r.join(one, by, "left_semi"), "req_id", "symbol")
+    few = o.join(two.select(*by, "symbol").distinct(), [*by, "symbol"], "left_semi")
+    assert rows(navigate.static(two, few), "req_id", "locs") == rows(navigate.static(two, o), "req_id", "locs")
