@@ -668,3 +668,16 @@ def test_requests_of_a_snapshot_need_its_occurrences_only(spark):
     assert rows(navigate.requests(o.join(one, by, "left_semi")), "req_id", "symbol") == rows(r.join(one, by, "left_semi"), "req_id", "symbol")
     few = o.join(two.select(*by, "symbol").distinct(), [*by, "symbol"], "left_semi")
     assert rows(navigate.static(two, few), "req_id", "locs") == rows(navigate.static(two, o), "req_id", "locs")
+
+
+def test_whole_files_are_not_stored_again(spark):
+    """Level-0 units are read from the base table; passages are found in them as in a stored copy."""
+    from ctxviews.plans import store
+    from ctxviews.plans.corpus import Corpus
+
+    c = Corpus(spark, DATA)
+    assert all("documents.parquet" in x for x in c.units(0).inputFiles())
+    copy = store.kept(units.with_ids(units.level0(files(spark, DATA)), 0))
+    assert rows(c.units(0), "unit_id", "path", "end") == rows(copy, "unit_id", "path", "end")
+    found = lexical.holding(views.full_queries(spark, DATA), c.units(0), c.lexical(0), store.few)
+    assert found.count() > 0 and rows(found, "query_id", "unit_id") == rows(lexical.holding(views.full_queries(spark, DATA), copy, lexical.index(copy)), "query_id", "unit_id")
