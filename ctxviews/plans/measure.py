@@ -244,7 +244,10 @@ def navigation_timings(reqs: DataFrame, occ: DataFrame, l2: DataFrame, repeats:
 
 
 def build_costs(spark: SparkSession, sf_dir: str, encoders=tuple(dense.ENCODERS[::2]), parts: tuple[float, ...] = (0.25, 0.5, 1.0)) -> list[tuple]:
-    """(encoder, level, kloc, seconds, bytes) of fresh dense builds over growing sets of snapshots, by level."""
+    """(encoder, level, kloc, seconds, bytes) of fresh dense builds over growing sets of snapshots, by level.
+
+    A build that has been timed and weighed is dropped, so only one is on disk at a time.
+    """
     f = files(spark, sf_dir)
     place = F.pmod(F.xxhash64("repo", "lang"), F.lit(1000)) / 1000.0
     out = []
@@ -255,8 +258,12 @@ def build_costs(spark: SparkSession, sf_dir: str, encoders=tuple(dense.ENCODERS[
             for e in encoders:
                 began = time.perf_counter()
                 u = units.with_ids(cut(own), level)
-                made = store.kept(dense.vectors(u, e, store.kept(dense.document_frequency(u, e))))
-                out.append((e.name, level, float(kloc), time.perf_counter() - began, store.size_of(spark, made.inputFiles()[0].rsplit("/", 1)[0])))
+                idf = store.kept(dense.document_frequency(u, e))
+                made = store.kept(dense.vectors(u, e, idf))
+                took = time.perf_counter() - began
+                out.append((e.name, level, float(kloc), took, store.size_of(spark, store.path_of(made))))
+                store.drop(made, idf)
+        store.drop(own)
     return out
 
 

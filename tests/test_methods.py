@@ -1,5 +1,7 @@
 """Worked examples and invariants of the methods."""
 
+from pathlib import Path
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -681,3 +683,14 @@ def test_whole_files_are_not_stored_again(spark):
     assert rows(c.units(0), "unit_id", "path", "end") == rows(copy, "unit_id", "path", "end")
     found = lexical.holding(views.full_queries(spark, DATA), c.units(0), c.lexical(0), store.few)
     assert found.count() > 0 and rows(found, "query_id", "unit_id") == rows(lexical.holding(views.full_queries(spark, DATA), copy, lexical.index(copy)), "query_id", "unit_id")
+
+
+def test_timed_builds_leave_nothing_behind(spark):
+    from ctxviews.plans import measure, store
+
+    folders = lambda: {p.name for p in Path(store.shared_dir(spark).removeprefix("file:")).glob("ctxviews-kept-*")}
+    before, listed = folders(), list(store._written)
+    made = measure.build_costs(spark, DATA, dense.ENCODERS[:2], (1.0,))
+    assert [(e, level) for e, level, *_ in made] == [("hash64", 0), ("hash128", 0), ("hash64", 2), ("hash128", 2)]
+    assert all(size > 0 and took > 0 for *_, took, size in made)
+    assert folders() == before and store._written == listed
