@@ -363,3 +363,13 @@ def test_chroma_alignment(spark):
 def test_fingerprint_of_short_audio():
     assert len(chroma.fingerprint(None)) == len(chroma.fingerprint(b"")) == len(chroma.fingerprint(b"\0" * 101)) == 0
     assert chroma.bit_errors(np.array([1], np.uint32), np.array([3], np.uint32), 0) == (1 / 32, 1)
+
+
+def test_op1_returns_the_remaining_text_as_documents_name_it(spark):
+    from ctxviews.llm.queries import QUERIES
+
+    r = QUERIES["op1_suffix_dedup"](spark, "/root/testdata/sf0.001")
+    assert r.columns == ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "text"]
+    docs = {x.doc_id: x.text for x in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").collect()}
+    rows = r.collect()
+    assert any(x.n_removed for x in rows) and all((x.text == docs[x.doc_id]) == (x.n_removed == 0) for x in rows)
