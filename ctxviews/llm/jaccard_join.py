@@ -7,8 +7,12 @@ last, by count; the others come by hash.  The order only steers cost, any order
 gives the same links.  A set's prefix is what two sets with the wanted similarity
 must share a shingle of.
 
-Rows (prefix shingle, set, size, position) meet by shingle.  Instead of all pairs
-of a group, three passes find the same components:
+Rows (prefix shingle, set, size, position) meet by shingle.  They are the largest thing
+that is shuffled, so a row is short: the upper 44 bits of a shingle's hash share a number
+with the position, and set and size, which a set's rows repeat, stand side by side.
+Shingles that agree in 44 bits only add candidates, and a position that is too large for
+its 20 bits counts as an earlier one, which filters less; every pair is verified on whole
+sets.  Instead of all pairs of a group, three passes find the same components:
 
 1. every set is verified against one lead, the least set of most of its groups, if they
    share half of the prefix shingles that similar sets of their sizes share;
@@ -50,6 +54,8 @@ ROUND_FROM, MOST_ROUNDS = 64, 6
 #: Shingles whose repeats are counted together.
 COUNTED = 4_000_000
 SUFFIX_DEPTH = 3
+#: Bits of a prefix row's number that hold the position; the others are the shingle's.
+PLACE_BITS = 20
 
 
 def prefix_length(n: int, num: int, den: int) -> int:
@@ -57,6 +63,12 @@ def prefix_length(n: int, num: int, den: int) -> int:
     return n - -(-n * num // den) + 1 if n else 0
 
 
+def packed(shingle: np.ndarray, pos: np.ndarray) -> np.ndarray:
+    """Upper bits of each shingle and its position, or the last one that fits, as one number."""
+    low = np.uint64((1 << PLACE_BITS) - 1)
+    return (shingle & ~low | np.minimum(pos.astype(np.uint64), low)).view(np.int64)
+
+
 def ordered(s: np.ndarray, frequent: np.ndarray, place: np.ndarray) -> np.ndarray:
     """Shingles rare-first; a position in the global order replaces nothing but the sequence."""
     if not len(frequent) or not len(s):
@@ -158,13 +170,16 @@ def linked(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100,
                     n.append(len(s))
                 which = np.repeat(np.arange(len(raw)), who)
                 pos = np.concatenate([np.arange(k) for k in who]) if len(which) else which
-                yield pd.DataFrame({"k": np.concatenate(part).view(np.int64), "id": ids[first : first + len(raw)][which], "np": (np.array(n, np.int64)[which] << 32) | pos})
+                yield pd.DataFrame({"kp": packed(np.concatenate(part), pos), "id": ids[first : first + len(raw)][which], "n": np.array(n, np.int64)[which]})
 
-    listed = alone.mapInPandas(prefixes, "k long, id long, np long")
+    # Dealt out as packed; the window finds them dealt by k.
+    shingle = F.shiftright("kp", PLACE_BITS)
+    met = alone.mapInPandas(prefixes, "kp long, id long, n long").repartition(shingle)
+    listed = met.select(shingle.alias("k"), "id", F.shiftleft("n", 32).bitwiseOR(F.col("kp").bitwiseAND((1 << PLACE_BITS) - 1)).alias("np"))
     w = W.partitionBy("k")
     n_of = lambda c: F.shiftright(F.col(c), 32)
     least = F.min(F.struct("id", n_of("np").alias("n"))).over(w)
-    groups = keep(listed.withColumn("lead", least).withColumn("last", F.max("id").over(w)).filter("lead.id <> last"), spark)
+    groups = keep(listed.withColumn("lead", least).withColumn("last", F.max("id").over(w)).filter("lead.id <> last").drop("last"), spark)
     need = F.expr(f"ceil({num} * (n1 + n2) / {num + den}.0)")
     prefix = lambda n: F.expr(f"{n} - ceil({num} * {n} / {den}.0) + 1")
     fewest = F.least(prefix("n1") - F.col("n1") + need, prefix("n2") - F.col("n2") + need)
@@ -220,6 +235,7 @@ def linked(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100,
 
     # Pass 2: sets of crowded hot groups against one more lead each time, while that links many of them.
     rest, times, crowded = mixed_groups(groups, comp)
+    release(spark, groups)
     usual, hot = rest.filter("not hot"), rest.filter("hot")
     for turn in range(MOST_ROUNDS) if crowded else ():
         at = F.struct("id", size_of.alias("n"), "component")
@@ -252,7 +268,6 @@ def linked(docs: DataFrame, spark: SparkSession, num: int = 75, den: int = 100,
     met = met.filter((F.least(n1 - p1, n2 - p2) >= need) & (F.col("c") + F.least("h1", "h2") >= fewest))
     pairs = met.select(F.least("id1", "id2").alias("a"), F.greatest("id1", "id2").alias("b")).join(first.select("a", "b"), ["a", "b"], "left_anti")
     pairs = keep(pairs, spark)
-    release(spark, groups)
     more = verified(pairs)
     release(spark, pairs, first)
     if more.limit(1).count():

@@ -43,3 +43,29 @@ def test_broadcast_is_bounded_by_bytes(spark):
     assert "broadcast" not in small(df, spark, 5000)._jdf.queryExecution().toString().lower()
     empty = df.filter("a > 1")
     assert "broadcast" in small(empty, spark, 0)._jdf.queryExecution().toString().lower()
+
+
+def test_kept_tables_leave_no_shuffle_files(spark):
+    from pathlib import Path
+
+    from ctxviews.llm.common import CLEANUP, keep
+
+    dirs = [Path(d) for d in spark._jsc.sc().env().blockManager().diskBlockManager().localDirsString()]
+    files = lambda: {p.name for d in dirs for p in d.rglob("shuffle_*.data")}
+    before, old = files(), spark.conf.get(CLEANUP)
+    assert keep(spark.range(5000).repartition("id"), spark).count() == 5000
+    own = {p.split("_")[1] for p in files() - before}
+    assert len(own) <= 1  # that of the count
+    assert spark.conf.get(CLEANUP) == old
+
+
+def test_packed_prefix_rows():
+    import numpy as np
+
+    from ctxviews.llm.jaccard_join import PLACE_BITS, packed
+
+    low = (1 << PLACE_BITS) - 1
+    s = np.array([2**64 - 1, 5 << PLACE_BITS, (5 << PLACE_BITS) + 3], np.uint64)
+    x = packed(s, np.array([0, 7, low + 9]))
+    assert (x & low).tolist() == [0, 7, low]
+    assert (x >> PLACE_BITS).tolist() == [-1, 5, 5]
