@@ -694,3 +694,19 @@ def test_timed_builds_leave_nothing_behind(spark):
     assert [(e, level) for e, level, *_ in made] == [("hash64", 0), ("hash128", 0), ("hash64", 2), ("hash128", 2)]
     assert all(size > 0 and took > 0 for *_, took, size in made)
     assert folders() == before and store._written == listed
+
+
+def test_routes_without_texts_store_no_units(spark, tmp_path):
+    import shutil
+
+    from ctxviews.plans import store
+    from ctxviews.registry import QUERIES
+
+    d = f"{tmp_path}/own"
+    shutil.copytree("/root/testdata/sf0.001", d)
+    before = len(store.LEDGER)
+    rows = sorted(map(tuple, QUERIES["p_route_c"](spark, d).collect()))
+    assert {x["view"] for x in store.LEDGER[before:]} == {"lexical-2-counts", "lexical-2-stats", "lexical-2-terms"}
+    QUERIES["p_compose"](spark, d).count()  # has the stored units
+    assert "units-2" in {x["view"] for x in store.LEDGER[before:]}
+    assert rows == sorted(map(tuple, QUERIES["p_route_c"](spark, "/root/testdata/sf0.001").collect()))
