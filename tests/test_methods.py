@@ -710,3 +710,37 @@ def test_routes_without_texts_store_no_units(spark, tmp_path):
     QUERIES["p_compose"](spark, d).count()  # has the stored units
     assert "units-2" in {x["view"] for x in store.LEDGER[before:]}
     assert rows == sorted(map(tuple, QUERIES["p_route_c"](spark, "/root/testdata/sf0.001").collect()))
+
+
+def test_imports_are_those_of_all_edges(spark):
+    f = files(spark, DATA)
+    want = structure.edges(structure.occurrences(units.level2(f))).filter("etype = 'import'").select("repo", "lang", "src", "dst").distinct()
+    s = structure.imports(f)
+    got = s.nexts.select("repo", "lang", F.col("node").alias("src"), F.explode("nexts").alias("code")).join(s.names.withColumnRenamed("node", "dst"), ["repo", "lang", "code"])
+    assert rows(got, "repo", "lang", "src", "dst") == rows(want, "repo", "lang", "src", "dst")
+
+
+def test_dependencies_store_import_steps_only(spark, tmp_path, monkeypatch):
+    from ctxviews import registry
+    from ctxviews.plans import store
+
+    monkeypatch.setattr(store, "_known", {})
+    before = len(store.LEDGER)
+    assert registry.QUERIES["g_dependencies"](spark, DATA).count() > 0
+    assert {x["view"] for x in store.LEDGER[before:]}.isdisjoint({"units-2", "occurrences", "references", "edges"})
+
+
+def test_steps_by_blocks_and_columns_give_the_same_nodes(spark, monkeypatch):
+    """A graph with a ring, a hub and a dead end, in two snapshots, by the frontier joins and by bit rows of 64 columns."""
+    from ctxviews.operators import closure
+    from ctxviews.plans.store import kept
+
+    pairs = [(f"n{i}", f"n{(i * 7 + 3) % 200}") for i in range(200)] + [(f"n{i}", "hub") for i in range(0, 200, 3)] + [("hub", f"n{i}") for i in range(90)] + [("n5", "end")]
+    e = spark.createDataFrame([(r, "en", r + a, r + b, "import") for r in ("x", "y") for a, b in pairs if a != b], "repo string, lang string, src string, dst string, etype string")
+    asked, s = e.select("repo", "lang", F.col("src").alias("seed")).distinct(), closure.steps_of(e, kept)
+    monkeypatch.setattr(closure, "STARTS", 64)
+    for bits in (closure.BITS, 64):  # 64: a range of columns at a time
+        monkeypatch.setattr(closure, "BITS", bits)
+        for depth in (1, 3):
+            want = structure.neighbours(asked.select("seed"), e, depth, ("import",), "out")
+            assert rows(structure.dependencies(asked, s, depth), "seed", "node", "hop") == rows(want, "seed", "node", "hop")
