@@ -744,3 +744,25 @@ def test_steps_by_blocks_and_columns_give_the_same_nodes(spark, monkeypatch):
         for depth in (1, 3):
             want = structure.neighbours(asked.select("seed"), e, depth, ("import",), "out")
             assert rows(structure.dependencies(asked, s, depth), "seed", "node", "hop") == rows(want, "seed", "node", "hop")
+
+
+def test_import_routes_are_routes(spark, monkeypatch):
+    """Pairs that two steps join, on a small graph: there and back, direct ones, and those at two steps; three steps' pairs need up to three."""
+    from ctxviews import registry
+    from ctxviews.operators import closure
+    from ctxviews.plans import store
+
+    e = spark.createDataFrame([("r", "en", a, b, "import") for a, b in ["ab", "ba", "bc", "ac", "cd", "de", "ea"]], "repo string, lang string, src string, dst string, etype string")
+    s = closure.steps_of(e, store.kept)
+    one = e.select(F.col("src").alias("a"), F.col("dst").alias("b"))
+    pairs = one
+    for steps in (2, 3):
+        pairs = pairs.withColumnRenamed("b", "m").join(one.withColumnRenamed("a", "m"), "m").select("a", "b").distinct()
+        for most in (1, 3):
+            assert sorted(map(repr, structure.import_routes(s, steps, most).collect())) == sorted(map(repr, structure.route(pairs, e, most).select("a", "b", "hops").collect()))
+    assert not structure.has_lines(s)
+    assert structure.has_lines(closure.steps_of(e.withColumn("dst", F.concat("dst", F.lit("#1")))))
+    monkeypatch.setattr(store, "_known", {})
+    before = len(store.LEDGER)
+    assert registry.QUERIES["g_route"](spark, DATA).count() > 0
+    assert {x["view"] for x in store.LEDGER[before:]}.isdisjoint({"units-2", "occurrences", "references", "edges"})
