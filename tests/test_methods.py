@@ -766,3 +766,22 @@ def test_import_routes_are_routes(spark, monkeypatch):
     before = len(store.LEDGER)
     assert registry.QUERIES["g_route"](spark, DATA).count() > 0
     assert {x["view"] for x in store.LEDGER[before:]}.isdisjoint({"units-2", "occurrences", "references", "edges"})
+
+
+def test_pairs_above_a_score_are_those_of_the_whole_product():
+    """Scores at the bound, just below it and far from it; large weights, too."""
+    from ctxviews.operators import lists
+
+    r = np.random.default_rng(3)
+    for scale in (1.0, 1e5, 1e30):
+        rows_ = [(i, f, float(w) * scale) for i in range(40) for f, w in zip(r.choice(64, 12, False).tolist(), r.normal(size=12), strict=True)]
+        block = lists.Block([f"q{i}" for i in range(40)], rows_)
+        u = np.repeat(np.arange(500), 10)
+        t = np.concatenate([r.choice(len(block.names), 10, False) for _ in range(500)])
+        v = r.normal(size=5000)
+        s = lists.six(block.score(t, u, v, 500))
+        least = np.sort(s, axis=1)[:, -5]
+        q, x, got = block.above(t, u, v, 500, least - 1e-9 * scale)
+        assert list(zip(q, x, strict=True)) == list(zip(*np.nonzero(s >= (least - 1e-9 * scale)[:, None]), strict=True))
+        assert np.allclose(got, s[q, x], rtol=1e-12, atol=1.1e-6)
+        assert block.short.dtype == np.float32 and block.short.shape == block.matrix.shape
